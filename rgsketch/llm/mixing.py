@@ -86,7 +86,7 @@ src AS (SELECT source, sum(size)::BIGINT AS source_size, 3.0::DOUBLE * sum(size)
 w AS (SELECT *, CASE (row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 WHEN 0 THEN 5.0::DOUBLE WHEN 1 THEN 2.0::DOUBLE ELSE 1.0::DOUBLE END AS weight FROM src),
 o AS (SELECT *, sum(cap) OVER r - cap AS held, sum(weight) OVER () - (sum(weight) OVER r - weight) AS free_w, (SELECT sum(source_size) FROM src)::DOUBLE AS total
       FROM w WINDOW r AS (ORDER BY cap / weight, source NULLS LAST ROWS UNBOUNDED PRECEDING)),
-lv AS (SELECT min((total - held) / free_w) AS lam FROM o WHERE (total - held) / free_w < cap / weight),
+lv AS (SELECT min_by((total - held) / free_w, cap / weight) AS lam FROM o WHERE (total - held) / free_w < cap / weight),
 t AS (SELECT source, source_size, round(least(cap, coalesce(lam, 'inf'::DOUBLE) * weight), 6) AS target FROM w, lv),
 f AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size + 1e-9) ELSE 0 END AS whole FROM t),
 g AS (SELECT *, greatest(0.0, target - whole * source_size) AS rest FROM f),
