@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from rgsketch.llm import language_id, license_scan, media, mixing, secret_scan, sharding, url_filter
+from rgsketch.llm import language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, url_filter
 
 
 def queries() -> dict:
     return {
         "op2_shard": sharding.query,
         "op3_media": media.query,
+        "op4_near_dedup": near_dedup.query,
         "op5_secrets": secret_scan.query,
         "op6_language_id": language_id.query,
         "op8_url_filter": url_filter.query,
@@ -18,4 +19,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_url_filter": url_filter.ORACLE, "op9_mix": mixing.ORACLE}
+    return {"op4_near_dedup": near_dedup.ORACLE, "op8_url_filter": url_filter.ORACLE, "op9_mix": mixing.ORACLE}
