@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from rgsketch.llm import language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, url_filter
+from rgsketch.llm import decontaminate, language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, url_filter
 
 
 def queries() -> dict:
     return {
+        "op1_decontaminate": decontaminate.query,
         "op2_shard": sharding.query,
         "op3_media": media.query,
         "op4_near_dedup": near_dedup.query,
