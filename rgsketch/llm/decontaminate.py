@@ -95,6 +95,12 @@ def edits(item: bytes, text: bytes, limit: int) -> int:
     return min(best, limit + 1)
 
 
+def trigrams(raw: np.ndarray) -> np.ndarray:
+    """Counts of hashed byte trigrams; an edit takes three of them away at most."""
+    x = raw.astype(np.uint32)
+    return np.bincount(((x[:-2] * np.uint32(961) + x[1:-1] * np.uint32(31) + x[2:]) * np.uint32(0x9E3779B1)) >> np.uint32(20), minlength=4096)
+
+
 @dataclass
 class Index:
     """One block of the benchmark: seeds of word runs and the sampled embeddings of its items."""
@@ -167,12 +173,18 @@ def matches(index: Index, raw: np.ndarray, offsets: np.ndarray, similarity: floa
             if not len(live):
                 break
     out: dict[tuple[int, int], tuple[int, int]] = {}
+    grams: dict[int, np.ndarray] = {}
     for d, i, f in zip(doc[found].tolist(), item[found].tolist(), first[found].tolist(), strict=True):
         best, own = out.get((d, i)), index.items[i]
         if best is not None and best[0] == 0:
             continue
         limit = int(len(own) * (1 - similarity) + 1e-9)
-        e = edits(own, raw[max(int(offsets[d]), f - limit) : min(int(offsets[d + 1]), f + len(own) + limit)].tobytes(), limit)
+        near = raw[max(int(offsets[d]), f - limit) : min(int(offsets[d + 1]), f + len(own) + limit)]
+        if i not in grams:
+            grams[i] = trigrams(np.frombuffer(own, np.uint8))
+        if np.minimum(grams[i], trigrams(near)).sum() < len(own) - 2 - 3 * limit:
+            continue
+        e = edits(own, near.tobytes(), limit)
         if e <= limit and (best is None or (e, f) < best):
             out[(d, i)] = (e, f)
     return [(d, i, f - int(offsets[d]), e) for (d, i), (e, f) in out.items()]
