@@ -43,6 +43,29 @@ def maybe_broadcast(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> Da
     return F.broadcast(df) if rows <= limit else df
 
 
+#: Bits of a fixed-size filter (2 MB). It only spares work: a fuller filter lets more rows pass, results stay the same.
+FILTER_BITS = 1 << 24
+
+
+def filter_spot(col: F.Column | str) -> F.Column:
+    """A value's bit in a filter of FILTER_BITS bits."""
+    return F.pmod(F.xxhash64(col), F.lit(FILTER_BITS))
+
+
+def bit_filter(df: DataFrame, col: str) -> np.ndarray:
+    """The filter of df's values: FILTER_BITS / 64 words at most come to the driver, whatever df holds."""
+    spot = filter_spot(col)
+    cells = df.select(F.shiftright(spot, 6).cast("int").alias("cell"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64({col}), {FILTER_BITS}L) & 63 as int))").alias("bit")).groupBy("cell").agg(F.bit_or("bit").alias("bits"))
+    table = np.zeros(FILTER_BITS // 64, np.int64)
+    got = cells.toArrow()
+    table[got.column("cell").to_numpy()] = got.column("bits").to_numpy()
+    return table
+
+
+def in_filter(table: np.ndarray, spot: np.ndarray) -> np.ndarray:
+    return ((table[spot >> 6] >> (spot & 63)) & 1).astype(bool)
+
+
 def ascii_lower(col: F.Column) -> F.Column:
     """Lower-case A-Z alone; every other character stays."""
     return F.translate(col, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")

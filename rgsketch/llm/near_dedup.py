@@ -23,14 +23,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import chunks, materialize, mix64, shingle_hashes, utf8, word_hashes
+from rgsketch.llm.common import bit_filter, chunks, filter_spot, in_filter, materialize, mix64, shingle_hashes, utf8, word_hashes
 from rgsketch.llm.graph import components
 
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
 ROWS = 6
 MISS = 1e-6
-#: Bits of the fixed-size filter that spares rows from the second reading; a full filter only spares fewer.
-FILTER_BITS = 1 << 24
 _RNG = np.random.default_rng(71)
 _MULT = _RNG.integers(0, 1 << 31, 4096, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 
@@ -172,23 +170,19 @@ class NearDuplicates:
 
     def _sets(self, wanted: DataFrame) -> DataFrame:
         """(rk, items) of the rows that a fixed-size bit filter of the wanted row keys lets pass."""
-        spot = F.pmod(F.xxhash64("rk"), F.lit(FILTER_BITS))
-        cells = wanted.select(F.shiftright(spot, 6).cast("int").alias("cell"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64(rk), {FILTER_BITS}) & 63 as int))").alias("bit")).groupBy("cell").agg(F.bit_or("bit").alias("bits")).collect()  # FILTER_BITS / 64 rows at most
-        table = np.zeros(FILTER_BITS // 64, np.int64)
-        for r in cells:
-            table[r["cell"]] = r["bits"]
+        table = bit_filter(wanted, "rk")
         width = self.width
 
         def run(batches):
             for batch in batches:
                 s = batch.column(2).to_numpy()
-                go = np.flatnonzero((table[s >> 6] >> (s & 63)) & 1)
+                go = np.flatnonzero(in_filter(table, s))
                 if len(go):
                     own = batch.take(pa.array(go))
                     items = [x.tobytes() for _, _, sets in shingle_sets(own.column(1), width) for x in sets]
                     yield pa.RecordBatch.from_arrays([own.column(0), pa.array(items, pa.binary())], ["rk", "items"])
 
-        return self.rows.select("rk", "text", spot.alias("spot")).mapInArrow(run, "rk long, items binary")
+        return self.rows.select("rk", "text", filter_spot("rk").alias("spot")).mapInArrow(run, "rk long, items binary")
 
     def links(self) -> DataFrame:
         """Confirmed (a, b) between classes, enough of them to span every component of all links."""

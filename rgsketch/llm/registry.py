@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from rgsketch.llm import decontaminate, language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, url_filter
+from rgsketch.llm import decontaminate, language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, suffix_dedup, url_filter
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_near_dedup": near_dedup.query,
         "op5_secrets": secret_scan.query,
         "op6_language_id": language_id.query,
+        "op7_suffix_dedup": suffix_dedup.query,
         "op8_url_filter": url_filter.query,
         "op9_mix": mixing.query,
         "op10_licenses": license_scan.query,
