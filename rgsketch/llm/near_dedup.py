@@ -3,11 +3,15 @@
 A document is the set of its distinct word shingles (64-bit hashes). Register j of its sketch keeps the smallest of its
 elements' exponential variates on a logarithmic scale, floor(1 - log_b(min)), truncated to 0 .. q + 1; registers merge by
 maximum and agree with a probability that follows the Jaccard similarity. Documents of one set form a class, and one sketch
-a class is banded. Candidates of a band bucket are compared with the bucket's smallest class; then, of the pairs that
-still stand in different components, those that no bound excludes are compared too, so that no candidate pair is dropped.
-The bounds: sizes; the triangle inequality of the Jaccard distance through the bucket's first class; and the joint
-likelihood of the registers (greater, less, equal) given both exact set sizes, at six standard deviations. What is left is
-confirmed on the full sets with whole-number arithmetic.
+a class is banded. Every class of a band bucket is compared with the bucket's hub, the class that shares most buckets (the
+text that copies were made from, as a rule). The joint likelihood of the registers (greater, less, equal), given both exact
+set sizes, spares the pairs that six standard deviations exclude; the rest is confirmed on the full sets in whole numbers.
+
+Two classes of a bucket that both stand off its hub may still be linked. Such a link needs shared differences from the hub:
+with a and b elements in which they differ from it, at least (a + b - (1 - t) / t * the smaller set) / 2 must be common for
+a similarity of t. So the differences are joined, each class giving only a prefix (what it adds, then what it lacks) long
+enough that every link meets in one element; pairs so found are confirmed too. No candidate pair is dropped and no pairs of
+a whole group are made.
 
 Edge cases: a text with fewer words than a shingle is one shingle of all its words; a null or wordless text has the empty
 set and is linked with nothing; repeated rows and equal texts share a class; null ids never become a component's id unless
@@ -129,6 +133,36 @@ def _confirm(batches):
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.int64())], ["a", "b", "common"])
 
 
+def _differences(percent: int):
+    """From each (hub, class) with both sets, the class's elements of the symmetric difference that a link off the hub may
+    have to show, with their place in it (from 0)."""
+    slack = (100 - percent) / percent
+
+    def run(batches):
+        for batch in batches:
+            out: list[tuple] = []
+            for hub, cls, root, off, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+                mine = np.concatenate([np.setdiff1d(y, x, assume_unique=True), np.setdiff1d(x, y, assume_unique=True)])
+                least = (1 - percent / 100) * max(len(x), percent / 100 * len(y))  # what a class off the hub differs in at least
+                # two of them off the hub, or one that is and one that differs in no fewer elements than they share
+                need = max(1, math.ceil((len(mine) - slack * len(y) if off else (least + len(mine) - slack * len(y)) / 2) - 1e-9))
+                items = mine[: max(0, len(mine) - need + 1)].astype(np.int64).tolist()
+                out += [(hub, cls, root, off, len(y), len(mine), v, i) for i, v in enumerate(items)]
+                if len(out) > 50_000:
+                    yield _rows(out)
+                    out = []
+            if out:
+                yield _rows(out)
+
+    return run
+
+
+def _rows(out: list[tuple]) -> pa.RecordBatch:
+    kinds = [pa.binary(), pa.binary(), pa.binary(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.int32()]
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], ["hub", "cls", "root", "off", "n", "size", "item", "place"])
+
+
 class NearDuplicates:
     """Links of 100 * |intersection| >= percent * |union| between the sets of width-word shingles."""
 
@@ -145,12 +179,15 @@ class NearDuplicates:
         self.classes = materialize(some.join(regs.dropDuplicates(["cls", "rk"]), ["cls", "rk"]).select("cls", "rep", "rk", "n", "regs"))
 
     def _candidates(self) -> DataFrame:
-        """(bucket, first, cls, n, n_first) of the classes other than ``first`` in buckets of two classes or more."""
+        """(bucket, hub, cls, n, n_hub, members) of the classes beside the hub in buckets of two classes or more."""
         parts = F.transform(F.sequence(F.lit(0), F.lit(self.bands - 1)), lambda i: F.xxhash64(i, F.col("regs").substr(i * (2 * ROWS) + 1, F.lit(2 * ROWS))))
         rows = self.classes.select("cls", "n", F.explode(parts).alias("bucket"))
-        full = rows.groupBy("bucket").agg(F.min(F.struct("cls", "n")).alias("lo"), F.max("cls").alias("hi")).where("lo.cls <> hi")
-        got = rows.join(full.select("bucket", "lo.cls", F.col("lo.n").alias("n_first")).withColumnRenamed("cls", "first"), "bucket")
-        return materialize(got.where("cls <> first"))
+        full = rows.groupBy("bucket").agg(F.count("*").alias("members")).where("members > 1")
+        rows = materialize(rows.join(full, "bucket"))
+        shared = rows.groupBy("cls").agg(F.sum("members").alias("shared"))
+        hubs = rows.join(shared, "cls").groupBy("bucket").agg(F.max(F.struct("shared", "cls", "n")).alias("hub"))
+        got = rows.join(hubs.select("bucket", F.col("hub.cls").alias("hub"), F.col("hub.n").alias("n_hub")), "bucket")
+        return materialize(got.where("cls <> hub"))
 
     def _close(self, a: str, b: str) -> F.Column:
         return F.least(a, b) * 100 >= F.greatest(a, b) * self.percent
@@ -162,12 +199,16 @@ class NearDuplicates:
         bound = materialize(full.select("a", "b", "ra", "rb", "na", "nb").mapInArrow(_bound(self.threshold), "a binary, b binary, na long, nb long, j_max double"))
         near = bound.where(F.col("j_max") >= self.threshold)
         ends = near.select(F.col("a").alias("cls")).unionByName(near.select(F.col("b").alias("cls"))).distinct()
-        wanted = materialize(ends.join(side.select("cls", "rk"), "cls"))
-        sets = materialize(self._sets(wanted).join(wanted, "rk").dropDuplicates(["cls"]).select("cls", "items"))
+        sets = self._sets_of(ends)
         both = near.select("a", "b").join(sets.select(F.col("cls").alias("a"), F.col("items").alias("x")), "a").join(sets.select(F.col("cls").alias("b"), F.col("items").alias("y")), "b")
         common = both.select("a", "b", "x", "y").mapInArrow(_confirm, "a binary, b binary, common long")
         return materialize(bound.join(common, ["a", "b"], "left"))
 
+    def _sets_of(self, ends: DataFrame) -> DataFrame:
+        """(cls, items) of the given classes, from one row each."""
+        wanted = materialize(ends.join(self.classes.select("cls", "rk"), "cls"))
+        return materialize(self._sets(wanted).join(wanted, "rk").dropDuplicates(["cls"]).select("cls", "items"))
+
     def _sets(self, wanted: DataFrame) -> DataFrame:
         """(rk, items) of the rows that a fixed-size bit filter of the wanted row keys lets pass."""
         table = bit_filter(wanted, "rk")
@@ -187,33 +228,33 @@ class NearDuplicates:
     def links(self) -> DataFrame:
         """Confirmed (a, b) between classes, enough of them to span every component of all links."""
         cand = self._candidates()
-        stars = cand.where(self._close("n", "n_first")).select(F.col("first").alias("a"), F.col("cls").alias("b"), F.col("n_first").alias("na"), F.col("n").alias("nb")).distinct()
-        seen = self._verify(stars)
+        stars = cand.where(self._close("n", "n_hub")).select(F.col("hub").alias("a"), F.col("cls").alias("b"), F.col("n_hub").alias("na"), F.col("n").alias("nb")).distinct()
         linked = F.col("common") * 100 >= (F.col("na") + F.col("nb") - F.col("common")) * self.percent
-        edges = seen.where(linked).select("a", "b")
+        edges = materialize(self._verify(stars).where(linked).select("a", "b"))
         roots = components(edges)
-        # distance to the bucket's first class: exact where it was confirmed, else bounded from below
-        exact = F.col("common") / (F.col("na") + F.col("nb") - F.col("common"))
-        far = seen.select(F.col("a").alias("first"), F.col("b").alias("cls"), (1 - F.coalesce(exact, F.col("j_max"))).alias("d_lo"), (1 - exact).alias("d_hi"))
-        apart = F.least(F.lit(1.0), 1 - F.least("n", "n_first") / F.greatest("n", "n_first"))
-        own = roots.select(F.col("node").alias("cls"), F.col("root").alias("root"))
-        lead = roots.select(F.col("node").alias("first"), F.col("root").alias("root_first"))
-        table = cand.join(far, ["first", "cls"], "left").join(own, "cls", "left").join(lead, "first", "left")
-        table = table.select("bucket", "cls", "n", F.coalesce("root", "cls").alias("root"), F.coalesce("root_first", "first").alias("root_first"), F.coalesce("d_lo", apart).alias("d_lo"), F.coalesce("d_hi", F.lit(1.0)).alias("d_hi"))
+        own = roots.select(F.col("node").alias("cls"), "root")
+        lead = roots.select(F.col("node").alias("hub"), F.col("root").alias("root_hub"))
+        table = cand.where("members > 2").join(own, "cls", "left").join(lead, "hub", "left")
+        table = table.select("bucket", "hub", "cls", F.coalesce("root", "cls").alias("root"), (F.coalesce("root", "cls") != F.coalesce("root_hub", "hub")).alias("off"))
         table = materialize(table)
-        open_ = table.where("root <> root_first")  # linked with the first class's component: nothing left to find with it
-        gap = 1 - self.threshold
-        x = open_.select("bucket", F.col("cls").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"), F.col("d_lo").alias("la"), F.col("d_hi").alias("ha"))
-        y = table.select("bucket", F.col("cls").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), F.col("d_lo").alias("lb"), F.col("d_hi").alias("hb"), (F.col("root") != F.col("root_first")).alias("open_b"))
-        reach = (F.col("la") - F.col("hb") <= gap + 1e-9) & (F.col("lb") - F.col("ha") <= gap + 1e-9)
-        rest = x.join(y, "bucket").where((F.col("ra") != F.col("rb")) & self._close("na", "nb") & reach & (~F.col("open_b") | (F.col("a") < F.col("b"))))
-        swap = F.col("a") < F.col("b")
-        rest = rest.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(swap, F.col("na")).otherwise(F.col("nb")).alias("na"), F.when(swap, F.col("nb")).otherwise(F.col("na")).alias("nb")).distinct()
+        some = table.groupBy("bucket").agg(F.max("off").alias("any")).where("any").select("bucket")  # elsewhere all are joined
+        pairs = materialize(table.join(some, "bucket").select("hub", "cls", "root", "off").distinct())
+        sets = self._sets_of(pairs.select("cls").unionByName(pairs.select(F.col("hub").alias("cls"))).distinct())
+        both = pairs.join(sets.select(F.col("cls").alias("hub"), F.col("items").alias("x")), "hub").join(sets.select("cls", F.col("items").alias("y")), "cls")
+        kind = "hub binary, cls binary, root binary, off boolean, n long, size long, item long, place int"
+        diff = materialize(both.select("hub", "cls", "root", "off", "x", "y").mapInArrow(_differences(self.percent), kind))
+        x = diff.where("off").select("hub", "item", *[F.col(c).alias(f"{c}_x") for c in ("cls", "root", "n", "size", "place")])
+        y = diff.select("hub", "item", *[F.col(c).alias(f"{c}_y") for c in ("cls", "root", "off", "n", "size", "place")])
+        need = F.greatest(F.lit(1), F.ceil((F.col("size_x") + F.col("size_y") - F.least("n_x", "n_y") * (100 - self.percent) / self.percent) / 2 - 1e-9))
+        fits = (F.col("place_x") <= F.col("size_x") - need) & (F.col("place_y") <= F.col("size_y") - need)
+        once = ~F.col("off_y") | (F.col("cls_x") < F.col("cls_y"))
+        rest = x.join(y, ["hub", "item"]).where((F.col("root_x") != F.col("root_y")) & self._close("n_x", "n_y") & fits & once)
+        ends = [F.struct(F.col(f"cls_{k}").alias("cls"), F.col(f"n_{k}").alias("n")) for k in "xy"]
+        rest = rest.select(F.least(*ends).alias("lo"), F.greatest(*ends).alias("hi")).distinct().select(F.col("lo.cls").alias("a"), F.col("hi.cls").alias("b"), F.col("lo.n").alias("na"), F.col("hi.n").alias("nb"))
         rest = materialize(rest)
         if rest.isEmpty():
             return edges
-        more = self._verify(rest).where(linked).select("a", "b")
-        return materialize(edges.unionByName(more))
+        return materialize(edges.unionByName(self._verify(rest).where(linked).select("a", "b")))
 
     def groups(self) -> DataFrame:
         """doc_id, n_shingles, component_id, kept for every row."""
