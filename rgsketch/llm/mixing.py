@@ -73,6 +73,18 @@ def mix(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9, i
     return whole.unionByName(edge).select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
 
 
+def repeat_rows(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9) -> DataFrame:
+    """The rows of the mix with docs' columns: each document as often as the mix takes it. Rows of one id, source and size
+    are taken alike, as ``mix`` orders them by these."""
+    cols = docs.columns
+    taken = mix(docs, weigh, epochs, seed).select("doc_id", "source", "size", "copies")
+    taken = taken.groupBy("doc_id", "source", "size").agg(F.max("copies").alias("copies")).where("copies > 0")
+    size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
+    rows = docs.select(F.struct(*[docs[c] for c in cols]).alias("rec"), docs["doc_id"].alias("a"), docs["source"].alias("b"), size.alias("c"))
+    both = rows.join(taken, F.col("a").eqNullSafe(F.col("doc_id")) & F.col("b").eqNullSafe(F.col("source")) & (F.col("c") == F.col("size")))
+    return both.select("rec", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("copy")).select("rec.*")
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return mix(docs).select("doc_id", "size", "source_size", "target", "taken")

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 from rgsketch.llm import decontaminate, language_id, license_scan, media, mixing, near_dedup, secret_scan, sharding, suffix_dedup, url_filter
 
 
 def queries() -> dict:
     return {
+        "pipeline": corpus_pipeline.run,
         "op1_decontaminate": decontaminate.query,
         "op2_shard": sharding.query,
         "op3_media": media.query,
