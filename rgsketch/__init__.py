@@ -1,0 +1 @@
+"""Weighted minwise sketching for Spark DataFrames."""
