@@ -1,9 +1,8 @@
 """Removal of repeated passages by suffix arrays.
 
 A byte goes when a 400-byte string that covers it also starts somewhere else. Suffix arrays of a whole corpus don't fit a
-machine, so the corpus is cut where nothing is lost: every 400-byte string holds the least hash among its 32-byte grams
-(its anchor), equal strings hold it at the same place, and the fragment of 368 bytes before to 400 bytes after an anchor's
-start holds all the strings with that anchor. Anchors that occur once end here. Fragments that are equal stand for each
+machine, so the corpus is cut where nothing is lost: every 400-byte string holds the least hash among its 128-byte grams
+(its anchor), equal strings hold it at the same place, and an anchor's fragment is the union of the strings that have it. Anchors that occur once end here. Fragments that are equal stand for each
 other; different fragments of one anchor meet in a task and are searched by a suffix array built in two stages: only
 suffixes smaller than their successors are sorted directly, all others are induced by scans of the buckets; neighbours in
 the array are then compared. Anchors with very many different fragments are not gathered: their strings are hashed and
@@ -25,14 +24,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import FILTER_BITS, bit_filter, chunks, filter_spot, in_filter, materialize, mix64, prefix_hash, span_hash, utf8
+from rgsketch.llm.common import _INV, FILTER_BITS, bit_filter, chunks, filter_spot, in_filter, materialize, mix64, powers, prefix_hash, span_hash, utf8
 
 LENGTH = 400
-GRAM = 32
+GRAM = 128
 #: Different fragments of one anchor that one task searches; anchors with more are counted by string hashes.
 GROUP = 1500
 #: Bytes of fragments in one suffix array.
-ARRAY_BYTES = 1 << 19
+ARRAY_BYTES = 3 << 17
 _U = np.uint64
 
 
@@ -50,22 +49,35 @@ def window_min(keys: np.ndarray, width: int) -> np.ndarray:
 
 
 def anchors(raw: np.ndarray, offsets: np.ndarray, length: int, gram: int):
-    """Row, position in it, gram hash, fragment hash, and fragment's first byte and end in ``raw``, of each anchor."""
+    """Row, position in it, gram hash, fragment hash, and fragment's first byte and end in ``raw``, of each anchor.
+
+    The fragment is the union of the strings whose anchor it is: anchors never move back from one string to the next, so
+    these are neighbours.
+    """
     zero = np.zeros(0, np.int64)
+    none = (zero, zero, zero.astype(_U), zero.astype(_U), zero, zero)
     if len(raw) < length:
-        return zero, zero, zero.astype(_U), zero.astype(_U), zero, zero
+        return none
     prefix = prefix_hash(raw)
-    start = np.arange(len(raw) - gram + 1)
-    h = span_hash(prefix, start, start + gram)
+    n = len(raw) - gram + 1
+    h = prefix[gram:] - prefix[:n]
+    h *= powers(_INV, n)
     bits = _U(max(1, int(len(raw)).bit_length()))
-    least = window_min((h >> bits << bits) | start.astype(_U), length - gram + 1)
-    row = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))[: len(least)]
-    inside = np.arange(len(least)) + length <= offsets[row + 1]
-    spot = np.unique(least[inside] & ((_U(1) << bits) - _U(1))).astype(np.int64)
+    least = window_min((h >> bits << bits) | np.arange(n, dtype=_U), length - gram + 1)
+    inside = np.zeros(len(least), bool)
+    for a, e in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
+        if e - a >= length:
+            inside[a : e - length + 1] = True
+    first = np.flatnonzero(inside)
+    if not len(first):
+        return none
+    spot = (least[first] & ((_U(1) << bits) - _U(1))).astype(np.int64)
+    head = np.flatnonzero(np.concatenate(([True], spot[1:] != spot[:-1])))
+    lo, hi = first[head], first[np.append(head[1:], len(first)) - 1] + length
+    spot = spot[head]
     row = np.searchsorted(offsets, spot, side="right") - 1
-    lo, hi = np.maximum(offsets[row], spot - (length - gram)), np.minimum(offsets[row + 1], spot + length)
     frag = mix64(span_hash(prefix, lo, hi) + (spot - lo).astype(_U) * _U(0x9E3779B97F4A7C15))
-    return row, spot - offsets[row], h[spot], frag, lo, hi
+    return row, spot - offsets[row], mix64(h[spot]), frag, lo, hi
 
 
 def _find_anchors(length: int, gram: int):
@@ -98,7 +110,7 @@ def two_stage_suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     direct = np.flatnonzero(small)
     padded = np.concatenate([text, np.zeros(depth, np.uint8)])
     cells = np.lib.stride_tricks.sliding_window_view(padded, depth)[direct]
-    direct = direct[np.argsort(np.ascontiguousarray(cells).view(f"S{depth}").ravel(), kind="stable")] if len(direct) else direct
+    direct = direct[np.argsort(cells.view(f"S{depth}").ravel(), kind="stable")] if len(direct) else direct
     heads = np.searchsorted(text[direct], np.arange(257))
     queue: list[list[np.ndarray]] = [[] for _ in range(256)]
     queue[text[n - 1]].append(np.array([n - 1]))
@@ -114,15 +126,15 @@ def two_stage_suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
 
     out = []
     for c in range(256):
-        at = 0
-        while at < len(queue[c]):  # entries of the same byte are appended while they are scanned
-            deal(queue[c][at], c)
-            at += 1
+        done = []
+        while queue[c]:  # entries of the same byte are appended while the last ones are scanned
+            now, queue[c] = np.concatenate(queue[c]), []
+            done.append(now)
+            deal(now, c)
         own = direct[heads[c] : heads[c + 1]]
         if len(own):
             deal(own, c + 1)
-        out += [*queue[c], own]
-        queue[c] = []
+        out += [*done, own]
     return np.concatenate(out)
 
 
