@@ -106,8 +106,8 @@ def sql_densify(k: int, mode: str = "rotate", seed: int = 0, bins: str = "oph",
     from rgsketch.functions.rng import sql_uniform
 
     step = -(-PRIME // k) + 1
-    right = f"(SELECT min_by(o.h + (o.at - g.bin) * {step}, o.at) FROM {name}_o o WHERE o.vec_id = g.vec_id AND o.at >= g.bin)"
-    left = f"(SELECT max_by(o.h + (g.bin - o.at) * {step}, o.at) FROM {name}_o o WHERE o.vec_id = g.vec_id AND o.at <= g.bin)"
+    right = f"(SELECT min_by(o.h + (o.at - g.bin)::BIGINT * {step}, o.at) FROM {name}_o o WHERE o.vec_id = g.vec_id AND o.at >= g.bin)"
+    left = f"(SELECT max_by(o.h + (g.bin - o.at)::BIGINT * {step}, o.at) FROM {name}_o o WHERE o.vec_id = g.vec_id AND o.at <= g.bin)"
     pick = right if mode == "rotate" else f"CASE WHEN {sql_uniform(f'{seed}', "'side'", 'g.bin')} < 0.5 THEN {right} ELSE {left} END"
     return (
         f"{name}_o AS (SELECT vec_id, h, bin + s * {k} AS at FROM {bins}, (VALUES (-1), (0), (1)) t(s)), "

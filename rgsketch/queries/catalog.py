@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from rgsketch.queries import sketches
+from rgsketch.queries import applications, sketches
 
 
 def entries() -> dict:
-    return {**sketches.queries()}
+    return {**sketches.queries(), **applications.queries()}
