@@ -94,7 +94,7 @@ def _suppliers(spark, d):
 
 def _l1_est(spark, d):
     e = _sketch_estimates("supplier_month", 128, 64)(spark, d)
-    return e.select("id_a", "id_b", F.round(similarity.l1_estimate(F.col("est"), F.col("l1_a"), F.col("l1_b")), 4).alias("est_l1"), F.round(similarity.l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")), 5).alias("l1"))
+    return e.select("id_a", "id_b", F.round(similarity.l1_estimate(F.col("est"), F.col("l1_a"), F.col("l1_b")), 5).alias("est_l1"), F.round(similarity.l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")), 5).alias("l1"))
 
 
 def _emd_est(spark, d):
@@ -398,7 +398,7 @@ def queries() -> dict:
         "est_jaccard": (_est, _with(*_est_sql("embeddings", 64, 256)) + "SELECT id_a, id_b, round(est, 6) AS est, round(j, 6) AS j FROM es"),
         "est_errors_by_k": (_errors, _ERRORS), "est_zscores": (_zscores, _ZSCORES), "est_required_k": (_required, _REQUIRED), "est_cap_correction": (_cap_correction, _CAPCOR),
         "lowbits_estimate": _bits("low"), "rehash_estimate": _bits("rehash"), "position_corr": (_poscorr, _POSCORR),
-        "l1_estimate": (_l1_est, _with(*_est_sql("supplier_month", 128, 64)) + "SELECT id_a, id_b, round((l1_a + l1_b) * (1 - est) / (1 + est), 4) AS est_l1, round((l1_a + l1_b) * (1 - j) / (1 + j), 5) AS l1 FROM es"),
+        "l1_estimate": (_l1_est, _with(*_est_sql("supplier_month", 128, 64)) + "SELECT id_a, id_b, round((l1_a + l1_b) * (1 - est) / (1 + est), 5) AS est_l1, round((l1_a + l1_b) * (1 - j) / (1 + j), 5) AS l1 FROM es"),
         "emd_estimate": (_emd_est, None),
         "lsh_buckets": (_buckets, _with(*_LET, *_CAND) + "SELECT table_id, bucket, vec_id FROM ix"), "lsh_candidates": (_candidates, _with(*_LET, *_CAND) + "SELECT id_a, id_b FROM cand"),
         "lsh_query_topm": (_top, None), "lsh_query_l1": (_l1_top, None), "lsh_curve": (_curve, _CURVE), "lsh_quality": (_lsh_quality, _QUALITY),

@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from rgsketch.queries import applications, sketches
+from rgsketch.queries import applications, engine, sketches, streams
 
 
 def entries() -> dict:
-    return {**sketches.queries(), **applications.queries()}
+    return {**sketches.queries(), **applications.queries(), **engine.queries(), **streams.queries()}

@@ -17,7 +17,8 @@ def source(spark: SparkSession, path: str, schema, files_per_batch: int | None =
     reader = spark.readStream.schema(schema)
     if files_per_batch:
         reader = reader.option("maxFilesPerTrigger", files_per_batch)
-    return reader.parquet(path)
+    df = reader.parquet(path)
+    return df.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in df.columns else df  # watermarks need a zone
 
 
 def drain(stream: DataFrame, mode: str, each: Callable[[DataFrame, int], None], checkpoint: str | None = None) -> str:
