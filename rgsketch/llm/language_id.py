@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 UND = "und"
 DIM = 1 << 13
@@ -183,7 +184,7 @@ def predict(df: DataFrame, model: Model) -> DataFrame:
     """df with lang_pred and score in the place of column ``text``, which comes first; the others are carried."""
     rest = [f for f in df.schema.fields if f.name != "text"]
     df = df.select(df["text"].cast("string"), *[df[f.name] for f in rest])
-    kind = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rest), "lang_pred string, score double"])
+    kind = T.StructType([*(df.schema[f.name] for f in rest), T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
 
     def run(batches):
         for batch in batches:

@@ -17,6 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from rgsketch.llm.common import maybe_broadcast
 
@@ -48,8 +49,8 @@ def external_shuffle(df: DataFrame, seed: int = 17, bucket_bytes: int = BUCKET_B
         at[ids] = order
         return pa.table({"rec": group.column("rec"), "bucket": group.column("bucket"), "pos": at})
 
-    kind = keyed.select("rec").schema["rec"].dataType.simpleString()
-    moved = keyed.groupBy("bucket").applyInArrow(permute, f"rec {kind}, bucket int, pos long")
+    kind = T.StructType([keyed.schema["rec"], T.StructField("bucket", T.IntegerType()), T.StructField("pos", T.LongType())])
+    moved = keyed.groupBy("bucket").applyInArrow(permute, kind)
     offsets = maybe_broadcast(df.sparkSession.createDataFrame(starts, "bucket int, at long"), len(starts), 2_000_000)
     return moved.join(offsets, "bucket").select("rec", (F.col("at") + F.col("pos")).alias("rank"))
 
