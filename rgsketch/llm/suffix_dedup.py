@@ -294,7 +294,8 @@ def repeated_spans(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, gro
     """(txt, starts, ends): places of repeated strings in distinct texts, not merged. texts has txt (md5) and text."""
     found = materialize(texts.mapInArrow(_find_anchors(length, gram), "txt binary, pos long, key long, frag long, left int, size int"))
     place = F.xxhash64("txt", "pos")
-    twice = found.groupBy("key").agg(F.min(place).alias("lo"), F.max(place).alias("hi")).where("lo <> hi").select("key")
+    # written first: a join of two plain tables lets a hot anchor's rows be split over tasks
+    twice = materialize(found.groupBy("key").agg(F.min(place).alias("lo"), F.max(place).alias("hi")).where("lo <> hi").select("key"))
     live = materialize(found.join(twice, "key"))
     frags = live.groupBy("key", "frag").agg(F.min(place).alias("lo"), F.max(place).alias("hi"), F.min("txt").alias("txt"), F.max("size").alias("size"))
     frags = materialize(frags.select("key", "frag", (F.col("lo") != F.col("hi")).alias("multi"), "txt", "size"))
