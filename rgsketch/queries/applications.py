@@ -274,7 +274,7 @@ def _contamination(spark, d):
     return j.select("item_id", "doc_id", F.round(c, 6).alias("containment")).where("containment >= 0.5")
 
 
-_TOK = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+')"
+_TOK = "regexp_extract_all(lower(coalesce(text, '')), '[^\\x20\\x09-\\x0D]+')"
 _CONT = f"WITH a AS (SELECT i, w, count(*)::DOUBLE AS n FROM (SELECT item_id AS i, unnest({_TOK}) AS w FROM benchmark) GROUP BY ALL), b AS (SELECT i, w, count(*)::DOUBLE AS n FROM (SELECT doc_id AS i, unnest({_TOK}) AS w FROM documents) GROUP BY ALL) SELECT a.i AS item_id, b.i AS doc_id, round(sum(least(a.n, b.n)) / any_value(t.n), 6) AS containment FROM a JOIN b USING (w) JOIN (SELECT i, sum(n) AS n FROM a GROUP BY i) t ON t.i = a.i GROUP BY ALL HAVING round(sum(least(a.n, b.n)) / any_value(t.n), 6) >= 0.5"
 
 

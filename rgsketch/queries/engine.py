@@ -204,7 +204,7 @@ def _kmers(spark, d):
     return V.kmers(table(spark, d, "benchmark"), "item_id", "text", 4)
 
 
-_KMERS = f"SELECT vec_id, name, count(*)::DOUBLE AS weight FROM (SELECT item_id AS vec_id, unnest(CASE WHEN length(t) < 4 THEN [] ELSE list_transform(range(1, length(t) - 2), lambda i: t[i:i + 3]) END) AS name FROM (SELECT item_id, translate(coalesce(text, ''), '{V.UPPER}', '{V.LOWER}') AS t FROM benchmark)) GROUP BY ALL"
+_KMERS = f"SELECT vec_id, name, count(*)::DOUBLE AS weight FROM (SELECT item_id AS vec_id, unnest(CASE WHEN length(t) < 4 THEN [] ELSE list_transform(range(1, length(t) - 2), lambda i: t[i:i + 3]) END) AS name FROM (SELECT item_id, lower(coalesce(text, '')) AS t FROM benchmark)) GROUP BY ALL"
 
 
 def _terms(name, id_col, role=None):

@@ -14,8 +14,8 @@ UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
 def tokens(text: Column) -> Column:
-    """Maximal runs of non-blanks with A-Z lower-cased; null gives none."""
-    return F.regexp_extract_all(F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER), F.lit(WORD), F.lit(0))
+    """Maximal runs of non-blanks, lower-cased; null gives none."""
+    return F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(WORD), F.lit(0))
 
 
 def dictionary(names: DataFrame) -> DataFrame:
@@ -67,7 +67,7 @@ def term_counts(df: DataFrame, id_col: str, text_col: str, role_col: str | None
 
 def kmers(df: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
     """(vec_id, name, weight): counts of the runs of k characters."""
-    text = F.translate(F.coalesce(F.col(text_col), F.lit("")), UPPER, LOWER)
+    text = F.lower(F.coalesce(F.col(text_col), F.lit("")))
     n = F.length(text) - k + 1
     part = F.explode(F.when(n >= 1, F.transform(F.sequence(F.lit(1), n), lambda i: F.substring(text, i, F.lit(k))))).alias("name")
     return df.select(F.col(id_col).alias("vec_id"), part).groupBy("vec_id", "name").agg(F.count("*").cast("double").alias("weight"))
@@ -127,17 +127,21 @@ def doc_terms(spark: SparkSession, d: str) -> DataFrame:
 
 
 def doc_letters(spark: SparkSession, d: str) -> DataFrame:
-    """Shares among the letters a-z, by differences of lengths; no character is exploded."""
-    t = table(spark, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("vec_id"), F.translate(F.coalesce("text", F.lit("")), UPPER, LOWER).alias("t"))
-    counts = F.array(*[F.struct(F.lit(i).alias("comp"), (F.length("t") - F.length(F.replace("t", F.lit(c)))).alias("n")) for i, c in enumerate(LOWER)])
-    rows = t.select("vec_id", counts.alias("c")).select("vec_id", F.aggregate("c", F.lit(0), lambda a, x: a + x["n"]).alias("all"), F.explode("c").alias("c"))
-    return rows.where("c.n > 0").select("vec_id", "c.comp", (F.col("c.n") / F.col("all")).alias("weight"))
+    """Shares among the letters a-z of either case, by differences of lengths; no character is exploded, and the counts are
+    bound to a lambda's variable so that they are made once."""
+    t = F.coalesce("text", F.lit(""))
+    left = lambda c: F.length(F.replace(F.replace(t, F.lit(c)), F.lit(c.upper())))
+    counts = F.array(*[F.length(t) - left(c) for c in LOWER])
+    total = lambda c: F.aggregate(c, F.lit(0), lambda a, x: a + x)
+    shares = F.element_at(F.transform(F.array(counts), lambda c: F.transform(c, lambda x, i: F.struct(i.alias("comp"), x.alias("n"), total(c).alias("all")))), 1)
+    rows = table(spark, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("vec_id"), F.explode(shares).alias("c"))
+    return rows.where("c.n > 0").select("vec_id", "c.comp", (F.col("c.n") / F.col("c.all")).alias("weight"))
 
 
 def page_tags(spark: SparkSession, d: str) -> DataFrame:
     tag = F.explode(F.regexp_extract_all(F.coalesce("html", F.lit("")), F.lit("<([A-Za-z][A-Za-z0-9]*)"), F.lit(1))).alias("t")
     rows = table(spark, d, "pages", "page_id", "html").select(F.col("page_id").alias("vec_id"), tag)
-    return encode(rows.groupBy("vec_id", F.translate("t", UPPER, LOWER).alias("name")).agg(F.count("*").cast("double").alias("weight")))
+    return encode(rows.groupBy("vec_id", F.lower("t").alias("name")).agg(F.count("*").cast("double").alias("weight")))
 
 
 def conversation_terms(spark: SparkSession, d: str) -> DataFrame:
@@ -157,21 +161,21 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "doc_terms": doc_terms, "doc_letters": doc_letters, "page_tags": page_tags, "conversation_terms": conversation_terms, "benchmark_terms": benchmark_terms, "doc_folded": doc_folded,
 }
 
-_TOKENS = rf"regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '{WORD}')"
+_TOKENS = rf"regexp_extract_all(lower(coalesce(text, '')), '{WORD}')"
 _NAMED = {
     "customer_brand": "SELECT o_custkey AS vec_id, p_brand AS name, sum(l_quantity) AS weight FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY ALL",
     "supplier_brand": "SELECT l_suppkey AS vec_id, p_brand AS name, sum(l_quantity) AS weight FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY ALL",
     "supplier_month": "SELECT l_suppkey AS vec_id, strftime(l_shipdate, '%Y-%m') AS name, sum(l_extendedprice::DECIMAL(18,2))::DOUBLE / 1000 AS weight FROM lineitem GROUP BY ALL",
     "user_hours": "SELECT user_id AS vec_id, event_type || '|' || strftime(ts, '%H') AS name, count(*)::DOUBLE AS weight FROM events GROUP BY ALL",
     "doc_terms": f"SELECT vec_id, name, count(*)::DOUBLE AS weight FROM (SELECT doc_id AS vec_id, unnest({_TOKENS}) AS name FROM documents) GROUP BY ALL",
-    "page_tags": f"SELECT vec_id, translate(name, '{UPPER}', '{LOWER}') AS name, count(*)::DOUBLE AS weight FROM (SELECT page_id AS vec_id, unnest(regexp_extract_all(coalesce(html, ''), '<([A-Za-z][A-Za-z0-9]*)', 1)) AS name FROM pages) GROUP BY ALL",
+    "page_tags": f"SELECT vec_id, lower(name) AS name, count(*)::DOUBLE AS weight FROM (SELECT page_id AS vec_id, unnest(regexp_extract_all(coalesce(html, ''), '<([A-Za-z][A-Za-z0-9]*)', 1)) AS name FROM pages) GROUP BY ALL",
     "conversation_terms": f"SELECT vec_id, concat_ws(':', role, t) AS name, count(*)::DOUBLE AS weight FROM (SELECT conv_id AS vec_id, role, unnest({_TOKENS}) AS t FROM conversations) GROUP BY ALL",
     "benchmark_terms": f"SELECT vec_id, name, count(*)::DOUBLE AS weight FROM (SELECT item_id AS vec_id, unnest({_TOKENS}) AS name FROM benchmark) GROUP BY ALL",
 }
 _DIRECT = {
     "embeddings": "SELECT vec_id, (2 * (i - 1) + CASE WHEN e < 0 THEN 1 ELSE 0 END)::INT AS comp, abs(e) AS weight FROM (SELECT vec_id, unnest(embedding)::DOUBLE AS e, generate_subscripts(embedding, 1) AS i FROM embeddings) WHERE e <> 0",
     "part_supplier": "SELECT l_partkey AS vec_id, l_suppkey::INT AS comp, sum(l_quantity) AS weight FROM lineitem GROUP BY ALL",
-    "doc_letters": f"SELECT vec_id, comp, n / sum(n) OVER (PARTITION BY vec_id) AS weight FROM (SELECT doc_id AS vec_id, i::INT AS comp, (length(t) - length(replace(t, chr((97 + i)::INT), '')))::DOUBLE AS n FROM (SELECT doc_id, translate(coalesce(text, ''), '{UPPER}', '{LOWER}') AS t FROM documents), range(26) r(i)) WHERE n > 0",
+    "doc_letters": f"SELECT vec_id, comp, n / sum(n) OVER (PARTITION BY vec_id) AS weight FROM (SELECT doc_id AS vec_id, i::INT AS comp, (length(t) - length(replace(t, chr((97 + i)::INT), '')))::DOUBLE AS n FROM (SELECT doc_id, lower(coalesce(text, '')) AS t FROM documents), range(26) r(i)) WHERE n > 0",
     "doc_folded": f"SELECT vec_id, (('0x' || substr(md5(concat_ws(':', '0', name)), 1, 13))::BIGINT % 1024)::INT AS comp, sum(weight) AS weight FROM ({_NAMED['doc_terms']}) GROUP BY ALL",
 }
 
