@@ -127,8 +127,15 @@ def _bound(threshold: float):
     return run
 
 
-def _confirm(batches):
+def _slices(batches, rows: int = 500):
+    """Batches of fewer rows: sets are some kB each, and Python copies of a whole batch's would add up."""
     for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
+def _confirm(batches):
+    for batch in _slices(batches):
         out = [len(np.intersect1d(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), assume_unique=True)) for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.int64())], ["a", "b", "common"])
 
@@ -139,7 +146,7 @@ def _differences(percent: int):
     slack = (100 - percent) / percent
 
     def run(batches):
-        for batch in batches:
+        for batch in _slices(batches):
             out: list[tuple] = []
             for hub, cls, root, off, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
