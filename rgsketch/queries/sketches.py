@@ -54,7 +54,8 @@ def _rg(name: str, rounding: str = "ceil"):
     def run(spark, d):
         v = V.BUILDERS[name](spark, d)
         lay = L.of(v, rounding=rounding)
-        return redgreen.sketch_relational(v, D.build(lay, k, steps, SEED), lay.alpha)
+        darts = D.prune(D.build(lay, k, steps, SEED))
+        return redgreen.sketch_relational(v, D.drop_dead(darts, lay) if rounding == "ceil" else darts, lay.alpha)
 
     return run, _with(V.sql(name), L.sql(rounding=rounding), D.sql(k, steps, SEED), redgreen.sql()) + "SELECT * FROM rg"
 
