@@ -37,6 +37,12 @@ _RNG = np.random.default_rng(71)
 _MULT = _RNG.integers(0, 1 << 31, 4096, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 
 
+def row_key(text: F.Column, id_: F.Column) -> F.Column:
+    """A row's key by text and id; a null counts as a value of its own."""
+    text = text.cast("string")
+    return F.xxhash64(text, text.isNull(), id_, id_.isNull())
+
+
 def bands_for(threshold: float, rows: int = ROWS, miss: float = MISS) -> int:
     """Bands that miss a pair at the threshold with probability ``miss`` at most."""
     return math.ceil(math.log(miss) / math.log(1 - threshold**rows))
@@ -178,7 +184,7 @@ class NearDuplicates:
         self.bands = bands_for(self.threshold)
         self.m = self.bands * ROWS
         text = df[text_col].cast("string")
-        self.rows = df.select(df[id_col].cast("long").alias("doc_id"), F.xxhash64(text, df[id_col]).alias("rk"), text.alias("text"))
+        self.rows = df.select(df[id_col].cast("long").alias("doc_id"), row_key(df[text_col], df[id_col]).alias("rk"), text.alias("text"))
         kind = "doc_id long, rk long, n long, cls binary, regs binary"
         self.sketches = materialize(self.rows.mapInArrow(_sketch(width, self.m), kind))
         some = self.sketches.where("cls IS NOT NULL").groupBy("cls").agg(F.min("doc_id").alias("rep"), F.min("rk").alias("rk"), F.max("n").alias("n"))
@@ -263,15 +269,24 @@ class NearDuplicates:
             return edges
         return materialize(edges.unionByName(self._verify(rest).where(linked).select("a", "b")))
 
-    def groups(self) -> DataFrame:
-        """doc_id, n_shingles, component_id, kept for every row."""
+    def _members(self) -> DataFrame:
+        """doc_id, rk, n, root (null without words) and component_id of every row."""
         roots = components(self.links())
         named = self.classes.select("cls", "rep").join(roots.select(F.col("node").alias("cls"), "root"), "cls", "left").withColumn("root", F.coalesce("root", "cls"))
         ids = named.groupBy("root").agg(F.min("rep").alias("component_id"))
-        of = named.join(ids, "root").select("cls", "component_id")
-        out = self.sketches.select("doc_id", "n", "cls").join(of, "cls", "left")
-        comp = F.when(F.col("cls").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-        return out.select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"), comp.eqNullSafe(F.col("doc_id")).alias("kept"))
+        return self.sketches.select("doc_id", "rk", "n", "cls").join(named.join(ids, "root").select("cls", "root", "component_id"), "cls", "left")
+
+    def groups(self) -> DataFrame:
+        """doc_id, n_shingles, component_id, kept for every row."""
+        comp = F.when(F.col("root").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
+        return self._members().select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"), comp.eqNullSafe(F.col("doc_id")).alias("kept"))
+
+    def survivors(self) -> DataFrame:
+        """(rk, doc_id) of one row of each group, the smallest id (null last), and of every different row without words."""
+        rows = self._members()
+        least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rk")).alias("r")
+        grouped = rows.where("root IS NOT NULL").groupBy("root").agg(least).select("r.rk", "r.doc_id")
+        return grouped.unionByName(self.sketches.where("cls IS NULL").select("rk", "doc_id").distinct())
 
 
 def query(spark, sf_dir: str) -> DataFrame:
@@ -279,10 +294,14 @@ def query(spark, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """One row of each group stays, with its columns; rows without words stay (repeated rows once)."""
-    kept = NearDuplicates(docs, width, percent).groups().where("kept").select(F.col("doc_id").alias("__kept")).distinct()
-    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("rec"), docs["doc_id"].alias("__id"))
-    return rows.join(kept, F.col("__id").eqNullSafe(F.col("__kept")), "left_semi").dropDuplicates(["__id"]).select("rec.*")
+    """One row of each group stays, with its columns; rows without words stay (repeated rows once).
+
+    Rows are known by id and text together, so that rows of one id (or of none) with different texts stay apart.
+    """
+    stay = NearDuplicates(docs, width, percent).survivors().select(F.col("rk").alias("__stay"), F.col("doc_id").alias("__of"))
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("rec"), row_key(docs["text"], docs["doc_id"]).alias("__rk"), docs["doc_id"].cast("long").alias("__id"))
+    same = (F.col("__rk") == F.col("__stay")) & F.col("__id").eqNullSafe(F.col("__of"))
+    return rows.join(stay, same, "left_semi").dropDuplicates(["__rk", "__id"]).select("rec.*")
 
 
 ORACLE = r"""

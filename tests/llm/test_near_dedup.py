@@ -78,6 +78,12 @@ def test_empty_table_and_null_ids(docs_of):
     assert sorted((r["doc_id"] or -1, r["component_id"] or -1) for r in got) == [(-1, -1), (-1, 7), (7, 7)]
 
 
+def test_keep_one_tells_rows_of_one_id_or_none_apart(docs_of):
+    rows = [(None, "a b c d e f g"), (None, "h i j k l m n"), (5, "o p q r s t u"), (5, "v w x y z a b"), (6, "O P q r s t u"), (None, "h i j k l m n"), (None, None), (None, None), (5, ""), (5, None)]
+    got = sorted(((r["doc_id"] or -1, r["text"] or str(r["text"])) for r in nd.keep_one(docs_of(rows)).collect()))
+    assert got == sorted([(-1, "a b c d e f g"), (-1, "h i j k l m n"), (5, "o p q r s t u"), (5, "v w x y z a b"), (-1, "None"), (5, ""), (5, "None")])
+
+
 def test_registers_merge_and_follow_similarity():
     rng = np.random.default_rng(0)
     base = rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
