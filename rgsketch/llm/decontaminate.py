@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import chunks, prefix_hash, span_hash, utf8, words
+from rgsketch.llm.common import chunks, prefix_hash, row_slices, span_hash, utf8, words
 
 SIMILARITY = 0.8
 RECALL = 0.99
@@ -192,7 +192,7 @@ def matches(index: Index, raw: np.ndarray, offsets: np.ndarray, similarity: floa
 
 def _search(index: Index, similarity: float):
     def run(batches):
-        for batch in batches:
+        for batch in row_slices(batches, 2000):
             texts = pa.array([normalise(t.as_py()) for t in batch.column(1)], pa.large_string())
             raw, offsets = utf8(texts)
             rows = matches(index, raw, offsets, similarity)

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import bit_filter, chunks, filter_spot, in_filter, materialize, mix64, shingle_hashes, utf8, word_hashes
+from rgsketch.llm.common import bit_filter, chunks, filter_spot, in_filter, materialize, mix64, row_slices, shingle_hashes, utf8, word_hashes
 from rgsketch.llm.graph import components
 
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
@@ -121,10 +121,8 @@ def _bound(threshold: float):
     """Add j_max, an upper bound of the similarity, to candidate pairs with both sides' registers."""
 
     def run(batches):
-        for batch in batches:
+        for batch in row_slices(batches):
             a, b, ra, rb, na, nb = batch.columns
-            if not batch.num_rows:
-                continue
             x, y = (np.frombuffer(b"".join(c.to_pylist()), ">u2").reshape(batch.num_rows, -1) for c in (ra, rb))
             more, less = (x > y).sum(1), (x < y).sum(1)
             _, top = joint_estimate(more, less, x.shape[1] - more - less, na.to_numpy().astype(float), nb.to_numpy().astype(float), threshold)
@@ -133,15 +131,8 @@ def _bound(threshold: float):
     return run
 
 
-def _slices(batches, rows: int = 500):
-    """Batches of fewer rows: sets are some kB each, and Python copies of a whole batch's would add up."""
-    for batch in batches:
-        for at in range(0, batch.num_rows, rows):
-            yield batch.slice(at, rows)
-
-
 def _confirm(batches):
-    for batch in _slices(batches):
+    for batch in row_slices(batches):
         out = [len(np.intersect1d(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), assume_unique=True)) for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.int64())], ["a", "b", "common"])
 
@@ -152,7 +143,7 @@ def _differences(percent: int):
     slack = (100 - percent) / percent
 
     def run(batches):
-        for batch in _slices(batches):
+        for batch in row_slices(batches):
             out: list[tuple] = []
             for hub, cls, root, off, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
