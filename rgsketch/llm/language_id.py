@@ -214,8 +214,17 @@ def query(spark, sf_dir: str) -> DataFrame:
 
 
 def keep_known(docs: DataFrame, least_score: float = 0.5) -> DataFrame:
-    """Rows whose language is recognised with the given calibrated probability; ``und`` rows go. Columns stay as they are."""
+    """Rows whose language is recognised with the given calibrated probability; ``und`` rows go. Columns stay as they are.
+
+    The text goes to Python once, within the row.
+    """
     model = learn_from(docs)
-    cols = docs.columns
-    packed = docs.select(docs["text"], F.struct(*[docs[c] for c in cols]).alias("rec"))
-    return predict(packed, model).where((F.col("lang_pred") != UND) & (F.col("score") >= least_score)).select("rec.*")
+    packed = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("rec"))
+    at = docs.columns.index("text")
+
+    def run(batches):
+        for batch in batches:
+            found = [model.predict(t.as_py()) for t in batch.column(0).field(at)]
+            yield batch.filter(pa.array([lang != UND and score >= least_score for lang, score in found], pa.bool_()))
+
+    return packed.mapInArrow(run, packed.schema).select("rec.*")

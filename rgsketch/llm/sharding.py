@@ -41,7 +41,6 @@ def external_shuffle(df: DataFrame, seed: int = 17, bucket_bytes: int = BUCKET_B
         at += n
 
     def permute(group: pa.Table) -> pa.Table:
-        group = group.combine_chunks()
         b = group.column("bucket")[0].as_py()
         ids = np.argsort(group.column("h").to_numpy(), kind="stable")  # rows of one hash are equal, so the order they came in is gone
         order = np.random.default_rng([seed, b]).permutation(len(ids))  # Fisher-Yates
