@@ -65,3 +65,44 @@ def test_embedding_of_equal_strings_is_equal():
     moves[:, 0] = 0
     out = d.embed(raw, np.array([2, 13]), np.array([13, 24]), moves)
     assert (out[:, 0] == out[:, 1]).all()
+
+
+def one_typo_a_word(rng, text):
+    out = []
+    for word in text.split():
+        k = rng.randrange(len(word))
+        out.append(word[:k] + rng.choice("vwxyz") + word[k + 1 :])
+    return " ".join(out)
+
+
+def test_passages_without_any_surviving_run_are_found():
+    rng = random.Random(3)
+    items = [random_words(rng, n) for n in (3, 4, 14, 14, 20, 20, 35, 35, 60, 60)]
+    assert min(map(len, items)) >= d.RUN_BYTES
+    index = d.build_index(list(range(len(items))), items, d.tables_for())
+    docs, truth = [], set()
+    for k in range(300):
+        i = rng.randrange(len(items))
+        hurt = one_typo_a_word(rng, items[i]) if k % 3 == 0 else edit(rng, items[i], rng.choice([0.15, 0.17, 0.2]))
+        docs.append(d.normalise(f"{random_words(rng, k % 7)} {hurt} {random_words(rng, k % 5)}"))
+        for j, item in enumerate(items):
+            limit = d.limit_of(item.encode(), 0.8)
+            if d.edits(item.encode(), docs[-1].encode(), limit) <= limit:
+                truth.add((k, j))
+    raw, offsets = utf8(pa.array(docs, pa.large_string()))
+    rows = d.matches(index, raw, offsets, 0.8)
+    assert {(a, b) for a, b, _, _ in rows} == truth and len(truth) > 150
+    for a, b, first, e in rows:
+        part = docs[a].encode()[max(0, first - e) : first + len(items[b]) + 2 * e]
+        assert d.edits(items[b].encode(), part, e) == e
+
+
+def test_other_limits_lose_nothing():
+    rng = random.Random(4)
+    for similarity in (0.6, 0.9, 0.97, 1.0):
+        items = [random_words(rng, n) for n in (3, 9, 25, 60)]
+        index = d.build_index(list(range(4)), items, d.tables_for(), similarity=similarity)
+        docs = [d.normalise(f"{random_words(rng, 3)} {edit(rng, items[k % 4], (1 - similarity) * rng.random())} {random_words(rng, 3)}") for k in range(100)]
+        truth = {(k, j) for k, t in enumerate(docs) for j, x in enumerate(items) if d.edits(x.encode(), t.encode(), len(x)) <= d.limit_of(x.encode(), similarity)}
+        raw, offsets = utf8(pa.array(docs, pa.large_string()))
+        assert {(a, b) for a, b, _, _ in d.matches(index, raw, offsets, similarity)} == truth
