@@ -83,9 +83,9 @@ NAMES = [
     ("odc-by-1", "odc by|open data commons attribution", r"(?:odc by|open data commons attribution)(?: license)?(?: v?1(?: 0)?)?", "odc by 1 0"),
     ("pddl-1", "pddl", r"pddl(?: v?1(?: 0)?)?", "pddl 1 0"),
     ("cc0-1", "cc0", r"cc0(?: 1 0)?(?: universal)?", "cc0 1 0"),
-    ("cc-by-nc-nd", "cc by nc nd|attribution noncommercial no", r"(?:cc by nc nd|(?:creative commons )?attribution non ?commercial no ?derivatives?)(?: [1-4] [05])?", "cc by nc nd 4 0"),
-    ("cc-by-nc-sa", "cc by nc sa|attribution noncommercial share", r"(?:cc by nc sa|(?:creative commons )?attribution non ?commercial share ?alike)(?: [1-4] [05])?", "cc by nc sa 4 0"),
-    ("cc-by-nc", "cc by nc|attribution noncommercial", r"(?:cc by nc|(?:creative commons )?attribution non ?commercial)(?: [1-4] [05])?", "cc by nc 4 0"),
+    ("cc-by-nc-nd", "cc by nc nd|attribution noncommercial|attribution non commercial", r"(?:cc by nc nd|(?:creative commons )?attribution non ?commercial no ?derivatives?)(?: [1-4] [05])?", "cc by nc nd 4 0"),
+    ("cc-by-nc-sa", "cc by nc sa|attribution noncommercial|attribution non commercial", r"(?:cc by nc sa|(?:creative commons )?attribution non ?commercial share ?alike)(?: [1-4] [05])?", "cc by nc sa 4 0"),
+    ("cc-by-nc", "cc by nc|attribution noncommercial|attribution non commercial", r"(?:cc by nc|(?:creative commons )?attribution non ?commercial)(?: [1-4] [05])?", "cc by nc 4 0"),
     ("cc-by-nd", "cc by nd|attribution no", r"(?:cc by nd|(?:creative commons )?attribution no ?derivatives?)(?: [1-4] [05])?", "cc by nd 4 0"),
     ("cc-by-sa", "cc by sa|attribution share", r"(?:cc by sa|(?:creative commons )?attribution share ?alike)(?: [1-4] [05])?", "cc by sa 4 0"),
     ("cc-by", "cc by|commons attribution", r"(?:cc by|creative commons attribution)(?: [1-4] [05])?", "cc by 4 0"),
@@ -118,14 +118,15 @@ TEXTS = [
     ("mpl-2", "source code form", r"this source code form is subject to the terms of the mozilla public license"),
     ("zlib", "as is", r"this software is provided as is without any express or implied warranty in no event will the authors"),
     ("bsl-1", "permission is hereby", r"permission is hereby granted free of charge to any person or organization obtaining a copy"),
-    ("wtfpl", "do what", r"everyone is permitted to copy and distribute verbatim or modified copies of this license document"),
+    ("wtfpl", "everyone is permitted", r"everyone is permitted to copy and distribute verbatim or modified copies of this license document"),
     ("unlicense", "public domain", r"this is free and unencumbered software released into the public domain"),
     ("cc0-1", "public domain", r"dedicated (?:this|the) (?:work|software|person).{0,80}to the public domain"),
     ("public-domain", "public domain", r"(?:released|placed|dedicated|donated) (?:in)?to the public domain"),
     ("proprietary", "all rights reserved", r"all rights reserved"),
 ]
-#: A text without any of these holds no detection; each rule's own keyword is tested next.
-TRIGGERS = ("licen", "spdx", "public domain", "permission", "redistribut", "rights reserved", "mozilla", "under", "apache", "cc", "free software", "as is", "permitted", "dedicated")
+#: Parts of single words, so that no line break or hyphen hides them. Every rule's regex and every base phrase needs one of
+#: them, so a text without any holds no detection; each rule's own keyword is tested next, on the joined words.
+TRIGGERS = ("licen", "under", "domain", "permission", "redistribut", "reserved", "warranty", "cc")
 
 
 class Rule(NamedTuple):
@@ -140,7 +141,7 @@ class Rule(NamedTuple):
 def rules() -> list[Rule]:
     """The ordered table: text signatures, then every name in every form."""
     out = [Rule(label, (key,), re.compile(rf"\b{p}\b"), 0, 0.99) for label, key, p in TEXTS]
-    out += [Rule(label, tuple(key.split("|")), re.compile(rf"\b{form.format(name=name, tag=tag)}(?! [0-9] [0-9]\b)\b" if priority > 1 else rf"\b{form.format(name=name, tag=tag)}\b"), priority, conf) for priority, conf, form in FORMS for label, key, name, tag in NAMES]
+    out += [Rule(label, tuple(key.split("|")) if priority > 1 else (f"spdx license identifier {tag}",), re.compile(rf"\b{form.format(name=name, tag=tag)}(?! [0-9] [0-9]\b)\b" if priority > 1 else rf"\b{form.format(name=name, tag=tag)}\b"), priority, conf) for priority, conf, form in FORMS for label, key, name, tag in NAMES]
     return sorted(out, key=lambda r: r.priority)
 
 

@@ -334,6 +334,47 @@ def test_license_labels():
     assert look("the quick brown fox under the tree") == []
 
 
+def _example(rng, tree):
+    """A random string that a parsed pattern matches."""
+    out = ""
+    for op, arg in tree:
+        op = str(op)
+        if op == "LITERAL":
+            out += chr(arg)
+        elif op == "ANY":
+            out += rng.choice("ab ")
+        elif op == "IN":
+            kind, value = rng.choice(arg)
+            out += chr(value if str(kind) == "LITERAL" else rng.randint(*value))
+        elif op == "MAX_REPEAT":
+            out += "".join(_example(rng, arg[2]) for _ in range(rng.randint(arg[0], min(arg[1], 5))))
+        elif op == "SUBPATTERN":
+            out += _example(rng, arg[3])
+        elif op == "BRANCH":
+            out += _example(rng, rng.choice(arg[1]))
+    return out
+
+
+def test_gates_lose_no_detection(spark, docs_of, monkeypatch):
+    rng = random.Random(6)
+    texts = [_example(rng, re._parser.parse(r.pattern.pattern)) for r in license_scan.rules() for _ in range(4)]
+    gated = [license_scan.detect(t) for t in texts]
+    wrapped = [re.sub(" ", lambda _: rng.choice([" ", "\n", "-", "  "]), t).title() for t in texts]
+    rows = {r["doc_id"]: r["labels"] for r in license_scan.scan_licenses(docs_of(list(enumerate(wrapped)))).collect()}
+    ungated = [r._replace(keywords=("",)) for r in license_scan.rules()]
+    monkeypatch.setattr(license_scan, "rules", lambda: ungated)
+    for i, t in enumerate(texts):
+        assert gated[i] == license_scan.detect(t) != [], t
+        assert {x[2] for x in gated[i]} <= set(rows[i]), wrapped[i]
+
+
+def test_labels_of_wrapped_and_hyphenated_texts(docs_of):
+    cases = [("All rights\nreserved", "proprietary"), ("released into the public\ndomain", "public-domain"), ("placed into the public-domain", "public-domain"), ("All  rights  reserved", "proprietary"), ("This software is provided as-is, without any express or implied warranty. In no event will the authors", "zlib")]
+    cases += [(f"licensed under the Creative Commons Attribution Non-Commercial{x} license", f"cc-by-nc{y}") for x, y in (("", ""), ("-ShareAlike", "-sa"), ("-No-Derivatives", "-nd"))] + [("SPDX-License-Identifier: BSL-1.0", "bsl-1")]
+    got = {r["doc_id"]: r["labels"] for r in license_scan.scan_licenses(docs_of([(i, t) for i, (t, _) in enumerate(cases)])).collect()}
+    assert got == {i: [label] for i, (_, label) in enumerate(cases)}
+
+
 def test_base_phrases_equal_brute_force(spark, docs_of, odd, none):
     rng = random.Random(5)
     bits = ["under the MIT license", "Apache License, Version 2", "CC-BY-NC", "under", "the", "mit", "cc", "by", "nc", "license", "é", ",", ".", "\n", "2.0", "x"]
