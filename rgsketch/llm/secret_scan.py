@@ -32,8 +32,15 @@ LEAST = {"assign": 6, "access": 20, "hex": 24}
 KINDS = ("assign", "access", "hex", "token", "der_key", "ssh_key", "hex_key")
 
 TOKEN = re.compile(r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]{6,}\.[A-Za-z0-9_-]{2,}\.[A-Za-z0-9_-]*")
-BLOB = re.compile(r"(?<![A-Za-z0-9+/])[A-Za-z0-9+/]{40,}(?:[\r\n]{1,2}[A-Za-z0-9+/]+)*={0,2}")
+#: Between two lines of a key: line ends, plain, after a backslash or as written in JSON and .env files, with indents.
+BREAK = r"[ \t]*(?:\\?[\r\n]{1,2}|(?:\\+[nr]){1,2})[ \t]*"
+LINE_BREAK = re.compile(BREAK)
+#: Lines in base64, then in base64url; the n of a written line end begins no line.
+BLOBS = [re.compile(rf"(?:(?<![{c}])(?!(?<=\\)[nr])|(?<=\\[nr]))[{c}]{{40,}}(?:{BREAK}[{c}]+)*={{0,2}}") for c in ("A-Za-z0-9+/", "A-Za-z0-9_-")]
+_STANDARD = str.maketrans("-_", "+/")
 HEXBLOB = re.compile(r"(?<![0-9A-Fa-f])[0-9A-Fa-f]{48,}(?![0-9A-Fa-f])")
+SSH_MAGIC = b"openssh-key-v1\0"
+SSH_HEAD = base64.b64encode(SSH_MAGIC).decode()
 KEYWORDS = ("password", "passwd", "secret", "token", "api")
 
 
@@ -77,10 +84,9 @@ def is_der_key(data: bytes) -> bool:
 
 def is_ssh_key(data: bytes) -> bool:
     """An OpenSSH private key file: its magic, then strings whose lengths fill it."""
-    magic = b"openssh-key-v1\0"
-    if not data.startswith(magic):
+    if not data.startswith(SSH_MAGIC):
         return False
-    at, parts = len(magic), []
+    at, parts = len(SSH_MAGIC), []
     while at + 4 <= len(data) and len(parts) < 3 + 1 + 2:
         if len(parts) == 3:
             parts.append(data[at : at + 4])  # number of keys
@@ -116,18 +122,66 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return out
 
 
+def der_end(head: bytes) -> int | None:
+    """Bytes of the DER sequence that begins with these six bytes, by its outer length."""
+    if len(head) < 6 or head[0] != 0x30 or head[1] == 0x80 or head[1] > 0x84:
+        return None
+    k = max(0, head[1] - 0x80)
+    return 2 + k + (int.from_bytes(head[2 : 2 + k], "big") if k else head[1])
+
+
+def ssh_end(data: bytes) -> int | None:
+    """Bytes of the OpenSSH private key file that data begins with, by its length fields."""
+    at = len(SSH_MAGIC)
+    for k in range(6):
+        if k == 3:
+            at += 4  # number of keys
+        elif at + 4 <= len(data):
+            at += 4 + int.from_bytes(data[at : at + 4], "big")
+        else:
+            return None
+    return at
+
+
+def key_spans(text: str, start: int, end: int) -> list[tuple[int, int, str]]:
+    """Keys that begin with one of the lines of text[start:end] and, by their own lengths, end with one."""
+    lines, at = [], start  # first and last place of each line
+    stop = end - (len(text[start:end]) - len(text[start:end].rstrip("=")))
+    for b in LINE_BREAK.finditer(text, start, stop):
+        lines.append((at, b.start()))
+        at = b.end()
+    lines.append((at, stop))
+    raw = "".join(text[a:b] for a, b in lines).translate(_STANDARD)
+    begin, total = [], 0
+    for a, b in lines:
+        begin.append(total)
+        total += b - a
+    line_of = {b: k for k, b in enumerate([*begin[1:], total])}  # by the characters up to the line's end
+    out, done = [], 0
+    for k, at in enumerate(begin):
+        if at < done or total - at < 40:
+            continue
+        if raw.startswith(SSH_HEAD, at):
+            size, holds, kind = ssh_end(_decode(raw[at:])), is_ssh_key, "ssh_key"
+        elif raw[at] == "M":  # the tag 0x30
+            size, holds, kind = der_end(_decode(raw[at : at + 8])), is_der_key, "der_key"
+        else:
+            continue
+        last = None if size is None else line_of.get(at + -(-size * 4 // 3))
+        if last is not None and holds(_decode(raw[at : at + -(-size * 4 // 3)])[:size]):
+            done = at + -(-size * 4 // 3)
+            out.append((lines[k][0], end if last == len(lines) - 1 else lines[last][1], kind))
+    return out
+
+
+def _decode(raw: str) -> bytes:
+    """The bytes of base64 of any length; what a last part of a byte lacks counts as 0."""
+    return base64.b64decode(raw + "A" * (-len(raw) % 4))
+
+
 def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
     out = [(m.start(), m.end(), "token") for m in TOKEN.finditer(text) if is_token(m[0])]
-    for m in BLOB.finditer(text):
-        raw = re.sub(r"\s", "", m[0]).rstrip("=")
-        try:
-            data = base64.b64decode(raw + "=" * (-len(raw) % 4))
-        except (ValueError, binascii.Error):
-            continue
-        if is_der_key(data):
-            out.append((m.start(), m.end(), "der_key"))
-        elif is_ssh_key(data):
-            out.append((m.start(), m.end(), "ssh_key"))
+    out += sorted({span for blob in BLOBS for m in blob.finditer(text) for span in key_spans(text, m.start(), m.end())})
     for m in HEXBLOB.finditer(text):
         if len(m[0]) % 2 == 0 and is_der_key(bytes.fromhex(m[0])):
             out.append((m.start(), m.end(), "hex_key"))

@@ -146,6 +146,29 @@ def test_secret_spans():
     assert secret_scan.scan(text) == [(19, 36, "assign"), (37, 57, "access"), (58, 82, "hex")]
 
 
+def test_keys_stand_in_any_surroundings():
+    part = lambda x: struct.pack(">I", len(x)) + x
+    for pad in range(3):
+        pkcs8 = _der(0x30, _der(2, b"\0") + _der(0x30, _der(6, b"\x2a\x86\x48")) + _der(4, bytes(range(190, 256)) * 3 + b"k" * pad))
+        ssh = b"openssh-key-v1\0" + part(b"none") + part(b"none") + part(b"") + struct.pack(">I", 1) + part(b"pub\xfb\xff" * 10) + part(b"priv" * 20 + b"x" * pad)
+        for key, kind in ((pkcs8, "der_key"), (ssh, "ssh_key")):
+            std, url = base64.b64encode(key).decode(), base64.urlsafe_b64encode(key).decode()
+            assert std != url
+            for code in (std, std.rstrip("="), url, url.rstrip("=")):
+                lines = [code[i : i + 64] for i in range(0, len(code), 64)]
+                if len(lines[-1].rstrip("=")) == 0:
+                    continue
+                for sep in ("\n", "\r\n", "\n    ", "\n\t", "\\n", "\\r\\n", "\\\\n"):
+                    for head, tail in (("", ""), ("key ", " end"), (f"-----BEGIN PRIVATE KEY-----{sep}", f"{sep}-----END PRIVATE KEY-----"), (f"Your key:{sep}", f"{sep}The next word"), ("0f" * 32 + sep, f"{sep}next{sep}more")):
+                        for body in (sep.join(lines), code):
+                            text = head + body + tail
+                            assert (len(head), len(head + body), kind) in secret_scan.confirmed_spans(text), text
+                assert secret_scan.confirmed_spans(f"{code[:-8]}\nThe next") == []
+    one = base64.b64encode(pkcs8).decode()
+    assert [k for _, _, k in secret_scan.confirmed_spans(f"-----BEGIN PRIVATE KEY-----{one}-----END PRIVATE KEY-----")] == ["der_key"]
+    assert [k for _, _, k in secret_scan.confirmed_spans(f"{one}\n{one}")].count("der_key") >= 1
+
+
 def test_secrets_equal_plain_patterns_on_every_row(spark, odd, none, docs_of):
     rng = random.Random(1)
     bits = ["password=", "PASSWD: ", "Token", "api-key", "api_key='", "secret : ", "abc123", "AKIA", "ABCD1234EFGH5678", "deadbeef" * 3, " ", '"', "=", ":", "é", "\n", "token=x", "Kelvin K ſecret=abcdefg"]
