@@ -1,12 +1,19 @@
 """Removal of repeated passages by suffix arrays.
 
-A byte goes when a 400-byte string that covers it also starts somewhere else. Suffix arrays of a whole corpus don't fit a
-machine, so the corpus is cut where nothing is lost: every 400-byte string holds the least hash among its 128-byte grams
-(its anchor), equal strings hold it at the same place, and an anchor's fragment is the union of the strings that have it. Anchors that occur once end here. Fragments that are equal stand for each
-other; different fragments of one anchor meet in a task and are searched by a suffix array built in two stages: only
-suffixes smaller than their successors are sorted directly, all others are induced by scans of the buckets; neighbours in
-the array are then compared. Anchors with very many different fragments are not gathered: their strings are hashed and
-counted by Spark, with partial sums, which is exact as well.
+A byte goes when a 400-byte string that covers it also starts somewhere else. Beside these strings the operator follows
+passages of 50 words (runs of bytes above 0x20) that are shorter than 400 bytes; they are reported, not removed.
+
+Suffix arrays of a whole corpus don't fit a machine, so the corpus is cut where nothing is lost: every string holds the
+least hash among its 64-byte grams (its anchor), equal strings hold it at the same place, and an anchor's fragment is the
+union of the strings that have it, with the byte beside either end. Anchors that occur once end here. Fragments that are
+equal stand for each other; different fragments of one anchor meet in a task and are searched by a suffix array built in
+two stages: only suffixes smaller than their successors are sorted directly, all others are induced by scans of the
+buckets; then the common prefixes of neighbours in the array are measured.
+
+An anchor with very many different fragments is anchored anew: its strings are dealt by their distance from the anchor
+into blocks, and the bytes that all strings of a block hold become the new anchor, which is wider. Blocks shrink from
+level to level, so groups fall apart; at the last level a block is one string and the anchor is all of it. No string is
+left out at any level, and every group with different fragments is searched by a suffix array.
 
 Texts are known by their md5; copies of one text are cut once. Texts stay where they are read; what moves are anchors,
 fragments and the texts that lose bytes.
@@ -24,71 +31,141 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import _INV, FILTER_BITS, bit_filter, chunks, filter_spot, in_filter, materialize, mix64, powers, prefix_hash, span_hash, utf8
+from rgsketch.llm.common import _INV, FILTER_BITS, bit_filter, chunks, filter_spot, in_filter, materialize, mix64, powers, prefix_hash, span_hash, utf8, words
 
 LENGTH = 400
-GRAM = 128
-#: Different fragments of one anchor that one task searches; anchors with more are counted by string hashes.
-GROUP = 1500
+WORDS = 50
+GRAM = 64
+#: Different fragments of one anchor that one task searches; those of anchors with more are anchored anew.
+GROUP = 600
+#: Starts of strings in a block, in bytes and in words, of each new anchoring. The last is one string.
+BLOCKS = ((32, 8), (4, 2), (1, 1))
 #: Bytes of fragments in one suffix array.
 ARRAY_BYTES = 3 << 17
+#: Low bits of a gram's rank that hold its place, so that equal ranks go by place whatever was read beside them.
+PLACE_BITS = 31
 _U = np.uint64
+_BLANK = np.arange(256) <= 0x20
+_ODD = (_U(0x9E3779B97F4A7C15), _U(0xC2B2AE3D27D4EB4F), _U(0x165667B19E3779F9))
+
+
+class Corpus:
+    """Bytes of some rows, their words and gram hashes, and all strings with their anchors' places."""
+
+    def __init__(self, raw: np.ndarray, offsets: np.ndarray, length: int, gram: int, n_words: int):
+        self.raw, self.offsets, self.length, self.n_words = raw, offsets, length, n_words
+        self.prefix = prefix_hash(raw)
+        n = max(0, len(raw) - gram + 1)
+        self.grams = (self.prefix[gram:] - self.prefix[:n]) * powers(_INV, n)
+        size = np.diff(offsets)
+        many = np.maximum(size - length + 1, 0)
+        a = np.repeat(offsets[:-1], many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+        self.word, self.word_end, row = words(raw, offsets, _BLANK)
+        first = np.arange(max(0, len(self.word) - n_words + 1))
+        first = first[np.searchsorted(row, first, side="right") == np.searchsorted(row, first + n_words - 1, side="right")]
+        span = self.word_end[first + n_words - 1] - self.word[first]
+        self.first = first[(span < length) & (span >= gram)]
+        self.start = np.concatenate([a, self.word[self.first]])
+        self.end = np.concatenate([a + length, self.word_end[self.first + n_words - 1]])
+        self.n_long = len(a)
+        self.spot = self._least(gram)
+
+    def _least(self, gram: int) -> np.ndarray:
+        """Place of the least gram of each string, by minima of runs of a power of two from both ends."""
+        out = np.zeros(len(self.start), np.int64)
+        if not len(out):
+            return out
+        low = _U((1 << PLACE_BITS) - 1)
+        run = (self.grams & ~low) | np.arange(len(self.grams), dtype=_U)
+        width = self.end - self.start - gram + 1
+        level = np.frexp(width)[1] - 1
+        for k in range(int(level.max()) + 1):
+            if k:
+                half = 1 << (k - 1)
+                run = np.minimum(run[:-half], run[half:])
+            own = np.flatnonzero(level == k)
+            if len(own):
+                s = self.start[own]
+                out[own] = (np.minimum(run[s], run[s + width[own] - (1 << k)]) & low).astype(np.int64)
+        return out
+
+    def _groups(self, pick: np.ndarray, block: tuple[int, int] | None):
+        """Strings of pick in groups: (order of pick, first of each group, key of each group)."""
+        spot = self.spot[pick]
+        if block is None:
+            order = np.argsort(spot, kind="stable")
+            head = np.flatnonzero(np.concatenate(([True], np.diff(spot[order]) != 0)))
+            return order, head, mix64(self.grams[spot[order[head]]])
+        short = pick >= self.n_long
+        at = np.searchsorted(self.word, spot, side="right") - 1  # the word that holds the anchor's first byte, or stands before it
+        index = np.zeros(len(pick), np.int64)
+        index[short] = self.first[pick[short] - self.n_long]
+        wide = np.where(short, block[1], block[0])
+        number = np.where(short, at - index, spot - self.start[pick]) // wide
+        order = np.lexsort((number, spot, short))
+        parts = [short[order], spot[order], number[order]]
+        head = np.flatnonzero(np.concatenate(([True], np.any([x[1:] != x[:-1] for x in parts], axis=0))))
+        g = order[head]
+        lo, hi = spot[g] - number[g] * wide[g], spot[g] - (number[g] + 1) * wide[g] + 1 + self.length
+        s = short[g]
+        lo[s] = self.word[(at - number * wide)[g[s]]]
+        hi[s] = self.word_end[(at - (number + 1) * wide)[g[s]] + self.n_words]
+        key = mix64(span_hash(self.prefix, lo, hi) + number[g].astype(_U) * _ODD[1] + s.astype(_U) * _ODD[2])
+        return order, head, key
+
+    def fragments(self, hot: list[np.ndarray]) -> dict[str, np.ndarray]:
+        """The fragments at level len(hot): row, place, key, frag, first byte and end of each, whether it begins and ends its
+        row, and first byte and end of what its long and its short strings cover (equal if none). hot has the bit filters of
+        the keys that were anchored anew, level by level."""
+        pick = np.arange(len(self.start))
+        for depth in range(len(hot) + 1):
+            if not len(pick):
+                break
+            order, head, key = self._groups(pick, BLOCKS[depth - 1] if depth else None)
+            if depth < len(hot):
+                on = in_filter(hot[depth], (key & _U(FILTER_BITS - 1)).astype(np.int64))
+                pick = np.sort(pick[order[np.repeat(on, np.diff(np.append(head, len(order))))]])
+        if not len(pick):
+            zero = np.zeros(0, np.int64)
+            return {k: zero.astype(_U) if k in ("key", "frag") else zero for k in ("row", "pos", "key", "frag", "lo", "hi", "edge", "a0", "a1", "b0", "b1")}
+        own = pick[order]
+        short, s, e = own >= self.n_long, self.start[own], self.end[own]
+        far = len(self.raw) + 1
+        least = lambda x, on: np.minimum.reduceat(np.where(on, x, far), head)
+        most = lambda x, on: np.maximum.reduceat(np.where(on, x, -1), head)
+        a0, a1, b0, b1 = least(s, ~short), most(e, ~short), least(s, short), most(e, short)
+        spot = self.spot[own[head]]
+        row = np.searchsorted(self.offsets, spot, side="right") - 1
+        lo, hi, edge = np.minimum(a0, b0), np.maximum(a1, b1), np.zeros(len(head), np.int64)
+        if not (len(hot) and BLOCKS[len(hot) - 1] == (1, 1)):
+            begins, ends = lo == self.offsets[row], hi == self.offsets[row + 1]
+            edge = begins + 2 * ends
+            lo, hi = lo - ~begins, hi + ~ends
+        frag = mix64(span_hash(self.prefix, lo, hi) + (spot - lo).astype(_U) * _ODD[0] + edge.astype(_U) * _ODD[1])
+        a0, a1, b0, b1 = (np.where(on, x - lo, 0) for x, on in ((a0, a1 >= 0), (a1, a1 >= 0), (b0, b1 >= 0), (b1, b1 >= 0)))
+        return {"row": row, "pos": spot - self.offsets[row], "key": key, "frag": frag, "lo": lo, "hi": hi, "edge": edge, "a0": a0, "a1": a1, "b0": b0, "b1": b1}
+
+
+def _read(column: pa.Array, length: int, gram: int, n_words: int):
+    """(first row, Corpus) of each chunk of a batch's texts."""
+    raw, offsets = utf8(column)
+    for lo, hi in chunks(offsets):
+        yield lo, Corpus(raw[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo], length, gram, n_words)
+
+
+def _find_anchors(shape: tuple[int, int, int], hot: list[np.ndarray], rows: np.ndarray | None):
+    names = ["txt", "pos", "key", "frag", "left", "a0", "a1", "b0", "b1"]
 
-
-def window_min(keys: np.ndarray, width: int) -> np.ndarray:
-    """Minimum of each ``width`` consecutive keys, by running minima of blocks from both sides."""
-    n = len(keys)
-    if n < width:
-        return keys[:0]
-    whole = np.full(-(-n // width) * width, np.iinfo(np.uint64).max, np.uint64)
-    whole[:n] = keys
-    blocks = whole.reshape(-1, width)
-    ahead = np.minimum.accumulate(blocks, axis=1).ravel()
-    behind = np.minimum.accumulate(blocks[:, ::-1], axis=1)[:, ::-1].ravel()
-    return np.minimum(behind[: n - width + 1], ahead[width - 1 : n])
-
-
-def anchors(raw: np.ndarray, offsets: np.ndarray, length: int, gram: int):
-    """Row, position in it, gram hash, fragment hash, and fragment's first byte and end in ``raw``, of each anchor.
-
-    The fragment is the union of the strings whose anchor it is: anchors never move back from one string to the next, so
-    these are neighbours.
-    """
-    zero = np.zeros(0, np.int64)
-    none = (zero, zero, zero.astype(_U), zero.astype(_U), zero, zero)
-    if len(raw) < length:
-        return none
-    prefix = prefix_hash(raw)
-    n = len(raw) - gram + 1
-    h = prefix[gram:] - prefix[:n]
-    h *= powers(_INV, n)
-    bits = _U(max(1, int(len(raw)).bit_length()))
-    least = window_min((h >> bits << bits) | np.arange(n, dtype=_U), length - gram + 1)
-    inside = np.zeros(len(least), bool)
-    for a, e in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True):
-        if e - a >= length:
-            inside[a : e - length + 1] = True
-    first = np.flatnonzero(inside)
-    if not len(first):
-        return none
-    spot = (least[first] & ((_U(1) << bits) - _U(1))).astype(np.int64)
-    head = np.flatnonzero(np.concatenate(([True], spot[1:] != spot[:-1])))
-    lo, hi = first[head], first[np.append(head[1:], len(first)) - 1] + length
-    spot = spot[head]
-    row = np.searchsorted(offsets, spot, side="right") - 1
-    frag = mix64(span_hash(prefix, lo, hi) + (spot - lo).astype(_U) * _U(0x9E3779B97F4A7C15))
-    return row, spot - offsets[row], mix64(h[spot]), frag, lo, hi
-
-
-def _find_anchors(length: int, gram: int):
     def run(batches):
         for batch in batches:
-            raw, offsets = utf8(batch.column(1))
-            for lo, hi in chunks(offsets):
-                row, pos, key, frag, a, b = anchors(raw[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo], length, gram)
-                if len(row):
-                    left = pos - (a - (offsets[lo + row] - offsets[lo]))
-                    yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row + lo)), pa.array(pos), pa.array(key.astype(np.int64)), pa.array(frag.astype(np.int64)), pa.array(left.astype(np.int32)), pa.array((b - a).astype(np.int32))], ["txt", "pos", "key", "frag", "left", "size"])
+            if rows is not None:
+                batch = batch.take(pa.array(np.flatnonzero(in_filter(rows, batch.column(2).to_numpy()))))
+            for at, corpus in _read(batch.column(1), *shape):
+                f = corpus.fragments(hot)
+                if len(f["row"]):
+                    left = f["pos"] - (f["lo"] - corpus.offsets[f["row"]])
+                    yield pa.RecordBatch.from_arrays(
+                        [batch.column(0).take(pa.array(f["row"] + at)), pa.array(f["pos"]), pa.array(f["key"].astype(np.int64)), pa.array(f["frag"].astype(np.int64)), pa.array(left.astype(np.int16)), *(pa.array(f[k].astype(np.int16)) for k in names[5:])], names)
 
     return run
 
@@ -138,25 +215,80 @@ def two_stage_suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     return np.concatenate(out)
 
 
-def repeated_starts(parts: list[bytes], origin: np.ndarray, multi: np.ndarray, length: int) -> list[np.ndarray]:
-    """Per fragment the offsets whose ``length`` bytes also start at another origin. origin is each fragment's first byte's
-    place as a number; multi says that the fragment itself stands at several places."""
+def words_of_eight(text: np.ndarray, beyond: int) -> np.ndarray:
+    """The eight bytes from each place on as one number, first byte highest; zeros past the end."""
+    wide = np.concatenate([text, np.zeros(beyond + 8, np.uint8)])
+    n = len(text) + beyond
+    out = np.zeros(n, _U)
+    for k in range(8):
+        out |= wide[k : k + n].astype(_U) << _U(56 - 8 * k)
+    return out
+
+
+def common_prefixes(eight: np.ndarray, order: np.ndarray, depth: int) -> np.ndarray:
+    """Bytes that each suffix of order shares with the one before it, to ``depth``; 0 for the first."""
+    out = np.zeros(len(order), np.int64)
+    live = np.arange(1, len(order))
+    for at in range(0, depth, 8):
+        x = eight[order[live] + at] ^ eight[order[live - 1] + at]
+        off = np.flatnonzero(x)
+        top = x[off] >> _U(32)
+        high = top > 0
+        bits = np.frexp(np.where(high, top, x[off] & _U(0xFFFFFFFF)).astype(np.float64))[1] + 32 * high  # place of the first bit that differs
+        out[live[off]] = at + (64 - bits) // 8
+        live = live[x == 0]
+        if not len(live):
+            break
+    out[live] = depth
+    return np.minimum(out, depth)
+
+
+def short_strings(text: np.ndarray, first: np.ndarray, sizes: np.ndarray, edge: np.ndarray, length: int, n_words: int) -> np.ndarray:
+    """Bytes of the string of n_words whole words that begins at each place of the joined fragments; 0 where none does."""
+    out = np.zeros(len(text), np.int64)
+    start, end, row = words(text, np.append(first, len(text)), _BLANK)
+    i = np.arange(max(0, len(start) - n_words + 1))
+    of = np.searchsorted(row, i, side="right") - 1
+    j = i + n_words - 1
+    ok = j < row[of + 1]
+    i, j, of = i[ok], j[ok], of[ok]
+    ok = ((start[i] > first[of]) | (edge[of] & 1 > 0)) & ((end[j] < first[of] + sizes[of]) | (edge[of] & 2 > 0)) & (end[j] - start[i] < length)
+    out[start[i[ok]]] = (end[j] - start[i])[ok]
+    return out
+
+
+def repeated_strings(parts: list[bytes], edge: np.ndarray, origin: np.ndarray, multi: np.ndarray, shared: np.ndarray, length: int, n_words: int = WORDS):
+    """Per fragment: starts of long strings that also start at another origin; starts and ends of strings of both kinds that
+    also stand in another text. origin has text (high bits) and place of each fragment's first byte, multi and shared say
+    that the fragment itself stands at several places, in several texts; edge that it begins (1) or ends (2) its text."""
     sizes = np.array([len(p) for p in parts])
     text = np.frombuffer(b"\0".join(parts) + b"\0", np.uint8)
     first = np.cumsum(sizes + 1) - sizes - 1
     of = np.repeat(np.arange(len(parts)), sizes + 1)
     order = two_stage_suffix_array(text, length)
-    order = order[order + length <= (first + sizes)[of[order]]]
-    if not len(order):
-        return [np.zeros(0, np.int64) for _ in parts]
-    h = span_hash(prefix_hash(text), order, order + length)
-    head = np.flatnonzero(np.concatenate(([True], h[1:] != h[:-1])))  # neighbours with a common prefix under ``length`` part here
-    place = origin[of[order]] + order - first[of[order]]
-    again = (np.minimum.reduceat(place, head) != np.maximum.reduceat(place, head)) | np.maximum.reduceat(multi[of[order]], head)
-    hit = order[np.repeat(again, np.diff(np.append(head, len(order))))]
-    hit.sort()
-    cut = np.searchsorted(hit, np.append(first, len(text)))
-    return [hit[a:b] - f for a, b, f in zip(cut[:-1], cut[1:], first, strict=True)]
+    eight = words_of_eight(text, length)
+    found = []
+    for size in (np.full(len(text), length), short_strings(text, first, sizes, edge, length, n_words)):
+        own = order[(size[order] > 0) & (order + size[order] <= (first + sizes)[of[order]])]
+        if not len(own):
+            found.append((own, own, own.astype(bool), own.astype(bool)))
+            continue
+        n = size[own]
+        same = (common_prefixes(eight, own, length) >= n) & (n == np.roll(n, 1))
+        head = np.flatnonzero(~same | (np.arange(len(own)) == 0))
+        place = origin[of[own]] + own - first[of[own]]
+        doc = origin[of[own]] >> 40
+        spread = lambda on, n=np.diff(np.append(head, len(own))): np.repeat(on, n)
+        differ = lambda x, flag, own=own, head=head: (np.minimum.reduceat(x, head) != np.maximum.reduceat(x, head)) | np.maximum.reduceat(flag[of[own]], head)
+        found.append((own, own + n, spread(differ(place, multi)), spread(differ(doc, shared))))
+    (own, end, again, _), (own_b, end_b, _, _) = found
+    across = np.concatenate([x[3] for x in found])
+    start_x, end_x = np.concatenate([own, own_b])[across], np.concatenate([end, end_b])[across]
+    hit = np.sort(own[again])
+    by = np.argsort(start_x, kind="stable")
+    start_x, end_x = start_x[by], end_x[by]
+    cut, cut_x = np.searchsorted(hit, np.append(first, len(text))), np.searchsorted(start_x, np.append(first, len(text)))
+    return [(hit[a:b] - f, start_x[c:d] - f, end_x[c:d] - f) for a, b, c, d, f in zip(cut[:-1], cut[1:], cut_x[:-1], cut_x[1:], first, strict=True)]
 
 
 def merge(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -169,43 +301,53 @@ def merge(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return starts[new], ends[np.append(np.flatnonzero(new)[1:] - 1, len(ends) - 1)]
 
 
-def _search_groups(length: int):
+#: What a span says: its bytes go, its bytes stand in another text, or both.
+GONE, SHARED, BOTH = 0, 1, 2
+MARK = "key long, frag long, what int, starts array<int>, ends array<int>"
+
+
+def _search_groups(length: int, n_words: int):
     """Over rows sorted by (key, frag): the mark row (multi set, part null) of a fragment and its bytes meet; groups of
     fragments are gathered up to ARRAY_BYTES and searched."""
 
     def flush(items):
         names: dict[bytes, int] = {}
-        origin = np.array([(names.setdefault(t, len(names)) << 40) + p for _, _, _, t, p, _ in items], np.int64)
-        multi = np.array([m for *_, m in items], bool)
-        found = repeated_starts([x[2] for x in items], origin, multi, length)
-        rows = [(x[0], x[1], *merge(f, f + length)) for x, f in zip(items, found, strict=True) if len(f)]
+        col = [np.array(x) for x in zip(*((names.setdefault(t, len(names)), at, edge, m, x) for _, _, _, t, at, edge, m, x in items), strict=True)]
+        found = repeated_strings([x[2] for x in items], col[2], (col[0].astype(np.int64) << 40) + col[1], col[3].astype(bool), col[4].astype(bool), length, n_words)
+        rows = []
+        for x, (hit, start, end) in zip(items, found, strict=True):
+            gone, both = merge(hit, hit + length), merge(start, end)
+            if len(gone[0]) and len(gone[0]) == len(both[0]) and (gone[0] == both[0]).all() and (gone[1] == both[1]).all():
+                rows.append((x[0], x[1], BOTH, *(v.tolist() for v in gone)))
+            else:
+                rows += [(x[0], x[1], what, *(v.tolist() for v in se)) for what, se in ((GONE, gone), (SHARED, both)) if len(se[0])]
         if rows:
-            k, g, s, e = zip(*rows, strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(k, pa.int64()), pa.array(g, pa.int64()), pa.array([x.tolist() for x in s], pa.list_(pa.int64())), pa.array([x.tolist() for x in e], pa.list_(pa.int64()))], ["key", "frag", "starts", "ends"])
+            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.list_(pa.int32())]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["key", "frag", "what", "starts", "ends"])
 
     def run(batches):
         items, held, size, now = [], {}, 0, None
         for batch in batches:
-            for key, frag, part, txt, at, multi in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for key, frag, part, txt, at, edge, multi, shared in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if key != now:
-                    items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[3] is not None]
+                    items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[4] is not None]
                     held, now = {}, key
                     if size > ARRAY_BYTES:
                         yield from flush(items)
                         items, size = [], 0
-                old = held.get(frag, (None, None, None, None))
+                old = held.get(frag, (None,) * 6)
                 if part is not None and old[0] is None:
                     size += len(part)
-                    old = (part, txt, at, old[3])
-                held[frag] = (*old[:3], multi) if multi is not None else old
-        items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[3] is not None]
+                    old = (part, txt, at, edge, *old[4:])
+                held[frag] = (*old[:4], multi, shared) if multi is not None else old
+        items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[4] is not None]
         if items:
             yield from flush(items)
 
     return run
 
 
-def _cut_fragments(table: np.ndarray, rows: np.ndarray, length: int, gram: int):
+def _cut_fragments(table: np.ndarray, rows: np.ndarray, shape: tuple[int, int, int], hot: list[np.ndarray]):
     """Bytes of the fragments that the filters let pass, once a task (the memory of what was sent is bounded)."""
 
     def run(batches):
@@ -215,12 +357,10 @@ def _cut_fragments(table: np.ndarray, rows: np.ndarray, length: int, gram: int):
             if not len(go):
                 continue
             batch = batch.take(pa.array(go))
-            raw, offsets = utf8(batch.column(1))
-            for lo, hi in chunks(offsets):
-                own = raw[offsets[lo] : offsets[hi]]
-                row, _, key, frag, a, b = anchors(own, offsets[lo : hi + 1] - offsets[lo], length, gram)
-                both = key ^ (frag * _U(0x9E3779B97F4A7C15))
-                keep = np.flatnonzero(in_filter(table, (both & _U(len(table) * 64 - 1)).astype(np.int64)))
+            for base, corpus in _read(batch.column(1), *shape):
+                f = corpus.fragments(hot)
+                both = f["key"] ^ (f["frag"] * _ODD[0])
+                keep = np.flatnonzero(in_filter(table, (both & _U(FILTER_BITS - 1)).astype(np.int64)))
                 if len(sent) > 2_000_000:
                     sent.clear()
                 new = []
@@ -230,37 +370,11 @@ def _cut_fragments(table: np.ndarray, rows: np.ndarray, length: int, gram: int):
                         new.append(i)
                 if new:
                     k = np.array(new)
-                    data = own.tobytes()
+                    data = corpus.raw.tobytes()
+                    lo, row = f["lo"][k], f["row"][k]
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(key[k].astype(np.int64)), pa.array(frag[k].astype(np.int64)), pa.array([data[x:y] for x, y in zip(a[k].tolist(), b[k].tolist(), strict=True)], pa.binary()), batch.column(0).take(pa.array(row[k] + lo)), pa.array(a[k] - (offsets[lo + row[k]] - offsets[lo]))],
-                        ["key", "frag", "part", "txt", "at"])
-
-    return run
-
-
-def _string_hashes(keys: np.ndarray, length: int, gram: int):
-    """(h1, h2, txt, pos) of every string of the anchors whose key's bit is set."""
-
-    def run(batches):
-        for batch in batches:
-            raw, offsets = utf8(batch.column(1))
-            for lo, hi in chunks(offsets):
-                own, off = raw[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]
-                row, _, key, _, a, b = anchors(own, off, length, gram)
-                go = np.flatnonzero(in_filter(keys, (key & _U(len(keys) * 64 - 1)).astype(np.int64)))
-                if not len(go):
-                    continue
-                n = (b - a)[go] - length + 1
-                r = np.repeat(row[go], n)
-                start = np.repeat(a[go], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                start, at = np.unique(start, return_index=True)
-                r = r[at]
-                prefix = prefix_hash(own)
-                h1 = span_hash(prefix, start, start + length)
-                h2 = mix64(span_hash(prefix, start, start + length // 2) ^ _U(0x27D4EB2F165667C5))
-                for x in range(0, len(start), 200_000):
-                    s = slice(x, x + 200_000)
-                    yield pa.RecordBatch.from_arrays([pa.array(h1[s].astype(np.int64)), pa.array(h2[s].astype(np.int64)), batch.column(0).take(pa.array(r[s] + lo)), pa.array(start[s] - off[r[s]])], ["h1", "h2", "txt", "pos"])
+                        [pa.array(f["key"][k].astype(np.int64)), pa.array(f["frag"][k].astype(np.int64)), pa.array([data[x:y] for x, y in zip(lo.tolist(), f["hi"][k].tolist(), strict=True)], pa.binary()), batch.column(0).take(pa.array(row + base)), pa.array(lo - corpus.offsets[row]), pa.array(f["edge"][k].astype(np.int32))],
+                        ["key", "frag", "part", "txt", "at", "edge"])
 
     return run
 
@@ -277,49 +391,72 @@ def _bits(df: DataFrame, value: F.Column) -> np.ndarray:
 def _apply(batches):
     for batch in batches:
         out = []
-        for text, starts, ends in zip(*(c.to_pylist() for c in batch.columns[1:]), strict=True):
+        for text, what, starts, ends in zip(*(c.to_pylist() for c in batch.columns[1:]), strict=True):
             data = text.encode()
-            s, e = merge(np.array(starts, np.int64), np.array(ends, np.int64))
+            what, starts, ends = (np.array(x, np.int64) for x in (what, starts, ends))
+            (s, e), (s2, e2) = (merge(starts[what != other], ends[what != other]) for other in (SHARED, GONE))
             h, at = hashlib.sha256(), 0
             for a, b in zip(s.tolist(), e.tolist(), strict=True):
                 h.update(data[at:a])
                 at = b
             h.update(data[at:])
-            out.append((int((e - s).sum()), len(s), h.hexdigest()))
-        n, k, sha = zip(*out, strict=True) if out else ([], [], [])
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(k, pa.int64()), pa.array(sha, pa.string())], ["txt", "n_removed", "n_spans", "kept_sha256"])
+            out.append((int((e - s).sum()), len(s), h.hexdigest(), int((e2 - s2).sum())))
+        n, k, sha, shared = zip(*out, strict=True) if out else ([], [], [], [])
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(k, pa.int64()), pa.array(sha, pa.string()), pa.array(shared, pa.int64())], ["txt", "n_removed", "n_spans", "kept_sha256", "n_shared"])
 
 
-def repeated_spans(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, group: int = GROUP) -> DataFrame:
-    """(txt, starts, ends): places of repeated strings in distinct texts, not merged. texts has txt (md5) and text."""
-    found = materialize(texts.mapInArrow(_find_anchors(length, gram), "txt binary, pos long, key long, frag long, left int, size int"))
+def _level(texts: DataFrame, shape: tuple[int, int, int], group: int, hot: list[np.ndarray], rows: np.ndarray | None):
+    """Spans (txt, what, start, end) that the fragments of one level give, and a table of the keys to anchor anew with a text
+    filter of theirs (None at the last level)."""
+    spotted = texts.select("txt", "text", filter_spot("txt").alias("spot"))
+    kind = "txt binary, pos long, key long, frag long, left short, a0 short, a1 short, b0 short, b1 short"
+    found = materialize(spotted.mapInArrow(_find_anchors(shape, hot, rows), kind))
     place = F.xxhash64("txt", "pos")
     # written first: a join of two plain tables lets a hot anchor's rows be split over tasks
     twice = materialize(found.groupBy("key").agg(F.min(place).alias("lo"), F.max(place).alias("hi")).where("lo <> hi").select("key"))
     live = materialize(found.join(twice, "key"))
-    frags = live.groupBy("key", "frag").agg(F.min(place).alias("lo"), F.max(place).alias("hi"), F.min("txt").alias("txt"), F.max("size").alias("size"))
-    frags = materialize(frags.select("key", "frag", (F.col("lo") != F.col("hi")).alias("multi"), "txt", "size"))
-    kinds = frags.groupBy("key").agg(F.count("*").alias("kinds"))
-    search = materialize(frags.join(kinds.where(F.col("kinds").between(2, group)), "key"))
-    hot = kinds.where(F.col("kinds") > group).select("key")
-    whole = frags.where("multi").select("key", "frag", F.array(F.lit(0).cast("long")).alias("starts"), F.array(F.col("size").cast("long")).alias("ends"))
-    spotted = texts.select("txt", "text", filter_spot("txt").alias("spot"))
+    frags = live.groupBy("key", "frag").agg(F.min(place).alias("lo"), F.max(place).alias("hi"), F.min("txt").alias("txt"), F.max("txt").alias("last"), *[F.max(c).alias(c) for c in ("a0", "a1", "b0", "b1")])
+    frags = materialize(frags.select("key", "frag", (F.col("lo") != F.col("hi")).alias("multi"), (F.col("txt") != F.col("last")).alias("shared"), "txt", "a0", "a1", "b0", "b1"))
+    kinds = frags.groupBy("key").agg(F.count("*").alias("kinds")).where("kinds > 1")
+    search = materialize(frags.join(kinds.where(F.col("kinds") <= group), "key").select("key", "frag", "multi", "shared", "txt"))
+    # a fragment that stands at several places is repeated with all its strings
+    one = lambda what, a, b: F.struct(F.lit(what).alias("what"), F.array(a.cast("int")).alias("starts"), F.array(b.cast("int")).alias("ends"))
+    both_lo = F.when(F.col("a1") == 0, F.col("b0")).when(F.col("b1") == 0, F.col("a0")).otherwise(F.least("a0", "b0"))
+    marks = F.array(F.when(F.col("a1") > 0, one(GONE, F.col("a0"), F.col("a1"))), F.when(F.col("shared"), one(SHARED, both_lo, F.greatest("a1", "b1"))))
+    whole = frags.where("multi").select("key", "frag", F.explode(F.array_compact(marks)).alias("m")).select("key", "frag", "m.*")
     table = _bits(search.select(_mixed().alias("v")), F.col("v"))
-    parts = spotted.mapInArrow(_cut_fragments(table, bit_filter(search.select("txt").distinct(), "txt"), length, gram), "key long, frag long, part binary, txt binary, at long")
+    parts = spotted.mapInArrow(_cut_fragments(table, bit_filter(search.select("txt").distinct(), "txt"), shape, hot), "key long, frag long, part binary, txt binary, at long, edge int")
     none = F.lit(None)
-    meet = parts.withColumn("multi", none.cast("boolean")).unionByName(search.select("key", "frag", none.cast("binary").alias("part"), none.cast("binary").alias("txt"), none.cast("long").alias("at"), "multi"))
+    meet = parts.withColumn("multi", none.cast("boolean")).withColumn("shared", none.cast("boolean")).unionByName(search.drop("txt"), allowMissingColumns=True)
     n = max(int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-    meet = meet.repartition(n, "key").sortWithinPartitions("key", "frag").select("key", "frag", "part", "txt", "at", "multi")
-    by_array = meet.mapInArrow(_search_groups(length), "key long, frag long, starts array<long>, ends array<long>")
+    meet = meet.repartition(n, "key").sortWithinPartitions("key", "frag").select("key", "frag", "part", "txt", "at", "edge", "multi", "shared")
+    by_array = meet.mapInArrow(_search_groups(shape[0], shape[2]), MARK)
     marks = materialize(by_array.unionByName(whole))
-    spans = live.join(marks, ["key", "frag"]).select("txt", F.explode(F.arrays_zip("starts", "ends")).alias("s"), (F.col("pos") - F.col("left")).alias("at"))
-    spans = spans.select("txt", (F.col("s.starts") + F.col("at")).alias("start"), (F.col("s.ends") + F.col("at")).alias("end"))
-    if not hot.isEmpty():
-        strings = materialize(texts.mapInArrow(_string_hashes(_bits(hot, F.col("key")), length, gram), "h1 long, h2 long, txt binary, pos long"))
-        more = strings.groupBy("h1", "h2").agg(F.min(place).alias("lo"), F.max(place).alias("hi")).where("lo <> hi").select("h1", "h2")
-        spans = spans.unionByName(strings.join(more, ["h1", "h2"]).select("txt", F.col("pos").alias("start"), (F.col("pos") + length).alias("end")))
-    lists = spans.groupBy("txt").agg(F.collect_set(F.struct("start", "end")).alias("all"))
-    return lists.select("txt", F.transform("all", lambda x: x["start"]).alias("starts"), F.transform("all", lambda x: x["end"]).alias("ends"))
+    spans = live.join(marks, ["key", "frag"]).select("txt", "what", F.explode(F.arrays_zip("starts", "ends")).alias("s"), (F.col("pos") - F.col("left")).alias("at"))
+    spans = spans.select("txt", "what", (F.col("s.starts") + F.col("at")).alias("start"), (F.col("s.ends") + F.col("at")).alias("end"))
+    if len(hot) == len(BLOCKS):
+        return spans, None, None
+    again = kinds.where(F.col("kinds") > group).select("key")
+    if again.isEmpty():
+        return spans, None, None
+    again = materialize(again)
+    return spans, _bits(again, F.col("key")), bit_filter(live.join(again, "key").select("txt").distinct(), "txt")
+
+
+def repeated_spans(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, group: int = GROUP, n_words: int = WORDS) -> DataFrame:
+    """(txt, what, starts, ends): places of repeated strings in distinct texts. texts has txt (md5) and text."""
+    if not 0 < gram <= length < 1 << 14:
+        raise ValueError("gram must not exceed length, nor length 16383")
+    hot: list[np.ndarray] = []
+    rows, spans = None, None
+    while True:
+        more, keys, rows = _level(texts, (length, gram, n_words), group, hot, rows)
+        spans = more if spans is None else spans.unionByName(more)
+        if keys is None:
+            break
+        hot = [*hot, keys]
+    lists = spans.groupBy("txt").agg(F.collect_set(F.struct("what", "start", "end")).alias("all"))
+    return lists.select("txt", F.col("all.what").alias("what"), F.col("all.start").alias("starts"), F.col("all.end").alias("ends"))
 
 
 def _mixed() -> F.Column:
@@ -328,12 +465,21 @@ def _mixed() -> F.Column:
     return F.col("key").bitwiseAND(F.lit(low)).bitwiseXOR((F.col("frag").bitwiseAND(F.lit(low)) * F.lit(0x9E3779B97F4A7C15 & low)).bitwiseAND(F.lit(low)))
 
 
-def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, group: int = GROUP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
+def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, group: int = GROUP, n_words: int = WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, n_shared for every row.
+
+    n_shared counts the bytes covered by strings of ``length`` bytes, or of n_words words and less bytes, that also stand in
+    another row; words are runs of bytes above 0x20. A string shorter than ``gram`` has no anchor and isn't looked for.
+    """
     text = F.coalesce(df[text_col].cast("string"), F.lit(""))
     rows = df.select(df[id_col].alias("doc_id"), F.unhex(F.md5(text.cast("binary"))).alias("txt"), text.alias("text"))
     texts = rows.select("txt", "text")
-    spans = materialize(repeated_spans(texts, length, gram, group))
+    size = F.octet_length("text").cast("long")
+    short = F.regexp_replace("text", r"^[\x00-\x20]+|[\x00-\x20]+$", "")
+    inner = F.when((size < length) & (size >= gram) & (F.regexp_count("text", F.lit(r"[^\x00-\x20]+")) >= n_words), F.octet_length(short)).otherwise(0)
+    narrow = materialize(rows.select("doc_id", "txt", size.alias("n_bytes"), F.sha2(F.col("text").cast("binary"), 256).alias("sha"), inner.cast("long").alias("inner")))
+    copies = materialize(narrow.where((F.col("n_bytes") >= length) | (F.col("inner") > 0)).groupBy("txt").count().where("count > 1").select("txt", F.lit(True).alias("copied")))
+    spans = materialize(repeated_spans(texts, length, gram, group, n_words).join(copies, "txt", "left_anti"))  # copies go whole
     table = bit_filter(spans, "txt")
 
     def passing(batches):
@@ -343,16 +489,15 @@ def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, group:
                 yield batch.take(pa.array(go)).select([0, 1])
 
     cut = texts.select("txt", "text", filter_spot("txt").alias("spot")).mapInArrow(passing, "txt binary, text string")
-    cut = cut.join(spans, "txt").select("txt", "text", "starts", "ends").mapInArrow(_apply, "txt binary, n_removed long, n_spans long, kept_sha256 string")
-    done = materialize(cut.dropDuplicates(["txt"]))
-    narrow = materialize(rows.select("doc_id", "txt", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2(F.col("text").cast("binary"), 256).alias("sha")))
-    copies = narrow.where(F.col("n_bytes") >= length).groupBy("txt").count().where("count > 1").select("txt", F.lit(True).alias("copied"))
-    known = done.join(copies, "txt", "full_outer")
+    cut = cut.join(spans, "txt").select("txt", "text", "what", "starts", "ends").mapInArrow(_apply, "txt binary, n_removed long, n_spans long, kept_sha256 string, n_shared long")
+    known = materialize(cut.dropDuplicates(["txt"])).join(copies, "txt", "full_outer")
     out = narrow.join(known, "txt", "left")
-    gone = F.coalesce("copied", F.lit(False))
+    copied = F.coalesce("copied", F.lit(False))
+    gone = copied & (F.col("n_bytes") >= length)
     return out.select(
         "doc_id", "n_bytes", F.when(gone, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0))).cast("long").alias("n_removed"),
-        F.when(gone, 1).otherwise(F.coalesce("n_spans", F.lit(0))).cast("long").alias("n_spans"), F.when(gone, hashlib.sha256().hexdigest()).otherwise(F.coalesce("kept_sha256", "sha")).alias("kept_sha256"))
+        F.when(gone, 1).otherwise(F.coalesce("n_spans", F.lit(0))).cast("long").alias("n_spans"), F.when(gone, hashlib.sha256().hexdigest()).otherwise(F.coalesce("kept_sha256", "sha")).alias("kept_sha256"),
+        F.when(gone, F.col("n_bytes")).when(copied, F.col("inner")).otherwise(F.coalesce("n_shared", F.lit(0))).cast("long").alias("n_shared"))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

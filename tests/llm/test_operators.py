@@ -237,18 +237,33 @@ def test_suffix_array_is_sorted(kind):
     assert len(suffix_dedup.two_stage_suffix_array(data[:0], 5)) == 0 and suffix_dedup.two_stage_suffix_array(data[:1], 5).tolist() == [0]
 
 
-def brute_repeats(rows, length):
+def brute_repeats(rows, length, n_words=50, least=0):
+    """n_bytes, n_removed, n_spans, kept_sha256, n_shared of every row, from all strings of all rows."""
     texts = [(t or "").encode() for _, t in rows]
-    seen = Counter(b[i : i + length] for b in texts for i in range(len(b) - length + 1))
-    out = []
+    spans = []
     for b in texts:
-        gone = np.zeros(len(b), bool)
-        for i in range(len(b) - length + 1):
-            if seen[b[i : i + length]] > 1:
-                gone[i : i + length] = True
+        at = [m.span() for m in re.finditer(rb"[^\x00-\x20]+", b)]
+        short = [(at[i][0], at[i + n_words - 1][1]) for i in range(len(at) - n_words + 1)]
+        spans.append(([(i, i + length) for i in range(len(b) - length + 1)], [(s, e) for s, e in short if least <= e - s < length]))
+    places, rows_of = Counter(), [{}, {}]
+    for k, (b, both) in enumerate(zip(texts, spans, strict=True)):
+        places.update(b[s:e] for s, e in both[0])
+        for kind in (0, 1):
+            for s, e in both[kind]:
+                rows_of[kind].setdefault(b[s:e], set()).add(k)
+    out = []
+    for b, both in zip(texts, spans, strict=True):
+        gone, shared = np.zeros(len(b), bool), np.zeros(len(b), bool)
+        for s, e in both[0]:
+            if places[b[s:e]] > 1:
+                gone[s:e] = True
+        for kind in (0, 1):
+            for s, e in both[kind]:
+                if len(rows_of[kind][b[s:e]]) > 1:
+                    shared[s:e] = True
         kept = bytes(x for x, g in zip(b, gone, strict=True) if not g)
-        spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum()) if len(b) else 0
-        out.append((len(b), int(gone.sum()), spans, hashlib.sha256(kept).hexdigest()))
+        runs = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum()) if len(b) else 0
+        out.append((len(b), int(gone.sum()), runs, hashlib.sha256(kept).hexdigest(), int(shared.sum())))
     return out
 
 
@@ -269,12 +284,22 @@ def repeats_corpus():
     return rows + [(200, None), (201, ""), (202, rows[3][1]), (202, rows[3][1]), (None, rows[5][1]), (None, shared[4]), (203, shared[4][10:])]
 
 
-@pytest.mark.parametrize("group", [1500, 2])
+@pytest.mark.parametrize("group", [1500, 2, 1])
 def test_removed_bytes_equal_brute_force(docs_of, group):
     rows = repeats_corpus()
-    out = suffix_dedup.remove_repeats(docs_of(rows), length=40, gram=13, group=group)
-    got = Counter((r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in out.collect())
-    assert got == Counter((i, *x) for (i, _), x in zip(rows, brute_repeats(rows, 40), strict=True))
+    out = suffix_dedup.remove_repeats(docs_of(rows), length=40, gram=13, group=group, n_words=6)
+    got = Counter((r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"], r["n_shared"]) for r in out.collect())
+    assert got == Counter((i, *x) for (i, _), x in zip(rows, brute_repeats(rows, 40, 6, 13), strict=True))
+
+
+def test_common_prefixes():
+    rng = np.random.default_rng(4)
+    text = np.concatenate([rng.integers(0, 3, 300), np.tile(rng.integers(0, 256, 30), 4)]).astype(np.uint8)
+    order = suffix_dedup.two_stage_suffix_array(text, 50)
+    got = suffix_dedup.common_prefixes(suffix_dedup.words_of_eight(text, 50), order, 50)
+    padded = [text[i:].tobytes() + bytes(60) for i in order]  # past the end stand zeros
+    want = [0] + [min(50, next(k for k in range(61) if k == 60 or a[k] != b[k])) for a, b in zip(padded, padded[1:])]
+    assert got.tolist() == want
 
 
 def test_repeats_of_odd_rows(odd, none):
