@@ -3,7 +3,8 @@
 Texts are lower-cased with single blanks. The embedding walks along a string: step j emits the current byte and moves on
 when a random function of (j, byte) says so; strings at small edit distance agree in most of 3n places. For every window
 of an item's length the embedding is read at sampled places only; equal samples in one of ``tables`` repetitions make a
-candidate, and ``tables`` follows from the target recall. Candidates are confirmed by exact edit distance (bit-parallel,
+candidate if all sampled places together agree as the distance allows, and ``tables`` follows from the target recall.
+Candidates are confirmed by exact edit distance (bit-parallel,
 free ends in the document): at most (1 - similarity) of the item's bytes may differ.
 
 Windows are laid where a document holds a run of whole words of an item, of ``RUN_BYTES`` bytes or the least number of
@@ -36,6 +37,9 @@ RECALL = 0.99
 SAMPLES = 3
 #: Share of embedded places that agree for a pair at the limit; with RECALL it sets the number of tables.
 AGREE = 0.3
+#: A window whose sampled places agree less isn't verified. Measured over 60 items: at the limit (20 % edits) half agree in
+#: 0.31 of the places, 99 of 100 in 0.196 or more, all in 0.17; text without relation in 0.176 at most, 0.161 by 95 of 100.
+LEAST_AGREE = 0.19
 RUN_BYTES = 9
 #: Bytes of a piece that are looked up, of its neighbour that are compared, and of a group of pairs.
 KEY_BYTES = 8
@@ -69,7 +73,7 @@ def embed(raw: np.ndarray, start: np.ndarray, end: np.ndarray, moves: np.ndarray
     inside = np.arange(wide) < (end - start)[:, None]
     own[inside] = raw[(start[:, None] + np.arange(wide))[inside]]
     own, at = own.ravel(), np.arange(n, dtype=np.int64) * wide
-    steps = min(len(moves), 3 * wide)
+    steps = min(len(moves), 2 * wide)
     out = np.zeros((len(moves), n), np.uint8)
     for j in range(steps):
         byte = own[at]
@@ -255,22 +259,19 @@ def piece_hits(p: Pieces, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     wide[8:-8] = raw
     n = len(raw) + 1 + int(p.step.max())
     wide = np.pad(wide, (0, n - len(raw)))
-    after, before = np.zeros(n, np.uint64), np.zeros(n, np.uint64)  # the eight bytes from a place on, and those before it, nearest first
-    for k in range(8):
-        after |= wide[8 + k : 8 + k + n].astype(np.uint64) << np.uint64(8 * k)
-        before |= wide[7 - k : 7 - k + n].astype(np.uint64) << np.uint64(8 * k)
+    # the eight bytes from a place on, and those before it, nearest first
+    after, before = np.ndarray((n,), "<u8", wide, 8, (1,)).astype(np.uint64), np.ndarray((n,), ">u8", wide, 0, (1,)).astype(np.uint64)
     both, out, found = np.concatenate([after, before]), [none], [np.zeros((2, 0), np.int64)]
     shift = p.step + n * p.before
     for size, (first, bits) in p.keys.items():
         keys = after[: max(0, len(raw) - size + 1)] & np.uint64((1 << 8 * size) - 1)
         spot = _bucket(keys, bits)
-        start = first[spot]
-        count = first[spot + 1] - start
-        for lo in range(0, len(keys), PLACES):
+        full = np.flatnonzero((np.diff(first) > 0)[spot])  # places whose bucket holds a piece
+        start = first[spot[full]]
+        count = first[spot[full] + 1] - start
+        for lo in range(0, len(full), PLACES):
             many = count[lo : lo + PLACES]
-            if not many.any():
-                continue
-            place = lo + np.repeat(np.arange(len(many)), many)
+            place = np.repeat(full[lo : lo + PLACES], many)
             piece = np.arange(len(place)) + np.repeat(start[lo : lo + PLACES] - np.cumsum(many) + many, many)
             near = both[place + shift[piece]]
             live = np.flatnonzero(near_mates(near, p.mate[piece], p.mask[piece]))
@@ -297,7 +298,7 @@ def build_index(ids: list[int], texts: list[str], tables: int, samples: int = SA
     mask[(seeds >> np.uint64(64 - _MAP_BITS)).astype(np.int64)] = True
     rng = np.random.default_rng(seed)
     longest = max(map(len, items), default=0)
-    walks = [rng.integers(0, 2, (3 * longest, 256), dtype=np.int64) * (np.arange(256) > 0) for _ in range(WALKS)]
+    walks = [rng.integers(0, 2, (2 * longest, 256), dtype=np.int64) * (np.arange(256) > 0) for _ in range(WALKS)]  # no place beyond is sampled
     each = -(-tables // WALKS)
     places = [(rng.random((each, 1, samples)) * (2 * np.diff(offsets))[None, :, None]).astype(np.int64) for _ in walks]
     sampled = [embed(raw, offsets[:-1], offsets[1:], w)[p, np.arange(len(items))[None, :, None]] for w, p in zip(walks, places, strict=True)]
@@ -326,13 +327,18 @@ def matches(index: Index, raw: np.ndarray, offsets: np.ndarray, similarity: floa
     found = np.zeros(len(doc), bool)
     for lo in range(0, len(doc), WINDOWS):
         live = np.arange(lo, min(lo + WINDOWS, len(doc)))
-        for walk, places, sampled in zip(index.walks, index.places, index.sampled, strict=True):
+        agreed, alike, seen = np.zeros(len(live), np.int64), np.zeros(len(live), bool), 0
+        for n, (walk, places, sampled) in enumerate(zip(index.walks, index.places, index.sampled, strict=True), 1):
             emitted, own, rows = embed(raw, first[live], end[live], walk), item[live], np.arange(len(live))[:, None]
             for p, s in zip(places, sampled, strict=True):
-                found[live] |= (emitted[p[own], rows] == s[own]).all(1)
-            live = live[~found[live]]
+                same = emitted[p[own], rows] == s[own]
+                alike |= same.all(1)
+                agreed, seen = agreed + same.sum(1), seen + same.shape[1]
+            keep = agreed >= LEAST_AGREE * math.sqrt(n / len(index.walks)) * seen  # fewer places say less
+            live, agreed, alike = live[keep], agreed[keep], alike[keep]
             if not len(live):
                 break
+        found[live] = alike
     out: dict[tuple[int, int], tuple[int, int]] = {}
     grams: dict[int, np.ndarray] = {}
     near_to: tuple[int, int, int] = (-1, -1, 0)
@@ -364,7 +370,12 @@ def matches(index: Index, raw: np.ndarray, offsets: np.ndarray, similarity: floa
                 continue  # the part read for near_to holds this one's
             near_to = (d, i, f)
             at = max(int(offsets[d]), f - limit)
-            part = raw[at : min(int(offsets[d + 1]), f + len(own) + 2 * limit)].tobytes()
+            part = raw[at : min(int(offsets[d + 1]), f + len(own) + 2 * limit)]
+            if i not in grams:
+                grams[i] = trigrams(np.frombuffer(own, np.uint8))
+            if np.minimum(grams[i], trigrams(part)).sum() < len(own) - 2 - 3 * limit:
+                continue
+            part = part.tobytes()
             e, end = _best(own, part)
             if e <= limit and (best is None or e < best[0]):
                 _, back = _best(own[::-1], part[:end][::-1])
