@@ -9,7 +9,6 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rgsketch.operators import gamma_cws, redgreen, replicated_oph, similarity
-from rgsketch.plans import darts as D
 from rgsketch.plans import layout as L
 from rgsketch.sources.families import pack
 from rgsketch.sources.tables import materialize
@@ -23,12 +22,12 @@ def nine_pairs(v: DataFrame, levels: tuple[float, ...] = (0.1, 0.2, 0.3, 0.4, 0.
     return one.select((F.col("i") + 1).alias("pair"), "p.id_a", "p.id_b", "p.j").where("id_a IS NOT NULL")
 
 
-def agreements(v: DataFrame, pairs: DataFrame, method: str, k: int, seed: int, layout: L.Layout | None = None, steps: int = 400, scale: float = 1.0) -> DataFrame:
+def agreements(v: DataFrame, pairs: DataFrame, method: str, k: int, seed: int, layout: L.Layout | None = None, steps: int | None = None, scale: float = 1.0) -> DataFrame:
     """pair, hash_id, same (0 or 1) of one repetition; pairs has pair, id_a, id_b. Only the pairs' vectors are sketched."""
     ids = pairs.select(F.col("id_a").alias("vec_id")).unionByName(pairs.select(F.col("id_b").alias("vec_id"))).distinct()
     own, value = v.join(F.broadcast(ids), "vec_id", "left_semi"), ("h",)
     if method == "redgreen":
-        h = redgreen.sketch_relational(own, D.drop_dead(D.prune(D.build(layout, k, steps, seed)), layout), layout.alpha)
+        h = redgreen.sketch(own, layout, k, seed, steps=steps)
     elif method == "gamma_cws":
         h, value = gamma_cws.sketch(own, k, seed), ("comp", "level")
     else:
@@ -38,15 +37,24 @@ def agreements(v: DataFrame, pairs: DataFrame, method: str, k: int, seed: int, l
     return j.select("pair", "hash_id", (F.col("v_a") == F.col("v_b")).cast("int").alias("same"))
 
 
+def seed_agreements(v: DataFrame, pairs: DataFrame, k: int, seeds: range, scale: float = 1.0, coin: str = "shared") -> DataFrame:
+    """pair, hash_id (repetition * k + bin), same of the replicated sketch under every seed."""
+    ids = pairs.select(F.col("id_a").alias("vec_id")).unionByName(pairs.select(F.col("id_b").alias("vec_id"))).distinct()
+    h = replicated_oph.sketch_seeds(pack(v.join(F.broadcast(ids), "vec_id", "left_semi")), k, seeds, scale, coin)
+    h = materialize(h.select("vec_id", (F.col("rep") * k + F.col("hash_id")).alias("hash_id"), "h"))
+    a, b = (h.select(F.col("vec_id").alias(f"id_{x}"), "hash_id", F.col("h").alias(f"h_{x}")) for x in "ab")
+    j = pairs.select("pair", "id_a", "id_b").join(a, "id_a").join(b, ["id_b", "hash_id"])
+    return j.select("pair", "hash_id", (F.col("h_a") == F.col("h_b")).cast("int").alias("same"))
+
+
 def error_curve(v: DataFrame, pairs: DataFrame, method: str, k: int = 50, seeds: range = range(200), **kw) -> DataFrame:
     """pair, k, j, bias, mae, rmse of the first k hashes over repetitions. All repetitions are one plan: hash ids of a
     repetition are offset, so repetitions are independent blocks of one sketch of len(seeds) * k hashes."""
     n = len(seeds)
-    same = agreements(v, pairs, method, k * n, seeds[0], **kw) if method != "replicated_oph" else None
-    if same is None:  # bins of one permutation aren't independent blocks: one sketch a seed
-        for r, s in enumerate(seeds):
-            own = agreements(v, pairs, method, k, s, **kw).withColumn("hash_id", F.col("hash_id") + r * k)
-            same = own if same is None else same.unionByName(own)
+    if method == "replicated_oph":  # bins of one permutation aren't independent blocks: one sketch a seed
+        same = seed_agreements(v, pairs, k, seeds, **kw)
+    else:
+        same = agreements(v, pairs, method, k * n, seeds[0], **kw)
     rep, pos = F.floor(F.col("hash_id") / k).alias("rep"), (F.pmod("hash_id", F.lit(k)) + 1).alias("k")
     full = pairs.select("pair", "j").crossJoin(F.broadcast(v.sparkSession.range(k * n).select(F.col("id").cast("int").alias("hash_id"))))
     rows = full.join(same, ["pair", "hash_id"], "left").select("pair", "j", rep, pos, F.coalesce("same", F.lit(0)).alias("same"))
@@ -79,7 +87,13 @@ def time_hashes(v: DataFrame, k: int = 500, methods: tuple[str, ...] = ("redgree
     return out
 
 
+def copy_scale(v: DataFrame, copies: float = 100.0) -> float:
+    """The one rule for the replicated sketch's scale: the largest weight of the data set counts as so many copies."""
+    return copies / (v.agg(F.max("weight").alias("m")).first()["m"] or 1.0)
+
+
 def speedups(times: dict[str, float], base: str = "redgreen") -> dict[str, float]:
+    """How many times as long as ``base`` each other method takes."""
     return {m: t / times[base] for m, t in times.items() if m != base}
 
 
@@ -88,15 +102,30 @@ def scale_study(v: DataFrame, grid: list[float], k: int) -> DataFrame:
     return L.best_scale(v, grid).withColumn("draws", k / F.col("fill"))
 
 
-def replication_bias(v: DataFrame, pairs: DataFrame, k: int, seeds: range, scales: tuple[float, ...], densify: str = "rotate") -> DataFrame:
-    """scale, pair, est, j: mean estimate of the replicated sketch over seeds."""
+def replication_bias(v: DataFrame, pairs: DataFrame, k: int, seeds: range, scales: tuple[float, ...], coins: tuple[str, ...] = ("shared", "independent")) -> DataFrame:
+    """scale, coin, pair, est, j: mean estimate of the replicated sketch over seeds. Coarse scales and coins of each vector's
+    own lower the estimate."""
     out = None
     for s in scales:
-        e = error_curve(v, pairs, "replicated_oph", k, seeds, scale=s).where(F.col("k") == k).select(F.lit(float(s)).alias("scale"), "pair", (F.col("j") + F.col("bias")).alias("est"), "j")
-        out = e if out is None else out.unionByName(e)
+        for coin in coins:
+            e = error_curve(v, pairs, "replicated_oph", k, seeds, scale=s, coin=coin).where(F.col("k") == k)
+            e = e.select(F.lit(float(s)).alias("scale"), F.lit(coin).alias("coin"), "pair", (F.col("j") + F.col("bias")).alias("est"), "j")
+            out = e if out is None else out.unionByName(e)
     return out
 
 
+def densify_variance(v: DataFrame, pairs: DataFrame, k: int, seeds: range, scale: float = 1.0) -> DataFrame:
+    """mode, mae: error of the replicated sketch with each way to fill empty bins, over seeds and pairs."""
+    ids = pairs.select(F.col("id_a").alias("vec_id")).unionByName(pairs.select(F.col("id_b").alias("vec_id"))).distinct()
+    own, out = materialize(v.join(F.broadcast(ids), "vec_id", "left_semi")), None
+    for mode in ("rotate", "direction", "probe"):
+        for s in seeds:
+            h = replicated_oph.sketch(own, k, s, scale, densify=mode).select("vec_id", "hash_id", "h")
+            e = similarity.estimate_long(h, pairs.select("id_a", "id_b"), k).join(pairs, ["id_a", "id_b"]).select(F.lit(mode).alias("mode"), F.abs(F.col("est") - F.col("j")).alias("e"))
+            out = e if out is None else out.unionByName(e)
+    return out.groupBy("mode").agg(F.avg("e").alias("mae"))
+
+
 def crossover(spark, families: dict[str, DataFrame], k: int = 500) -> DataFrame:
     """family, redgreen_work, gamma_work, method: which sampler does less, by fill and non-zeros."""
     rows = []

@@ -4,63 +4,76 @@ from __future__ import annotations
 
 import hashlib
 import math
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.functions.rng import bits52, gamma21, open_uniform, sql_open
+from rgsketch.functions.rng import bits52, mix32, sql_mix32, stream_word
 
-#: Logarithms of two engines may differ in the last digit; levels are cut this far from a whole number.
+#: Logarithms of two engines may differ in the last digit; levels are cut this far from a whole number, keys rounded so.
 GUARD = 1e-9
+DIGITS = 9
+#: Words of a (hash, component): two each for the Gamma variates r and c, one for the uniform beta.
+STREAMS = ("r1", "r2", "c1", "c2", "b")
+_WORD, _WORDS = (1 << 32) - 1, float(1 << 32)
+#: Variates of components and hashes that one table in a worker's memory holds.
+TABLE = 1 << 21
 
 
 def sketch(v: DataFrame, k: int, seed: int) -> DataFrame:
-    """vec_id, hash_id, comp, level. Variates hang on (seed, hash, component) and are made in the row: no table of k * D
-    of them. All is one projection and a minimum; rows grow k-fold inside the stage only."""
-    rows = v.select("vec_id", "comp", F.log("weight").alias("lw"), F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("hash_id"))
-    key = (F.col("hash_id"), F.col("comp"))
-    rows = rows.withColumn("r", gamma21(seed, "r", *key)).withColumn("lc", F.log(gamma21(seed, "c", *key))).withColumn("beta", open_uniform(seed, "b", *key))
+    """vec_id, hash_id, comp, level. Variates hang on (seed, hash, component) and are made in the row from two mixed words:
+    no table of k * D of them. All is one projection and a minimum; rows grow k-fold inside the stage only."""
+    own = [mix32((F.col("comp").cast("long") + stream_word(seed, "comp", i)).bitwiseAND(F.lit(_WORD))).alias(f"m{i}") for i in range(5)]
+    rows = v.select("vec_id", "comp", F.log("weight").alias("lw"), *own, F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("hash_id"))
+    rows = rows.withColumns({f"h{i}": mix32((F.col("hash_id").cast("long") + stream_word(seed, "hash", i)).bitwiseAND(F.lit(_WORD))) for i in range(5)})
+    rows = rows.withColumns({f"u{i}": (mix32((F.col(f"m{i}") + F.col(f"h{i}")).bitwiseAND(F.lit(_WORD))) + 0.5) / _WORDS for i in range(5)})
+    rows = rows.select("vec_id", "hash_id", "comp", "lw", (-F.log(F.col("u0") * F.col("u1"))).alias("r"), F.log(-F.log(F.col("u2") * F.col("u3"))).alias("lc"), F.col("u4").alias("beta"))
     level = F.floor(F.col("lw") / F.col("r") + F.col("beta") + GUARD)
     rows = rows.select("vec_id", "hash_id", "comp", level.alias("level"), (F.col("lc") - F.col("r") * (level - F.col("beta") + 1)).alias("key"))
-    best = F.min_by(F.struct("comp", "level"), F.struct(F.round("key", 9), "comp")).alias("b")
+    best = F.min_by(F.struct("comp", "level"), F.struct(F.round("key", DIGITS), "comp")).alias("b")
     return rows.groupBy("vec_id", "hash_id").agg(best).select("vec_id", "hash_id", "b.comp", "b.level")
 
 
-@lru_cache(50_000)
-def _variates(seed: int, comp: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """r, ln c and beta of all hashes of a component, seeded by the component."""
-    rng = np.random.default_rng([seed, comp])
-    return rng.gamma(2.0, 1.0, k), np.log(rng.gamma(2.0, 1.0, k)), rng.random(k)
+def variates(seed: int, comps: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """r, ln c and beta, components x hashes, as ``sketch`` makes them."""
+    u = []
+    for i in range(5):
+        m = mix32((comps + stream_word(seed, "comp", i)) & _WORD)
+        h = mix32((np.arange(k) + stream_word(seed, "hash", i)) & _WORD)
+        u.append((mix32((m[:, None] + h) & _WORD) + 0.5) / _WORDS)
+    return -np.log(u[0] * u[1]), np.log(-np.log(u[2] * u[3])), u[4]
 
 
-def sketch_batches(packed: DataFrame, k: int, seed: int, block: int = 2048) -> DataFrame:
-    """vec_id, comps ARRAY<INT>, levels ARRAY<BIGINT> in Arrow batches; variates of a component are made once a worker."""
+def sketch_batches(packed: DataFrame, k: int, seed: int) -> DataFrame:
+    """vec_id, comps ARRAY<INT>, levels ARRAY<BIGINT> in Arrow batches, the same hashes as ``sketch``. The variates of a
+    batch's components are one table where it stays below TABLE; otherwise they are made by blocks of a vector."""
+    block = max(1, TABLE // k // 4)
 
     def run(batches):
         for batch in batches:
             ids, comps, weights = batch.columns
-            c_out, l_out = [], []
-            for c, w in zip(comps.to_pylist(), weights.to_pylist(), strict=True):
+            edge = np.concatenate(([0], np.cumsum(np.asarray(comps.value_lengths().fill_null(0))))).astype(np.int64)
+            c, lw = np.asarray(comps.flatten()).astype(np.int64), np.log(np.asarray(weights.flatten(), float))
+            names = np.unique(c)
+            table = variates(seed, names, k) if len(names) * k <= TABLE else None
+            at = np.searchsorted(names, c)
+            n, every = batch.num_rows, np.arange(k)
+            bc, bl = np.zeros((n, k), np.int32), np.zeros((n, k), np.int64)
+            for i in range(n):
                 best = np.full(k, np.inf)
-                bc, bl = np.zeros(k, np.int32), np.zeros(k, np.int64)
-                lw = np.log(np.asarray(w, float))
-                for at in range(0, len(c), block):
-                    r, lc, beta = (np.stack(x) for x in zip(*(_variates(seed, j, k) for j in c[at : at + block]), strict=True))
-                    level = np.floor(lw[at : at + block, None] / r + beta)
-                    key = lc - r * (level - beta + 1)
-                    i = key.argmin(0)
-                    m = key[i, np.arange(k)]
+                for lo in range(edge[i], edge[i + 1], block):  # components ascend, so the first of equal keys has the least
+                    s = slice(lo, min(lo + block, edge[i + 1]))
+                    r, lc, beta = (x[at[s]] for x in table) if table is not None else variates(seed, c[s], k)
+                    level = np.floor(lw[s, None] / r + beta + GUARD)
+                    key = np.round(lc - r * (level - beta + 1), DIGITS)
+                    j = key.argmin(0)
+                    m = key[j, every]
                     less = m < best
-                    best[less], bl[less] = m[less], level[i, np.arange(k)][less]
-                    bc[less] = np.asarray(c[at : at + block], np.int32)[i][less]
-                c_out.append(bc)
-                l_out.append(bl)
-            off = pa.array(np.arange(0, len(c_out) * k + 1, k, dtype=np.int32))
-            flat = lambda x, t: pa.array(np.concatenate(x) if x else np.zeros(0, t), pa.from_numpy_dtype(t))
-            yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(off, flat(c_out, np.int32)), pa.ListArray.from_arrays(off, flat(l_out, np.int64))], ["vec_id", "comps", "levels"])
+                    best[less], bl[i, less], bc[i, less] = m[less], level[j, every][less], c[s][j][less]
+            off = pa.array(np.arange(0, n * k + 1, k, dtype=np.int32))
+            yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(off, pa.array(bc.ravel())), pa.ListArray.from_arrays(off, pa.array(bl.ravel()))], ["vec_id", "comps", "levels"])
 
     return packed.select("vec_id", "comps", "weights").mapInArrow(run, "vec_id long, comps array<int>, levels array<long>")
 
@@ -98,9 +111,15 @@ def active_index_one(weights: dict[int, int], k: int, seed: int) -> list[tuple[i
 
 
 def sql(k: int, seed: int, v: str = "v", name: str = "gam") -> str:
-    g = lambda s: f"-ln({sql_open(f'{seed}', f"'{s}'", 'hash_id', 'comp', '1')} * {sql_open(f'{seed}', f"'{s}'", 'hash_id', 'comp', '2')})"
+    col = lambda f: ", ".join(f(i) for i in range(5))
     return (
-        f"{name}_p AS (SELECT vec_id, comp, hash_id::INT AS hash_id, ln(weight) AS lw, {g('r')} AS r, ln({g('c')}) AS lc, {sql_open(f'{seed}', "'b'", 'hash_id', 'comp')} AS beta FROM {v}, range({k}) x(hash_id)), "
+        f"{name}_w AS (SELECT vec_id, comp, ln(weight) AS lw, {col(lambda i: f'((comp::BIGINT + {stream_word(seed, "comp", i)}) & {_WORD}) AS c{i}')} FROM {v}), "
+        f"{name}_h AS (SELECT hash_id::INT AS hash_id, {col(lambda i: f'((hash_id::BIGINT + {stream_word(seed, "hash", i)}) & {_WORD}) AS g{i}')} FROM range({k}) x(hash_id)), "
+        f"{name}_c AS MATERIALIZED (SELECT vec_id, comp, lw, {col(lambda i: f'{sql_mix32(f"c{i}")} AS m{i}')} FROM {name}_w), "
+        f"{name}_k AS MATERIALIZED (SELECT hash_id, {col(lambda i: f'{sql_mix32(f"g{i}")} AS h{i}')} FROM {name}_h), "
+        f"{name}_x AS (SELECT vec_id, comp, lw, hash_id, {col(lambda i: f'((m{i} + h{i}) & {_WORD}) AS x{i}')} FROM {name}_c, {name}_k), "
+        f"{name}_u AS (SELECT vec_id, comp, lw, hash_id, {col(lambda i: f'(({sql_mix32(f"x{i}")}) + 0.5::DOUBLE) / {_WORDS}::DOUBLE AS u{i}')} FROM {name}_x), "
+        f"{name}_p AS (SELECT vec_id, comp, hash_id, lw, -ln(u0 * u1) AS r, ln(-ln(u2 * u3)) AS lc, u4 AS beta FROM {name}_u), "
         f"{name}_l AS (SELECT *, floor(lw / r + beta + {GUARD}) AS lev FROM {name}_p), "
-        f"{name} AS (SELECT vec_id, hash_id, b.comp AS comp, b.lev::BIGINT AS level FROM (SELECT vec_id, hash_id, min_by(struct_pack(comp := comp, lev := lev), struct_pack(k := round(lc - r * (lev - beta + 1), 9), comp := comp)) AS b FROM {name}_l GROUP BY ALL))"
+        f"{name} AS (SELECT vec_id, hash_id, b.comp AS comp, b.lev::BIGINT AS level FROM (SELECT vec_id, hash_id, min_by(struct_pack(comp := comp, lev := lev), struct_pack(k := round(lc - r * (lev - beta + 1), {DIGITS}), comp := comp)) AS b FROM {name}_l GROUP BY ALL))"
     )

@@ -51,7 +51,7 @@ def query(idx: DataFrame, queries: DataFrame, v: DataFrame, vq: DataFrame, top:
     pairs = candidates(queries, idx)
     both, a, b = _union(vq, v)
     got = similarity.exact_pairs(both, pairs.withColumn("id_b", -1 - F.col("id_b"))).select(a.alias("query_id"), b.alias("vec_id"), "j")
-    w = Window.partitionBy("query_id").orderBy(F.col("j").desc(), "vec_id")
+    w = Window.partitionBy("query_id").orderBy(F.round("j", 9).desc(), "vec_id")  # sums of one vector in another order tie
     return got.withColumn("place", F.row_number().over(w)).where(F.col("place") <= top)
 
 
@@ -93,7 +93,16 @@ def clusters(pairs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def near_duplicates(sketches: DataFrame, v: DataFrame, tau: float, rows: int, tables: int) -> DataFrame:
-    return clusters(all_pairs(sketches, v, tau, rows, tables), v.select("vec_id"))
+    """vec_id, cluster. Equal vectors are one class, known by its least id: only classes meet in buckets, so a vector that
+    occurs very often makes no pairs of its copies."""
+    e = F.sort_array(F.collect_list(F.struct("comp", "weight")))
+    one = v.groupBy("vec_id").agg(e.alias("e")).select("vec_id", F.xxhash64(F.lit(1), "e").alias("h1"), F.xxhash64(F.lit(2), "e").alias("h2"))
+    one = materialize(one)
+    reps = one.groupBy("h1", "h2").agg(F.min("vec_id").alias("rep"))
+    members = materialize(one.join(reps, ["h1", "h2"]).select("vec_id", "rep"))
+    own = members.where("vec_id = rep").select("vec_id")
+    found = clusters(all_pairs(sketches.join(own, "vec_id"), v.join(own, "vec_id"), tau, rows, tables), own)
+    return members.join(found.withColumnRenamed("vec_id", "rep"), "rep").select("vec_id", "cluster")
 
 
 def curve(j: Column, rows: int, tables: int) -> Column:

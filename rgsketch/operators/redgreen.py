@@ -16,6 +16,8 @@ from rgsketch.plans.layout import Layout, horizon, unit_layout
 from rgsketch.sources.tables import materialize
 
 HASHES = "vec_id long, hash_id int, h int"
+#: Draws that a first horizon has at most, over all hashes; what it leaves open is drawn on.
+MAX_DRAWS = 4_000_000
 
 
 def is_green_scan(r: Column, starts: Column, weights: Column) -> Column:
@@ -52,12 +54,17 @@ def sketch_relational(v: DataFrame, darts: DataFrame, alpha: float = 1.0, small:
     return hit.groupBy("vec_id", "hash_id").agg(F.min("step").alias("h"))
 
 
+def full_horizon(v: DataFrame, layout: Layout, k: int, delta: float = 1e-9) -> int:
+    """Draws after which a hash of the least filled vector is open with probability ``delta``, MAX_DRAWS over all k at most."""
+    low = v.groupBy("vec_id").agg(F.sum("weight").alias("l")).agg(F.min("l").alias("l")).first()["l"]
+    return max(1, min(horizon(min(1.0, (low or 1.0) * layout.alpha / max(layout.total, 1e-300)), delta), MAX_DRAWS // k))
+
+
 def sketch(v: DataFrame, layout: Layout, k: int, seed: int, delta: float = 1e-6, steps: int | None = None, unresolved: str = "extend", empty: str = "null", broadcast_rows: int = 2_000_000) -> DataFrame:
     """All hashes of all vectors. Pairs without a green draw within the horizon are drawn on (``extend``, exact) or get
-    h = 0, equal to nothing (``cap``). Vectors without weight aren't in long form; see ``with_empty``."""
-    if steps is None:
-        low = v.groupBy("vec_id").agg(F.sum("weight").alias("l")).agg(F.percentile_approx("l", 0.05).alias("l")).first()["l"]
-        steps = horizon(min(1.0, (low or 1.0) * layout.alpha / layout.total), 1e-2)
+    h = 0, equal to nothing (``cap``). Without ``steps`` the horizon follows the least fill, so that a pair of it is open
+    with probability ``delta``. Vectors without weight aren't in long form; see ``with_empty``."""
+    steps = full_horizon(v, layout, k, delta) if steps is None else steps
     pruned = D.drop_dead(D.prune(D.build(layout, k, steps, seed)), layout)
     pruned = materialize(pruned)
     found = sketch_relational(v, pruned, layout.alpha, pruned.count() <= broadcast_rows)

@@ -5,14 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rgsketch.functions.rng import sql_uniform, uniform
+from rgsketch.functions.rng import DIGIT_BITS, sql_uniform, uniform
 
-SHIFT = 1 << 22
+#: An element is comp * SHIFT + copy: no two pairs share one while comps and copies stay below SHIFT.
+SHIFT = 1 << DIGIT_BITS
 
 
 def to_set(v: DataFrame, scale: float = 1.0, coin: str = "shared", seed: int = 0) -> DataFrame:
     """vec_id, comp, copy (from 1), elem. The fraction left decides on a last copy by a coin: one for each component
-    (``shared``), one for each vector and component (``independent``), or none, where a fraction is an error (``none``)."""
+    (``shared``), one for each vector and component (``independent``), or none, where a fraction is an error (``none``).
+    A component with SHIFT copies or more is an error."""
     x = F.col("weight") * F.lit(float(scale))
     whole = F.floor(x)
     if coin == "none":
@@ -20,6 +22,7 @@ def to_set(v: DataFrame, scale: float = 1.0, coin: str = "shared", seed: int = 0
     else:
         u = uniform(seed, "coin", F.col("comp")) if coin == "shared" else uniform(seed, "coin", F.col("vec_id"), F.col("comp"))
         n = whole + (u < x - whole).cast("long")
+    n = F.when(n < SHIFT, n).otherwise(F.raise_error(F.lit("too many copies of a component")).cast("long"))
     rows = v.select("vec_id", "comp", n.alias("n")).where("n > 0")
     rows = rows.select("vec_id", "comp", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("copy"))
     return rows.withColumn("elem", F.col("comp").cast("long") * SHIFT + F.col("copy"))

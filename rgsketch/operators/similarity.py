@@ -81,7 +81,8 @@ def l1_estimate(est: Column, l1_a: Column, l1_b: Column) -> Column:
     return (l1_a + l1_b) * (1 - est) / (1 + est)
 
 
-def exact_l1(v: DataFrame, pairs: DataFrame) -> DataFrame:
+def exact_l1(v: DataFrame, pairs: DataFrame | None = None) -> DataFrame:
+    """id_a, id_b, l1 of the given pairs, or of all that share a component."""
     return exact_pairs(v, pairs).select("id_a", "id_b", l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")).alias("l1"))
 
 

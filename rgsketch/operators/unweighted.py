@@ -7,21 +7,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rgsketch.functions.rng import PRIME, sql_universal, two_universal, uniform, universal_pair
+from rgsketch.functions.rng import DIGIT_BITS, PRIME, scramble, sql_scramble, sql_universal, two_universal, uniform, universal_triple
 
 
 def minhash(sets: DataFrame, k: int, seed: int) -> DataFrame:
     """vec_id, hash_id, h: the least of each of k 2-universal hashes over (vec_id, elem)."""
-    each = [F.min(two_universal(F.col("elem"), seed, salt=f":{i}")).alias(f"m{i}") for i in range(k)]
-    got = sets.groupBy("vec_id").agg(*each)
+    rows = sets.select("vec_id", scramble(F.col("elem").cast("long"), seed).alias("x"))
+    got = rows.groupBy("vec_id").agg(*[F.min(two_universal(F.col("x"), seed, salt=f":{i}")).alias(f"m{i}") for i in range(k)])
     return got.select("vec_id", F.posexplode(F.array(*[f"m{i}" for i in range(k)])).alias("hash_id", "h"))
 
 
 def oph(sets: DataFrame, k: int, seed: int) -> DataFrame:
     """vec_id, bin, h: the least offset in every non-empty one of k bins of one hash."""
     width = -(-PRIME // k)
-    h = two_universal(F.col("elem"), seed)
-    rows = sets.select("vec_id", F.floor(h / width).cast("int").alias("bin"), F.pmod(h, F.lit(width)).alias("o"))
+    h = two_universal(F.col("x"), seed)
+    rows = sets.select("vec_id", scramble(F.col("elem").cast("long"), seed).alias("x")).select("vec_id", F.floor(h / width).cast("int").alias("bin"), F.pmod(h, F.lit(width)).alias("o"))
     return rows.groupBy("vec_id", "bin").agg(F.min("o").alias("h"))
 
 
@@ -93,13 +93,14 @@ def naive_sample(v: DataFrame, k: int, seed: int) -> DataFrame:
 
 
 def sql_minhash(k: int, seed: int, sets: str = "rep", name: str = "mh") -> str:
-    pairs = ", ".join(f"({i}, {a}, {b})" for i in range(k) for a, b in [universal_pair(seed, f":{i}")])
-    return f"{name} AS (SELECT vec_id, hash_id::INT AS hash_id, min(((elem % {PRIME}) * a + b) % {PRIME})::BIGINT AS h FROM {sets}, (VALUES {pairs}) t(hash_id, a, b) GROUP BY ALL)"
+    rows = ", ".join(f"({i}, {a}::BIGINT, {c}::BIGINT, {b}::BIGINT)" for i in range(k) for a, c, b in [universal_triple(seed, f":{i}")])
+    h = f"((x & {(1 << DIGIT_BITS) - 1}) * a + (x >> {DIGIT_BITS}) * c + b) % {PRIME}"
+    return f"{name}_x AS MATERIALIZED (SELECT vec_id, {sql_scramble('elem', seed)} AS x FROM {sets}), {name} AS (SELECT vec_id, hash_id::INT AS hash_id, min({h})::BIGINT AS h FROM {name}_x, (VALUES {rows}) t(hash_id, a, c, b) GROUP BY ALL)"
 
 
 def sql_oph(k: int, seed: int, sets: str = "rep", name: str = "oph") -> str:
     width = -(-PRIME // k)
-    return f"{name} AS (SELECT vec_id, (x // {width})::INT AS bin, min(x % {width})::BIGINT AS h FROM (SELECT vec_id, {sql_universal('elem', seed)} AS x FROM {sets}) GROUP BY ALL)"
+    return f"{name}_x AS MATERIALIZED (SELECT vec_id, {sql_scramble('elem', seed)} AS y FROM {sets}), {name} AS (SELECT vec_id, (x // {width})::INT AS bin, min(x % {width})::BIGINT AS h FROM (SELECT vec_id, {sql_universal('y', seed)} AS x FROM {name}_x) GROUP BY ALL)"
 
 
 def sql_densify(k: int, mode: str = "rotate", seed: int = 0, bins: str = "oph", name: str = "den") -> str:

@@ -62,8 +62,12 @@ def load(spark, path: str) -> DataFrame:
     return spark.read.parquet(path)
 
 
-def sql(k: int, steps: int, seed: int, lay: str = "lay", name: str = "darts") -> str:
+def sql(k: int, steps: int, seed: int, lay: str = "lay", name: str = "darts", pruned: bool = False) -> str:
+    """DuckDB table (hash_id, step, comp, off); pruned to the darts that are below all earlier ones of their component, from
+    which any first green draw is found, so that a far horizon stays cheap."""
     u = sql_uniform(f"'{seed}'", "hash_id", "step")
+    if pruned:
+        return sql(k, steps, seed, lay, f"{name}_a") + f", {name} AS MATERIALIZED (SELECT hash_id, step, comp, off FROM (SELECT *, min(off) OVER (PARTITION BY hash_id, comp ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS m FROM {name}_a) WHERE m IS NULL OR off < m)"
     return (
         f"{name}_r AS (SELECT hash_id::INT AS hash_id, step::INT AS step, {u} * total AS r FROM range({k}) a(hash_id), range(1, {steps + 1}) b(step), {lay}_m), "
         f"{name} AS (SELECT hash_id, step, comp, r - lo AS off FROM {name}_r ASOF JOIN {lay} ON r >= lo WHERE r < lo + cap)"

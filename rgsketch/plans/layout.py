@@ -20,10 +20,16 @@ class Layout:
     total: float
     dim: int
     alpha: float = 1.0
+    widths: int = 0
 
     @property
     def layout_id(self) -> str:
-        return hashlib.md5(f"{self.total}:{self.dim}:{self.alpha}".encode()).hexdigest()[:12]
+        """Of the scale and all (component, width) pairs; ``widths`` is their hash whatever the order of rows."""
+        return hashlib.md5(f"{self.total}:{self.dim}:{self.alpha}:{self.widths}".encode()).hexdigest()[:12]
+
+    def tag(self, sketches: DataFrame, seed: int, method: str = "redgreen") -> DataFrame:
+        """Packed or long hashes with what two of them must have in common to compare."""
+        return sketches.withColumns({"method": F.lit(method), "layout_id": F.lit(self.layout_id), "seed": F.lit(seed).cast("long")})
 
 
 def component_caps(v: DataFrame, alpha: float = 1.0, rounding: str = "ceil") -> DataFrame:
@@ -41,8 +47,8 @@ def build_layout(caps: DataFrame, alpha: float = 1.0) -> Layout:
     before = sums.select("block", F.coalesce(F.sum("s").over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)).alias("before"))
     run = F.coalesce(F.sum("cap").over(Window.partitionBy("block").orderBy("comp").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
     df = caps.withColumn("block", b).join(before, "block").select("comp", "max_w", "cap", (F.col("before") + run).alias("lo"))
-    r = caps.agg(F.sum("cap").alias("m"), F.count("*").alias("d")).first()
-    return Layout(df, float(r["m"] or 0), r["d"], alpha)
+    r = caps.agg(F.sum("cap").alias("m"), F.count("*").alias("d"), F.bit_xor(F.xxhash64("comp", "cap")).alias("w")).first()
+    return Layout(df, float(r["m"] or 0), r["d"], alpha, r["w"] or 0)
 
 
 def of(v: DataFrame, alpha: float = 1.0, rounding: str = "ceil") -> Layout:
@@ -65,7 +71,9 @@ def estimate(v: DataFrame, fraction: float, margin: float, seed: int = 3) -> Lay
 
 def check_overflow(v: DataFrame, layout: Layout, policy: str = "error") -> DataFrame:
     """``report``: rows above their width or without one; ``clip``: weights cut to the width, unknown components dropped;
-    ``error``: v, failing when a row overflows."""
+    ``error``: v, failing when a row overflows. For a new layout that holds all, see ``new_epoch``."""
+    if policy not in ("report", "clip", "error"):
+        raise ValueError(f"unknown overflow policy {policy!r}")
     j = v.join(layout.df.select("comp", "cap"), "comp", "left").select("vec_id", "comp", "weight", "cap")
     over = F.col("cap").isNull() | (F.col("weight") * layout.alpha > F.col("cap"))
     if policy == "report":
@@ -75,6 +83,15 @@ def check_overflow(v: DataFrame, layout: Layout, policy: str = "error") -> DataF
     return j.select("vec_id", "comp", F.when(over, F.raise_error(F.lit("weight above its component's width")).cast("double")).otherwise(F.col("weight")).alias("weight"))
 
 
+def new_epoch(v: DataFrame, layout: Layout) -> Layout:
+    """The layout to go on with: the old one while no row overflows, else one whose widths also hold v's weights. A new
+    layout has another layout_id, so hashes of two epochs refuse to compare and old vectors are sketched anew."""
+    if check_overflow(v, layout, "report").isEmpty():
+        return layout
+    wide = component_caps(v, layout.alpha).unionByName(layout.df.select("comp", "max_w", "cap"))
+    return build_layout(wide.groupBy("comp").agg(F.max("max_w").alias("max_w"), F.max("cap").alias("cap")), layout.alpha)
+
+
 def cell_table(layout: Layout) -> DataFrame:
     """cell, comp: the component of every whole cell of [0, total)."""
     cells = F.sequence(F.col("lo").cast("long"), (F.col("lo") + F.col("cap") - 1).cast("long"))

@@ -81,13 +81,17 @@ def _interval(spark, d):
     return a.join(b, on).select("event_id_a", "event_id_b")
 
 
+URGENT = "o_orderpriority = '1-URGENT'"
+
+
 def _outer(kind):
     def run(spark, d):
-        c, o = table(spark, d, "customer", "c_custkey"), table(spark, d, "orders", "o_orderkey", "o_custkey").where("o_orderkey % 7 = 0")
+        """Customers and the urgent orders: either side has rows without the other."""
+        c, o = table(spark, d, "customer", "c_custkey"), table(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderpriority").where(URGENT)
         return c.join(o, F.col("c_custkey") == F.col("o_custkey"), kind).groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
 
     how = {"left": "LEFT", "right": "RIGHT", "full": "FULL"}[kind]
-    return run, f"SELECT c_custkey, count(o_orderkey) AS n FROM customer {how} JOIN (SELECT * FROM orders WHERE o_orderkey % 7 = 0) ON c_custkey = o_custkey GROUP BY c_custkey"
+    return run, f"SELECT c_custkey, count(o_orderkey) AS n FROM customer {how} JOIN (SELECT * FROM orders WHERE {URGENT}) ON c_custkey = o_custkey GROUP BY c_custkey"
 
 
 def _semi(spark, d):
@@ -182,13 +186,17 @@ def _topk(spark, d):
     return table(spark, d, "orders", "o_orderkey", "o_totalprice").orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(10)
 
 
+LARGE_RETURNS = "l_returnflag = 'R' AND l_quantity >= 45"
+
+
 def _sets(kind):
     def run(spark, d):
-        a = table(spark, d, "lineitem", F.col("l_suppkey").alias("k")).where("k % 3 = 0")
-        b = table(spark, d, "supplier", F.col("s_suppkey").alias("k")).where("k % 2 = 0")
+        """Keys of parts that came back in large lots, one a line, and all keys of parts."""
+        a = table(spark, d, "lineitem", F.col("l_partkey").alias("k"), "l_returnflag", "l_quantity").where(LARGE_RETURNS).select("k")
+        b = table(spark, d, "part", F.col("p_partkey").alias("k"))
         return {"union": lambda: a.union(b), "intersect": lambda: a.intersect(b), "except": lambda: b.exceptAll(a.distinct()), "distinct": lambda: a.distinct()}[kind]()
 
-    a, b = "SELECT l_suppkey AS k FROM lineitem WHERE l_suppkey % 3 = 0", "SELECT s_suppkey AS k FROM supplier WHERE s_suppkey % 2 = 0"
+    a, b = f"SELECT l_partkey AS k FROM lineitem WHERE {LARGE_RETURNS}", "SELECT p_partkey AS k FROM part"
     return run, {"union": f"{a} UNION ALL {b}", "intersect": f"{a} INTERSECT {b}", "except": f"{b} EXCEPT {a}", "distinct": f"SELECT DISTINCT k FROM ({a})"}[kind]
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 
 from rgsketch.functions import rng
@@ -9,11 +11,15 @@ from rgsketch.operators import compact, gamma_cws, measures, redgreen, replicate
 from rgsketch.plans import darts as D
 from rgsketch.plans import layout as L
 from rgsketch.sources import families as V
-from rgsketch.sources.tables import table
+from rgsketch.sources.tables import materialize, shared_dir, table
 
 SEED = 7
-#: Hashes and horizon of each family's relational sketch.
-PLAN = {"embeddings": (32, 256), "customer_brand": (32, 96), "supplier_brand": (64, 32), "supplier_month": (64, 32), "part_supplier": (16, 192), "user_hours": (32, 96), "doc_letters": (32, 384), "page_tags": (32, 48)}
+#: Hashes of each family's relational sketch, widths, and the horizon of its SQL, far enough for every hash of the given
+#: tables; the sketch itself draws on until no hash is open.
+PLAN = {
+    "embeddings": (32, "ceil", 512), "customer_brand": (32, "ceil", 100_000), "supplier_brand": (64, "ceil", 256), "supplier_month": (64, "ceil", 256),
+    "part_supplier": (16, "ceil", 4096), "user_hours": (32, "ceil", 1024), "doc_letters": (32, "exact", 512), "page_tags": (32, "ceil", 4096),
+}
 _GROUP = "SELECT vec_id, comp, round(weight, 6) AS weight FROM v"
 
 
@@ -48,16 +54,21 @@ _STATS = " UNION ALL ".join(
 )
 
 
-def _rg(name: str, rounding: str = "ceil"):
-    k, steps = PLAN[name]
+def _complete(spark, d, name, k=None, rounding=None):
+    """A family's vectors (made once), their layout and all their hashes."""
+    own, wide, _ = PLAN[name]
+    v = materialize(V.BUILDERS[name](spark, d))
+    lay = L.of(v, rounding=rounding or wide)
+    return v, lay, redgreen.sketch(v, lay, k or own, SEED)
 
-    def run(spark, d):
-        v = V.BUILDERS[name](spark, d)
-        lay = L.of(v, rounding=rounding)
-        darts = D.prune(D.build(lay, k, steps, SEED))
-        return redgreen.sketch_relational(v, D.drop_dead(darts, lay) if rounding == "ceil" else darts, lay.alpha)
 
-    return run, _with(V.sql(name), L.sql(rounding=rounding), D.sql(k, steps, SEED), redgreen.sql()) + "SELECT * FROM rg"
+def _complete_sql(name, k=None, rounding=None):
+    own, wide, steps = PLAN[name]
+    return V.sql(name), L.sql(rounding=rounding or wide), D.sql(k or own, steps, SEED, pruned=True), redgreen.sql()
+
+
+def _rg(name: str, rounding: str | None = None):
+    return lambda spark, d: _complete(spark, d, name, rounding=rounding)[2], _with(*_complete_sql(name, rounding=rounding)) + "SELECT * FROM rg"
 
 
 def _emb(spark, d):
@@ -66,8 +77,8 @@ def _emb(spark, d):
 
 
 _EMB = (V.sql("embeddings"), L.sql())
-_K, _T = PLAN["embeddings"]
-_RG_EMB = _with(*_EMB, D.sql(_K, _T, SEED), redgreen.sql()) + "SELECT * FROM rg"
+_K, _, _T = PLAN["embeddings"]
+_RG_EMB = _with(*_complete_sql("embeddings")) + "SELECT * FROM rg"
 
 
 def _caps(spark, d):
@@ -144,6 +155,13 @@ def _darts(spark, d):
     return D.build(_emb(spark, d)[1], _K, _T, SEED).select("hash_id", "step", "comp", _r("offset", 9))
 
 
+def _saved(spark, d):
+    """Darts written to the shared folder and read back."""
+    path = f"{shared_dir(spark)}/rgsketch/{uuid.uuid4().hex}"
+    D.save(D.build(_emb(spark, d)[1], _K, _T, SEED), path)
+    return D.load(spark, path).select("hash_id", "step", "comp", _r("offset", 9))
+
+
 def _pruned(spark, d):
     return D.prune(D.build(_emb(spark, d)[1], _K, _T, SEED)).select("hash_id", "step", "comp", _r("offset", 9))
 
@@ -214,23 +232,20 @@ _SETS = _with("v AS (SELECT DISTINCT l_partkey AS vec_id, l_suppkey::INT AS comp
 
 def _empty(spark, d):
     """Letters' sketches with a null row for each document without a letter."""
-    v = V.doc_letters(spark, d)
-    lay = L.of(v)
-    h = redgreen.sketch_relational(v, D.build(lay, 4, 256, SEED))
+    h = _complete(spark, d, "doc_letters", 4)[2]
     return redgreen.with_empty(h, table(spark, d, "documents", F.col("doc_id").alias("vec_id")))
 
 
-_EMPTY = _with(V.sql("doc_letters"), L.sql(), D.sql(4, 256, SEED), redgreen.sql()) + "SELECT * FROM rg UNION ALL SELECT DISTINCT doc_id, NULL::INT, NULL::INT FROM documents WHERE doc_id NOT IN (SELECT vec_id FROM rg)"
+_EMPTY = _with(*_complete_sql("doc_letters", 4)) + "SELECT * FROM rg UNION ALL SELECT DISTINCT doc_id, NULL::INT, NULL::INT FROM documents WHERE doc_id NOT IN (SELECT vec_id FROM rg)"
 
 
 def _merge(spark, d):
     """Customers' sketches merged by nation: the sketch of each nation's element-wise maximum."""
-    v = V.customer_brand(spark, d)
-    h = redgreen.sketch_relational(v, D.build(L.of(v), 32, 96, SEED))
+    h = _complete(spark, d, "customer_brand")[2]
     return redgreen.merge_max(h, table(spark, d, "customer", F.col("c_custkey").alias("vec_id"), F.col("c_nationkey").alias("group_id")))
 
 
-_MERGE = _with(V.sql("customer_brand"), L.sql(), D.sql(32, 96, SEED), "g AS (SELECT c_nationkey AS vec_id, comp, max(weight) AS weight FROM v JOIN customer ON c_custkey = vec_id GROUP BY ALL)", redgreen.sql("g")) + "SELECT * FROM rg"
+_MERGE = _with(*_complete_sql("customer_brand")[:3], "g AS (SELECT c_nationkey AS vec_id, comp, max(weight) AS weight FROM v JOIN customer ON c_custkey = vec_id GROUP BY ALL)", redgreen.sql("g")) + "SELECT * FROM rg"
 
 
 def _growth(spark, d):
@@ -330,6 +345,16 @@ def _replicated_oph(spark, d):
     return replicated_oph.sketch(V.supplier_brand(spark, d), 64, SEED, 0.05).select("vec_id", F.col("hash_id").cast("int").alias("hash_id"), "h")
 
 
+def _replicated_batches(spark, d):
+    s = replicated_oph.sketch_batches(V.pack(V.supplier_brand(spark, d)), 64, SEED, 0.05)
+    return redgreen.to_long(s).select("vec_id", F.col("hash_id").cast("int").alias("hash_id"), "h")
+
+
+def _wide(spark, d):
+    """The whole terms of the documents, a dimension of tens of thousands, as replicated sketches."""
+    return replicated_oph.sketch(V.doc_terms(spark, d), 64, SEED).select("vec_id", F.col("hash_id").cast("int").alias("hash_id"), "h")
+
+
 def _classic(spark, d):
     return replicated_oph.sketch_classic(V.supplier_brand(spark, d), 32, SEED, 0.05)
 
@@ -346,30 +371,26 @@ def _naive(spark, d):
 
 
 def _moments(name):
-    k, steps = PLAN[name]
 
     def run(spark, d):
-        v = V.BUILDERS[name](spark, d)
-        lay = L.of(v)
-        out = measures.hash_moments(redgreen.sketch_relational(v, D.build(lay, k, steps, SEED)), L.fill(v, lay))
+        v, lay, h = _complete(spark, d, name)
+        out = measures.hash_moments(h, L.fill(v, lay))
         return out.select("vec_id", *[_r(c) for c in ("mean_h", "var_h", "mean_theory", "var_theory")])
 
-    return run, _with(V.sql(name), L.sql(), D.sql(k, steps, SEED), redgreen.sql(), "f AS (SELECT vec_id, sum(weight) / any_value(total) AS s FROM v, lay_m GROUP BY vec_id)") + "SELECT vec_id, round(avg(h), 6) AS mean_h, round(var_samp(h), 6) AS var_h, round(1 / any_value(s), 6) AS mean_theory, round((1 - any_value(s)) / (any_value(s) * any_value(s)), 6) AS var_theory FROM rg JOIN f USING (vec_id) GROUP BY vec_id"
+    return run, _with(*_complete_sql(name), "f AS (SELECT vec_id, sum(weight) / any_value(total) AS s FROM v, lay_m GROUP BY vec_id)") + "SELECT vec_id, round(avg(h), 6) AS mean_h, round(var_samp(h), 6) AS var_h, round(1 / any_value(s), 6) AS mean_theory, round((1 - any_value(s)) / (any_value(s) * any_value(s)), 6) AS var_theory FROM rg JOIN f USING (vec_id) GROUP BY vec_id"
 
 
 def _of_rg(name, use, cols):
-    k, steps = PLAN[name]
 
     def run(spark, d):
-        v = V.BUILDERS[name](spark, d)
-        lay = L.of(v)
-        return use(redgreen.sketch_relational(v, D.build(lay, k, steps, SEED)), L.fill(v, lay), k).select(*[_r(c) if r else c for c, r in cols])
+        v, lay, h = _complete(spark, d, name)
+        return use(h, L.fill(v, lay), PLAN[name][0]).select(*[_r(c) if r else c for c, r in cols])
 
     return run
 
 
 _FILL = "f AS (SELECT vec_id, sum(weight) / any_value(total) AS s FROM v, lay_m GROUP BY vec_id)"
-_EMB_RG = (*_EMB, D.sql(_K, _T, SEED), redgreen.sql(), _FILL)
+_EMB_RG = (*_complete_sql("embeddings"), _FILL)
 _TAIL = _with(*_EMB_RG) + "SELECT t, round(avg(CASE WHEN h > t THEN 1.0::DOUBLE ELSE 0.0 END), 6) AS observed, round(avg(pow(1 - s, t)), 6) AS expected FROM rg JOIN f USING (vec_id), (SELECT unnest([1, 5, 10, 20, 50, 100])::INT AS t) GROUP BY t"
 _RANGE = _with(*_EMB_RG) + "SELECT round(avg(h), 6) AS mean_h, min(h) AS min_h, max(h) AS max_h, ceil(log2(max(h) + 1))::INT AS bits FROM rg"
 _BITS = _with(*_EMB_RG) + "SELECT round(a, 6) AS mean_log2, round(b, 6) AS bound, round(c, 6) AS second_order, round(e, 6) AS entropy FROM (SELECT avg(log2(h)) AS a FROM rg), (SELECT avg(log2(1 / s)) AS b, avg(log2(1 / s) - (1 - s) / (2 * ln(2))) AS c, avg((-(1 - s) * log2(1 - s) - s * log2(s)) / s) AS e FROM f WHERE s < 1)"
@@ -385,8 +406,7 @@ _WORK = _with(*_EMB) + "SELECT vec_id, round(500 * any_value(total) / sum(weight
 
 
 def _draws(spark, d):
-    v, lay = _emb(spark, d)
-    return measures.draw_counts(redgreen.sketch_relational(v, D.build(lay, _K, _T, SEED)))
+    return measures.draw_counts(_complete(spark, d, "embeddings")[2])
 
 
 def _packed(spark, d):
@@ -414,6 +434,7 @@ def queries() -> dict:
         "rng_uniform": (_uniform, f"SELECT o_orderkey, {rng.sql_uniform(f"'{SEED}'", 'o_orderkey', '3')} AS u FROM orders"),
         "rng_two_universal": (_universal, f"SELECT o_orderkey, {rng.sql_universal('o_orderkey', SEED)} % 1000 AS h FROM orders"),
         "darts_build": (_darts, _with(*_DARTS) + 'SELECT hash_id, step, comp, round(off, 9) AS "offset" FROM darts'),
+        "darts_saved": (_saved, _with(*_DARTS) + 'SELECT hash_id, step, comp, round(off, 9) AS "offset" FROM darts'),
         "darts_pruned": (_pruned, _with(*_DARTS, _PRUNED) + 'SELECT hash_id, step, comp, round(off, 9) AS "offset" FROM pr'),
         "darts_live": (_live, _with(*_DARTS, _PRUNED) + 'SELECT hash_id, step, comp, round(off, 9) AS "offset" FROM pr JOIN lay USING (comp) WHERE off < max_w'),
         "darts_chained": (_chained, _CHAINED),
@@ -421,12 +442,14 @@ def queries() -> dict:
         "rg_exact_caps": _rg("embeddings", "exact"),
         "rg_sets": (_sets, _SETS), "rg_empty_policy": (_empty, _EMPTY), "rg_merge_max": (_merge, _MERGE), "rg_growth": (_growth, _GROWTH), "rg_packed_bits": (_packed, _RG_EMB),
         "green_scan": _green("scan"), "green_search": _green("search"), "green_table": _green("table"),
-        "gamma_embeddings": _gamma("embeddings", 16), "gamma_customer_brand": _gamma("customer_brand", 16), "gamma_batches": (_gamma_batches, None),
+        "gamma_embeddings": _gamma("embeddings", 16), "gamma_customer_brand": _gamma("customer_brand", 16), "gamma_batches": (_gamma_batches, _with(V.sql("embeddings"), gamma_cws.sql(64, SEED)) + "SELECT * FROM gam"),
         "gamma_bits": (_gamma_bits, _GAMMA_BITS), "gamma_component_only": (_gamma_component, _with(V.sql("embeddings"), gamma_cws.sql(16, SEED)) + "SELECT vec_id, hash_id, comp::BIGINT AS v FROM gam"),
         "repl_integer": _repl("customer_brand", coin="none"), "repl_shared_coin": _repl("embeddings", coin="shared", scale=20.0), "repl_independent_coin": _repl("embeddings", coin="independent", scale=20.0), "repl_quantized": (_repl_quantized, _QUANT),
         "minhash_sets": (_minhash, _with(*_REP, unweighted.sql_minhash(32, SEED)) + "SELECT * FROM mh"), "minhash_replicated": (_classic, _with(*_REP, unweighted.sql_minhash(32, SEED)) + "SELECT * FROM mh"),
         "oph_bins": (_oph, _with(*_REP, unweighted.sql_oph(64, SEED)) + "SELECT * FROM oph"), "oph_rotate": _dense("rotate"), "oph_direction": _dense("direction"), "oph_probe": _dense("probe"),
         "replicated_oph": (_replicated_oph, _with(*_REP, unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
+        "replicated_oph_batches": (_replicated_batches, _with(*_REP, unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
+        "replicated_oph_terms": (_wide, _with(V.sql("doc_terms"), replicate.sql(seed=SEED), unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
         "permutation_exact": (_permutation, _PERM), "naive_sampler": (_naive, None),
         "hash_moments": _moments("embeddings"), "hash_moments_letters": _moments("doc_letters"),
         "hash_tail": (_of_rg("embeddings", lambda h, f, k: measures.tail_check(h, f, [1, 5, 10, 20, 50, 100]), [("t", 0), ("observed", 1), ("expected", 1)]), _TAIL),

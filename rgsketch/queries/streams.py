@@ -14,7 +14,7 @@ from rgsketch.sources import families as V
 from rgsketch.sources.tables import shared_dir, table
 from rgsketch.streaming import histograms as H
 
-K, STEPS = PLAN["user_hours"]
+K, _, STEPS = PLAN["user_hours"]
 
 
 def _events(spark, d):
@@ -47,7 +47,7 @@ def _sketch(spark, d):
     v = H.collect_batches(H.histogram(_events(spark, d)), "complete")
     names = V.dictionary(v)
     long = v.join(names, "name").select("vec_id", "comp", "weight")
-    return redgreen.sketch_relational(long, D.build(L.of(long), K, STEPS, SEED))
+    return redgreen.sketch(long, L.of(long), K, SEED)
 
 
 def _growth(spark, d):
@@ -68,7 +68,7 @@ def _state(spark, d):
     return H.collect_batches(H.stateful_counts(_events(spark, d)), "update").groupBy("user_id").agg(F.max("n").alias("n"))
 
 
-_SKETCH = _with(V.sql("user_hours"), L.sql(), D.sql(K, STEPS, SEED), redgreen.sql()) + "SELECT * FROM rg"
+_SKETCH = _with(V.sql("user_hours"), L.sql(), D.sql(K, STEPS, SEED, pruned=True), redgreen.sql()) + "SELECT * FROM rg"
 
 
 def queries() -> dict:

@@ -4,9 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rgsketch.functions.rng import open_uniform
 from rgsketch.sources.tables import table
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -126,16 +129,31 @@ def doc_terms(spark: SparkSession, d: str) -> DataFrame:
     return encode(term_counts(table(spark, d, "documents", "doc_id", "text"), "doc_id", "text"))
 
 
+def _letter_shares(batches):
+    """Arrow batches (id, text) to (vec_id, comp, weight): one count over a batch's bytes, whose rows are 1 MB or one text."""
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        lo, text = 0, batch.column(1).cast(pa.large_binary()).fill_null(b"")
+        edge = np.frombuffer(text.buffers()[1], np.int64)[text.offset : text.offset + len(text) + 1]
+        data, sizes = np.frombuffer(text.buffers()[2] or b"", np.uint8), np.diff(edge)
+        while lo < batch.num_rows:
+            hi = max(lo + 1, int(np.searchsorted(edge, edge[lo] + (1 << 20), side="right")) - 1)
+            raw = data[edge[lo] : edge[hi]]
+            place = np.where(raw >= 97, raw - 97, raw - 65).astype(np.int64)
+            letter = np.flatnonzero(((raw >= 65) & (raw <= 90)) | ((raw >= 97) & (raw <= 122)))
+            row = np.repeat(np.arange(hi - lo), sizes[lo:hi])[letter]
+            n = np.bincount(row * 26 + place[letter], minlength=26 * (hi - lo)).reshape(-1, 26)
+            r, c = np.nonzero(n)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo).take(pa.array(r)), pa.array(c.astype(np.int32)), pa.array(n[r, c] / n.sum(1)[r])], ["vec_id", "comp", "weight"])
+            lo = hi
+
+
 def doc_letters(spark: SparkSession, d: str) -> DataFrame:
-    """Shares among the letters a-z of either case, by differences of lengths; no character is exploded, and the counts are
-    bound to a lambda's variable so that they are made once."""
-    t = F.coalesce("text", F.lit(""))
-    left = lambda c: F.length(F.replace(F.replace(t, F.lit(c)), F.lit(c.upper())))
-    counts = F.array(*[F.length(t) - left(c) for c in LOWER])
-    total = lambda c: F.aggregate(c, F.lit(0), lambda a, x: a + x)
-    shares = F.element_at(F.transform(F.array(counts), lambda c: F.transform(c, lambda x, i: F.struct(i.alias("comp"), x.alias("n"), total(c).alias("all")))), 1)
-    rows = table(spark, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("vec_id"), F.explode(shares).alias("c"))
-    return rows.where("c.n > 0").select("vec_id", "c.comp", (F.col("c.n") / F.col("c.all")).alias("weight"))
+    """Shares among the letters a-z of either case. Counted over bytes in Arrow batches: built-ins would read each text once
+    a letter and case."""
+    rows = table(spark, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("vec_id"), "text")
+    return rows.mapInArrow(_letter_shares, "vec_id long, comp int, weight double")
 
 
 def page_tags(spark: SparkSession, d: str) -> DataFrame:
@@ -156,6 +174,16 @@ def doc_folded(spark: SparkSession, d: str, buckets: int = 1024) -> DataFrame:
     return fold(term_counts(table(spark, d, "documents", "doc_id", "text"), "doc_id", "text"), buckets, name_col="name")
 
 
+def synthetic(spark: SparkSession, n: int, d: int, dim: int, power: int = 11, seed: int = 5) -> DataFrame:
+    """n made vectors with d non-zeros among dim components (evenly spread from a place of the vector's own), weights
+    u ** power of seeded draws: a mean of 1 / (power + 1) of the largest, so the fill is about d / dim / (power + 1)."""
+    rows = spark.range(n * d).select(F.floor(F.col("id") / d).alias("vec_id"), F.pmod("id", F.lit(d)).alias("i"))
+    comp = F.pmod(F.floor(F.col("i") * dim / d) + F.pmod(F.xxhash64(F.lit(seed), "vec_id"), F.lit(dim)), F.lit(dim)).cast("int")
+    return rows.select("vec_id", comp.alias("comp"), F.greatest(F.pow(open_uniform(seed, "w", F.col("vec_id"), F.col("i")), F.lit(power)), F.lit(1e-9)).alias("weight"))
+
+
+#: Made families for the studies of many non-zeros: vectors, non-zeros, components.
+WIDE = {"d1000": (64, 1_000, 1_040), "d10000": (32, 10_000, 50_000), "d100000": (16, 100_000, 145_000)}
 BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "embeddings": embeddings, "customer_brand": customer_brand, "supplier_brand": supplier_brand, "supplier_month": supplier_month, "part_supplier": part_supplier, "user_hours": user_hours,
     "doc_terms": doc_terms, "doc_letters": doc_letters, "page_tags": page_tags, "conversation_terms": conversation_terms, "benchmark_terms": benchmark_terms, "doc_folded": doc_folded,

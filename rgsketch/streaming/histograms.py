@@ -74,17 +74,23 @@ def histogram(events: DataFrame) -> DataFrame:
 class GrowingSketch:
     """Hashes of histograms that only grow: each batch joins the darts between old and new weights alone.
 
-    State is two written tables, a new version of each a batch; widths are frozen, and a weight above its width raises.
-    darts mustn't be cut to a data set's maxima. Vectors without a hash within the horizon stay out until they grow.
+    State is two written tables, a new version of each a batch; widths are frozen, and a weight above its width or a name
+    that has no component raises (see ``layout.new_epoch``). A batch that comes again, by its number, is left out. darts
+    mustn't be cut to a data set's maxima. Vectors without a hash within the horizon stay out until they grow.
     """
 
     def __init__(self, layout, darts: DataFrame, components: DataFrame):
         self.layout, self.darts, self.components = layout, darts, components
         self.weights: DataFrame | None = None
         self.hashes: DataFrame | None = None
-
-    def add(self, batch: DataFrame, _: int = 0) -> None:
-        new = histogram(batch).join(self.components, "name").select("vec_id", "comp", "weight")
+        self.last = -1
+
+    def add(self, batch: DataFrame, number: int | None = None) -> None:
+        number = self.last + 1 if number is None else number
+        if number <= self.last:
+            return
+        unknown = F.raise_error(F.concat(F.lit("no component for "), F.col("name"))).cast("int")
+        new = histogram(batch).join(self.components, "name", "left").select("vec_id", F.coalesce("comp", unknown).alias("comp"), "weight")
         old = self.weights if self.weights is not None else new.limit(0)
         all_ = new.unionByName(old.select("vec_id", "comp", F.col("weight"))).groupBy("vec_id", "comp").agg(F.sum("weight").alias("new_weight"))
         grown = all_.join(old.withColumnRenamed("weight", "old_weight"), ["vec_id", "comp"], "left").withColumn("old_weight", F.coalesce("old_weight", F.lit(0.0)))
@@ -94,6 +100,7 @@ class GrowingSketch:
         empty = grown.sparkSession.createDataFrame([], redgreen.HASHES)
         self.hashes = materialize(redgreen.update(self.hashes if self.hashes is not None else empty, grown.where("new_weight > old_weight"), self.darts))
         self.weights = grown.select("vec_id", "comp", F.col("new_weight").alias("weight"))
+        self.last = number
 
 
 def stateful_counts(events: DataFrame) -> DataFrame:
