@@ -53,6 +53,20 @@ def test_shuffle_is_reproducible_and_uniform(spark, docs_of):
     assert abs(np.corrcoef(list(a), list(a.values()))[0, 1]) < 0.1
 
 
+def test_copies_of_a_row_spread(docs_of):
+    """Three copies of each row lie about as far apart as rows drawn at random, and keep one slot each."""
+    df = docs_of([(i, f"text {i}") for i in range(1500) for _ in range(3)])
+    place = {}
+    for r in sharding.external_shuffle(df, bucket_bytes=8000).select("rec.doc_id", "rank").collect():
+        place.setdefault(r["doc_id"], []).append(r["rank"])
+    assert sorted(x for p in place.values() for x in p) == list(range(4500))
+    gap = np.mean([max(p) - min(p) for p in place.values()])
+    assert 0.46 * 4500 < gap < 0.54 * 4500  # half of all, for three places drawn at random
+    hot = docs_of([(1, "same")] * 3000 + [(i, str(i)) for i in range(500)])
+    ranks = [r["rank"] for r in sharding.external_shuffle(hot, bucket_bytes=4000).where("rec.doc_id = 1 AND rec.text = 'same'").select("rank").collect()]
+    assert abs(np.mean(ranks) - 1750) < 90 and np.std(ranks) > 900
+
+
 def test_write_shards(spark, docs_of, tmp_path):
     df = docs_of([(i, str(i)) for i in range(20)])
     sharding.write_shards(df, str(tmp_path / "out"), 4)
@@ -223,6 +237,59 @@ def test_ftrl_learns_sparse_weights_and_temperature_calibrates():
     assert t >= 5.0
 
 
+def test_dsa_and_encrypted_keys():
+    """Keys of six numbers, and keys under a password scheme; the same nesting under another identifier is no key."""
+    tlv = lambda tag, body: bytes([tag]) + (bytes([len(body)]) if len(body) < 128 else b"\x82" + len(body).to_bytes(2, "big")) + body
+    rng = random.Random(6)
+    num = lambda n: tlv(2, bytes([rng.randrange(1, 128)]) + rng.randbytes(n - 1))
+    dsa = tlv(0x30, tlv(2, b"\0") + num(128) + num(20) + num(128) + num(128) + num(20))
+    sealed = lambda oid: tlv(0x30, tlv(0x30, tlv(6, bytes.fromhex(oid)) + tlv(0x30, b"")) + tlv(4, rng.randbytes(200)))
+    good, other = sealed("2a864886f70d01050d"), sealed("550406")
+    assert secret_scan.is_der_key(dsa) and secret_scan.is_der_key(good) and not secret_scan.is_der_key(other)
+    assert not secret_scan.is_der_key(dsa[:-1]) and not secret_scan.is_der_key(tlv(0x30, tlv(2, b"\0") + num(128) + num(20)))
+
+
+def test_media_null_and_broken(spark):
+    good = media.encode_png(media.payload(b"abc"))
+    head = good.index(b"IHDR")
+    short = good[: head - 4] + media._chunk(b"IHDR", b"abc") + good[head + 4 + 13 + 4 :]
+    rows = [(0, 3, good), (1, 0, None), (2, 0, b""), (3, 0, good[:-20]), (4, 0, short), (5, 0, good[:50] + bytes([good[50] ^ 1]) + good[51:])]
+    long_data = zlib.compress(bytes(65 * 1000))
+    rows.append((6, 0, media.SIGNATURE + media._chunk(b"IHDR", struct.pack(">IIBBBBB", 64, 1, 8, 0, 0, 0, 0)) + media._chunk(b"IDAT", long_data) + media._chunk(b"IEND", b"")))
+    got = {r["doc_id"]: r for r in media.features(spark.createDataFrame(rows, "doc_id long, n_bytes long, media binary")).collect()}
+    assert got[0]["payload_bytes"] == 64 and got[1]["media_bytes"] is None
+    for i in range(2, 7):
+        assert got[i]["payload_sha256"] is None and got[i]["media_bytes"] == len(rows[i][2]) and got[i]["media_sha256"] == hashlib.sha256(rows[i][2]).hexdigest()
+
+
+def test_license_suppression_equals_plain_scan():
+    """The kept detections are those that a scan over all kept ones would keep."""
+    rng = random.Random(2)
+    names = ["licensed under the mit license", "apache license version 2 0", "under the terms of the gnu general public license version 3", "cc by nc 4 0 license", "all rights reserved", "word", "bsd 3 clause license", "permission is hereby granted free of charge to any person obtaining a copy of this software"]
+    for _ in range(40):
+        text = " ".join(rng.choice(names) for _ in range(rng.randint(1, 25)))
+        found = [(r.priority, m.start() - m.end(), order, m.start(), m.end(), r) for order, r in enumerate(license_scan.rules()) if any(k in text for k in r.keywords) for m in r.pattern.finditer(text)]
+        kept = []
+        for _, _, _, s, e, r in sorted(found, key=lambda f: f[:5]):
+            if not any(a <= s and e <= b for a, b, _, _ in kept):
+                kept.append((s, e, r.label, r.confidence))
+        assert license_scan.detect(text) == sorted(kept)
+
+
+def test_mix_with_many_sources_and_no_ids(spark):
+    """Weights follow the order of sources whatever the ranges; rows without ids are spread by their text."""
+    names = sorted({f"s{i * 7919 % 1000:03d}" for i in range(300)})
+    src = spark.createDataFrame([(n, f"s{n}", 1) for n in names] + [(None, "n", 1)], "source string, key string, source_size long").repartition(7)
+    got = {r["source"]: r["weight"] for r in mixing.cyclic_weights(src).collect()}
+    assert got == {n: (5.0, 2.0, 1.0)[i % 3] for i, n in enumerate([*names, None])}
+    docs = spark.createDataFrame([(None, f"some words here {i}", "a") for i in range(400)] + [(None, "x y " * 30, "b")] * 40, "doc_id long, text string, source string")
+    out = mixing.mix(docs).collect()
+    for s in "ab":
+        own = [r for r in out if r["source"] == s]
+        assert abs(sum(r["taken"] for r in own) - own[0]["target"]) <= 120
+    assert mixing.repeat_rows(docs).count() > 0
+
+
 # --- suffixes ----------------------------------------------------------------------------------------------------
 
 
