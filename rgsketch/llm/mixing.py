@@ -24,9 +24,15 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def cyclic_weights(sources: DataFrame, weights: tuple[float, ...] = (5, 2, 1)) -> DataFrame:
-    """Add ``weight``: the given values in turn, sources by code point, null last. Runs over the table of sources only."""
-    place = F.row_number().over(Window.orderBy(F.col("source").isNull(), F.col("source"))) - 1
-    return sources.withColumn("weight", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), F.pmod(place, F.lit(len(weights))) + 1))
+    """Add ``weight``: the given values in turn, sources by code point, null last. Sources are ranked within ranges of them,
+    and only the ranges' counts are summed in one place, as a source may be a host and hosts are many."""
+    order = (F.col("source").isNull(), F.col("source"))
+    ranged = materialize(sources.repartitionByRange(*order).withColumn("range", F.spark_partition_id()))
+    counts = ranged.groupBy("range").agg(F.count("*").alias("n"))
+    starts = counts.select("range", F.coalesce(F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("start"))
+    placed = ranged.join(F.broadcast(starts), "range")  # a row a partition
+    place = F.col("start") + F.row_number().over(Window.partitionBy("range").orderBy(*order)) - 1
+    return placed.withColumn("weight", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.pmod(place, F.lit(len(weights))) + 1).cast("int"))).drop("range", "start")
 
 
 def water_fill(sources: DataFrame, epochs: float, total: float | None = None) -> DataFrame:
@@ -49,12 +55,18 @@ def water_fill(sources: DataFrame, epochs: float, total: float | None = None) ->
     return sources.withColumn("target", target).drop("cap")
 
 
-def mix(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Rows doc_id, source, size, source_size, target, copies (whole and fractional repetitions), taken = copies * size."""
-    spot = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), F.col(id_col)).cast("binary")), 1, 15), 16, 10).cast("long")
-    base = materialize(docs.select(
-        F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.coalesce(F.regexp_count(text_col, F.lit(WORD)), F.lit(0)).cast("long").alias("size"), spot.alias("spot")))
-    base = base.withColumn("cell", F.shiftright("spot", 48)).withColumn("key", F.when(F.col("source").isNull(), "n").otherwise(F.concat(F.lit("s"), "source")))
+def _parts(docs: DataFrame, seed: int, id_col: str, text_col: str, source_col: str) -> dict:
+    """Of a document: its source's key, its words and its place in the seeded order (60 bits; the cell is the first 12). A
+    null id is placed by the text instead, so that rows without ids spread."""
+    name = F.coalesce(docs[id_col].cast("string"), F.concat(F.lit("n:"), F.md5(F.coalesce(docs[text_col].cast("string"), F.lit("")).cast("binary"))))
+    spot = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), name).cast("binary")), 1, 15), 16, 10).cast("long")
+    key = F.when(docs[source_col].isNull(), "n").otherwise(F.concat(F.lit("s"), docs[source_col]))
+    return {"doc_id": docs[id_col], "source": docs[source_col], "key": key, "size": F.coalesce(F.regexp_count(docs[text_col], F.lit(WORD)), F.lit(0)).cast("long"), "spot": spot, "cell": F.shiftright(spot, 48)}
+
+
+def _plan(docs: DataFrame, weigh, epochs: int, seed: int, id_col: str, text_col: str, source_col: str):
+    """The documents' parts (written), a row a source (key, source_size, target, whole, rest, cut, before), and their number."""
+    base = materialize(docs.select(*[c.alias(n) for n, c in _parts(docs, seed, id_col, text_col, source_col).items()]))
     sources = materialize(weigh(base.groupBy("key", "source").agg(F.sum("size").alias("source_size"))))
     filled = water_fill(sources, epochs).select("key", "source_size", F.round("target", 6).alias("target"))
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
@@ -63,26 +75,48 @@ def mix(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9, i
     run = Window.partitionBy("key").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
     cells = base.groupBy("key", "cell").agg(F.sum("size").alias("words")).withColumn("before", F.coalesce(F.sum("words").over(run), F.lit(0)))
     cut = cells.join(maybe_broadcast(filled, n), "key").where((F.col("before") < F.col("rest")) & (F.col("rest") <= F.col("before") + F.col("words")))
-    plan = materialize(filled.join(cut.select("key", F.col("cell").alias("cut"), "before"), "key", "left"))
-    rows = base.join(maybe_broadcast(plan, n), "key")
-    whole = rows.where(F.col("cut").isNull() | (F.col("cell") != F.col("cut"))).withColumn("extra", F.coalesce((F.col("cell") < F.col("cut")).cast("long"), F.lit(0)))
+    return base, materialize(filled.join(cut.select("key", F.col("cell").alias("cut"), "before"), "key", "left")), n
+
+
+def _at_edge() -> F.Column:
+    """Whether a row's cell is the one that its source's rest is cut in, where rows are ordered one by one."""
+    return F.coalesce(F.col("cell") == F.col("cut"), F.lit(False))
+
+
+def _decided() -> F.Column:
+    """Copies of a row away from the edge: whole repetitions, and one more before the cut."""
+    return F.col("whole") + F.coalesce((F.col("cell") < F.col("cut")).cast("long"), F.lit(0))
+
+
+def _edge(rows: DataFrame) -> DataFrame:
+    """The edge rows with their copies: one more while the words come nearer to the rest."""
     fine = Window.partitionBy("key").orderBy("spot", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     at = F.col("before") + F.coalesce(F.sum("size").over(fine), F.lit(0))
-    edge = rows.where(F.col("cell") == F.col("cut")).withColumn("extra", (at + F.col("size") / 2 <= F.col("rest")).cast("long"))
-    copies = F.col("whole") + F.col("extra")
-    return whole.unionByName(edge).select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    return rows.where(_at_edge()).withColumn("copies", F.col("whole") + (at + F.col("size") / 2 <= F.col("rest")).cast("long"))
+
+
+def mix(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """Rows doc_id, source, size, source_size, target, copies (whole and fractional repetitions), taken = copies * size."""
+    base, plan, n = _plan(docs, weigh, epochs, seed, id_col, text_col, source_col)
+    rows = base.join(maybe_broadcast(plan, n), "key")
+    both = rows.where(~_at_edge()).withColumn("copies", _decided()).unionByName(_edge(rows))
+    return both.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
 def repeat_rows(docs: DataFrame, weigh=cyclic_weights, epochs: int = 3, seed: int = 9) -> DataFrame:
-    """The rows of the mix with docs' columns: each document as often as the mix takes it. Rows of one id, source and size
-    are taken alike, as ``mix`` orders them by these."""
-    cols = docs.columns
-    taken = mix(docs, weigh, epochs, seed).select("doc_id", "source", "size", "copies")
-    taken = taken.groupBy("doc_id", "source", "size").agg(F.max("copies").alias("copies")).where("copies > 0")
-    size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    rows = docs.select(F.struct(*[docs[c] for c in cols]).alias("rec"), docs["doc_id"].alias("a"), docs["source"].alias("b"), size.alias("c"))
-    both = rows.join(taken, F.col("a").eqNullSafe(F.col("doc_id")) & F.col("b").eqNullSafe(F.col("source")) & (F.col("c") == F.col("size")))
-    return both.select("rec", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("copy")).select("rec.*")
+    """The rows of the mix with docs' columns: each document as often as the mix takes it. Rows are decided by the plan of
+    their source where they are read; only those of the cut cells, a 4096th of a source, are looked up, by what ``mix``
+    orders them by: rows that agree in it are taken alike, as often as the most of them."""
+    base, plan, n = _plan(docs, weigh, epochs, seed, "doc_id", "text", "source")
+    own = _parts(docs, seed, "doc_id", "text", "source")
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("rec"), *[own[c].alias(c) for c in ("doc_id", "key", "size", "spot", "cell")])
+    rows = rows.join(maybe_broadcast(plan.select("key", "whole", "cut"), n), "key")
+    by = ("key", "spot", "size")
+    edge = _edge(base.join(maybe_broadcast(plan, n), "key")).groupBy(*by, "doc_id").agg(F.max("copies").alias("copies")).where("copies > 0")
+    looked = rows.where(_at_edge()).drop("cell", "whole", "cut").withColumnRenamed("doc_id", "id").join(edge, list(by)).where(F.col("id").eqNullSafe(F.col("doc_id")))
+    plain = rows.where(~_at_edge()).withColumn("copies", _decided()).where("copies > 0")
+    both = plain.select("rec", "copies").unionByName(looked.select("rec", "copies"))
+    return both.select("rec", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies").cast("long"))).alias("copy")).select("rec.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:
