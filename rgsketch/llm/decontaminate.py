@@ -17,7 +17,7 @@ with the code of one pass, so that what is sent has a bound.
 
 Edge cases: null and empty texts and items match nothing; items shorter than ``RUN_BYTES``
 have no run and match nothing; very long texts are read whole; repeated rows, texts and items give
-repeated pairs once each; empty tables give empty results.
+repeated pairs once each, also where an id is null; empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -143,7 +143,7 @@ class Pieces:
 class Index:
     """One block of the benchmark: seeds of word runs and the sampled embeddings of its items."""
 
-    ids: np.ndarray
+    ids: list[int | None]
     items: list[bytes]
     seeds: np.ndarray  # sorted hashes of runs
     seed_item: np.ndarray
@@ -288,7 +288,7 @@ def piece_hits(p: Pieces, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.unique(np.concatenate(out), axis=0)
 
 
-def build_index(ids: list[int], texts: list[str], tables: int, samples: int = SAMPLES, seed: int = 31, similarity: float = SIMILARITY) -> Index:
+def build_index(ids: list[int | None], texts: list[str], tables: int, samples: int = SAMPLES, seed: int = 31, similarity: float = SIMILARITY) -> Index:
     items = [t.encode() for t in texts]
     raw = np.frombuffer(b"".join(items), np.uint8)
     offsets = np.cumsum([0, *map(len, items)])
@@ -302,7 +302,7 @@ def build_index(ids: list[int], texts: list[str], tables: int, samples: int = SA
     each = -(-tables // WALKS)
     places = [(rng.random((each, 1, samples)) * (2 * np.diff(offsets))[None, :, None]).astype(np.int64) for _ in walks]
     sampled = [embed(raw, offsets[:-1], offsets[1:], w)[p, np.arange(len(items))[None, :, None]] for w, p in zip(walks, places, strict=True)]
-    return Index(np.array(ids, np.int64), items, seeds[order], item[order], (start - offsets[item])[order], mask, walks, places, sampled, cut(items, similarity))
+    return Index(list(ids), items, seeds[order], item[order], (start - offsets[item])[order], mask, walks, places, sampled, cut(items, similarity))
 
 
 def windows(index: Index, raw: np.ndarray, offsets: np.ndarray, similarity: float) -> np.ndarray:
@@ -391,9 +391,9 @@ def _search(index: Index, similarity: float):
             rows = matches(index, raw, offsets, similarity)
             if rows:
                 d, i, f, e = (np.array(c, np.int64) for c in zip(*rows, strict=True))
-                ids = index.ids[i]
+                ids = [index.ids[k] for k in i.tolist()]
                 sim = 1 - e / np.array([len(index.items[k]) for k in i])
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(d)), pa.array(ids), pa.array(f), pa.array(e), pa.array(sim)], ["doc_id", "item_id", "start_byte", "edits", "similarity"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(d)), pa.array(ids, pa.int64()), pa.array(f), pa.array(e), pa.array(sim)], ["doc_id", "item_id", "start_byte", "edits", "similarity"])
 
     return run
 
@@ -416,7 +416,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILA
         if ids and size + len(text) > block_bytes:
             out = flush(out)
             ids, texts, size = [], [], 0
-        ids.append(-1 if r["item_id"] is None else r["item_id"])
+        ids.append(r["item_id"])
         texts.append(text)
         size += len(text)
     if ids:

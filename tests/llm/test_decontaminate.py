@@ -106,3 +106,43 @@ def test_other_limits_lose_nothing():
         truth = {(k, j) for k, t in enumerate(docs) for j, x in enumerate(items) if d.edits(x.encode(), t.encode(), len(x)) <= d.limit_of(x.encode(), similarity)}
         raw, offsets = utf8(pa.array(docs, pa.large_string()))
         assert {(a, b) for a, b, _, _ in d.matches(index, raw, offsets, similarity)} == truth
+
+
+def test_scripts_without_blanks_and_dense_edits_equal_brute_force():
+    """Unspaced text that stands verbatim or hurt between other characters, and a substituted byte in every eight."""
+    rng = random.Random(5)
+    han = lambda n: "".join(chr(rng.randrange(0x4E00, 0x4F00)) for _ in range(n))
+    items = [han(30), han(45), han(80), random_words(rng, 30)]
+    index = d.build_index(list(range(4)), items, d.tables_for())
+    docs = [han(20) + items[k % 3] + han(20) for k in range(6)]
+    for k in range(60):
+        own = list(items[k % 3])
+        for at in rng.sample(range(len(own)), int(len(own) * rng.choice([0.05, 0.1, 0.18, 0.25]))):
+            own[at] = chr(rng.randrange(0x4E00, 0x4F00))
+        docs.append(han(k % 9) + "".join(own) + han(k % 5))
+    hurt = list(items[3])
+    for at in range(3, len(hurt), 8):
+        hurt[at] = "#"
+    docs.append(d.normalise(random_words(rng, 5) + " " + "".join(hurt) + " " + random_words(rng, 5)))
+    truth = {(k, j) for k, t in enumerate(docs) for j, x in enumerate(items) if d.edits(x.encode(), t.encode(), len(x.encode())) <= d.limit_of(x.encode(), 0.8)}
+    raw, offsets = utf8(pa.array(docs, pa.large_string()))
+    got = {(a, b) for a, b, _, _ in d.matches(index, raw, offsets, 0.8)}
+    assert got == truth and (len(docs) - 1, 3) in truth and {(k, k % 3) for k in range(6)} <= truth
+
+
+def test_odd_rows_and_tables(spark, docs_of):
+    """Nulls, empty and long texts, repeated rows and items, ties, clashing columns, empty tables."""
+    rng = random.Random(6)
+    passage = random_words(rng, 20)
+    long_text = random_words(rng, 4000) + " " + passage.upper() + "  \n" + random_words(rng, 4000)
+    rows = [(0, None), (1, ""), (2, "a"), (3, passage), (3, passage), (4, long_text), (None, passage), (5, random_words(rng, 50)), (6, passage + " x " + passage)]
+    extra = ("item_id", "edits", "similarity", "start_byte", "spot", "rec", "b")
+    docs = docs_of(rows).selectExpr("*", *[f"{i} AS {c}" for i, c in enumerate(extra)])
+    items = spark.createDataFrame([(7, passage), (7, passage), (8, None), (9, ""), (10, "short"), (None, passage)], "item_id long, text string").selectExpr("*", "1 AS doc_id", "2 AS lang")
+    got = sorted(((r["doc_id"], r["item_id"], r["edits"], r["start_byte"]) for r in d.find_leaks(docs, items).collect()), key=str)
+    at = len(d.normalise(long_text[: long_text.index(passage.upper())]).encode()) + 1
+    assert got == sorted([(i, j, 0, at if i == 4 else 0) for i in (3, 4, 6, None) for j in (7, None)], key=str)
+    kept = d.drop_leaks(docs, items)
+    assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == [0, 1, 2, 5]
+    none, empty = docs_of([]), items.where("item_id = 99")
+    assert d.find_leaks(none, items).count() == 0 and d.find_leaks(docs, empty).count() == 0 and d.drop_leaks(docs, empty).count() == len(rows)
