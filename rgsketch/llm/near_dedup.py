@@ -247,6 +247,9 @@ class NearDuplicates:
         both = pairs.join(sets.select(F.col("cls").alias("hub"), F.col("items").alias("x")), "hub").join(sets.select("cls", F.col("items").alias("y")), "cls")
         kind = "hub binary, cls binary, root binary, off boolean, n long, size long, item long, place int"
         diff = materialize(both.select("hub", "cls", "root", "off", "x", "y").mapInArrow(_differences(self.percent), kind))
+        # classes of one root are joined already: elements that only they show make no pairs, however many classes they are
+        parts = diff.groupBy("hub", "item").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.max("off").alias("any"))
+        diff = materialize(diff.join(parts.where("any AND lo <> hi").select("hub", "item"), ["hub", "item"]))
         x = diff.where("off").select("hub", "item", *[F.col(c).alias(f"{c}_x") for c in ("cls", "root", "n", "size", "place")])
         y = diff.select("hub", "item", *[F.col(c).alias(f"{c}_y") for c in ("cls", "root", "off", "n", "size", "place")])
         need = F.greatest(F.lit(1), F.ceil((F.col("size_x") + F.col("size_y") - F.least("n_x", "n_y") * (100 - self.percent) / self.percent) / 2 - 1e-9))
