@@ -7,7 +7,8 @@ Average or Paeth rows row by row. The hash shrinks the image to 32 x 32 means, t
 for each of the 64 lowest frequencies but the constant one (the last bit is the 65th's) above their median.
 
 Edge cases: a null text is an empty one; an empty text becomes one row of zeros; texts of any length keep every byte;
-equal texts give equal bytes, images and hashes; repeated rows give repeated results; an empty table gives an empty result.
+equal texts give equal bytes, images and hashes; repeated rows give repeated results; an empty table gives an empty result;
+null and broken images give rows with nulls and end no job.
 """
 
 from __future__ import annotations
@@ -87,6 +88,8 @@ def decode_png(data: bytes) -> np.ndarray:
         if len(part) != n or at + 12 + n > len(data) or zlib.crc32(part, zlib.crc32(kind)) != struct.unpack_from(">I", data, at + 8 + n)[0]:
             raise ValueError("PNG chunk broken")
         if kind == b"IHDR":
+            if n != 13:
+                raise ValueError("PNG header broken")
             head = struct.unpack(">IIBBBBB", part)
         elif kind == b"IDAT":
             body.append(part)
@@ -94,12 +97,13 @@ def decode_png(data: bytes) -> np.ndarray:
         at += 12 + n
     if head is None or not ended or head[2:] != (8, 0, 0, 0, 0):
         raise ValueError("PNG kind not supported or cut short")
+    width, height = head[:2]
+    size, stream = height * (width + 1), zlib.decompressobj()
     try:
-        raw = zlib.decompress(b"".join(body))  # tests Adler-32
+        raw = stream.decompress(b"".join(body), size + 1)  # tests Adler-32; a stream that holds more isn't read further
     except zlib.error as e:
         raise ValueError("PNG data broken") from e
-    width, height = head[:2]
-    if len(raw) != height * (width + 1):
+    if len(raw) != size or not stream.eof:
         raise ValueError("PNG size wrong")
     rows = np.frombuffer(raw, np.uint8).reshape(height, width + 1)
     return unfilter(rows[:, 0], rows[:, 1:])
@@ -146,7 +150,14 @@ def _features(batches):
         out = []
         for value in batch.column(2):
             data = value.as_py()
-            pixels = decode_png(data)
+            if data is None:
+                out.append((None,) * 6)
+                continue
+            try:
+                pixels = decode_png(data)
+            except ValueError:
+                out.append((None, None, None, len(data), hashlib.sha256(data).hexdigest(), None))
+                continue
             raw = pixels.tobytes()
             out.append((len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-WIDTH:]), len(data), hashlib.sha256(data).hexdigest(), cosine_hash(pixels)))
         n, sha, tail, size, media, feature = zip(*out, strict=True) if out else [()] * 6
@@ -156,7 +167,8 @@ def _features(batches):
 
 
 def features(media: DataFrame) -> DataFrame:
-    """Decode ``media`` and return its digests and the cosine ``hash`` (binary, 8 bytes)."""
+    """Decode ``media`` and return its digests and the cosine ``hash`` (binary, 8 bytes). A null image gives nulls; of one
+    that is broken, by any checksum, size or field, only size and digest of the stored bytes are known."""
     return media.mapInArrow(_features, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, hash binary")
 
 
