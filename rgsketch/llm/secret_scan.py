@@ -2,7 +2,7 @@
 
 Three base patterns (assign, access, hex) give leftmost non-overlapping matches. On top, candidates in base64, base64url or
 hex are decoded and reported only when their structure holds: private keys as DER with consistent nested lengths (PKCS 1,
-PKCS 8, SEC 1), OpenSSH key files with consistent length fields, and signed tokens whose header is JSON naming an
+PKCS 8, also encrypted by a password, SEC 1, DSA), OpenSSH key files with consistent length fields, and signed tokens whose header is JSON naming an
 algorithm and whose payload is JSON. A vectorised pass over the bytes finds the rows that can match at all; the patterns
 themselves run on those rows' whole texts.
 
@@ -41,6 +41,8 @@ _STANDARD = str.maketrans("-_", "+/")
 HEXBLOB = re.compile(r"(?<![0-9A-Fa-f])[0-9A-Fa-f]{48,}(?![0-9A-Fa-f])")
 SSH_MAGIC = b"openssh-key-v1\0"
 SSH_HEAD = base64.b64encode(SSH_MAGIC).decode()
+#: The object identifiers under which encryption by a password stands (PKCS 5 and PKCS 12).
+PASSWORD_SCHEMES = (bytes.fromhex("2a864886f70d0105"), bytes.fromhex("2a864886f70d010c01"))
 KEYWORDS = ("password", "passwd", "secret", "token", "api")
 
 
@@ -66,15 +68,18 @@ def der(data: bytes, at: int = 0, end: int | None = None) -> list[tuple[int, int
 
 
 def is_der_key(data: bytes) -> bool:
-    """A private key of PKCS 1, PKCS 8 or SEC 1 by its nesting."""
+    """A private key of PKCS 1, PKCS 8 (plain or encrypted by a password), SEC 1 or DSA by its nesting."""
     top = der(data)
     if not top or len(top) != 1 or top[0][0] != 0x30:
         return False
     inner = der(data, *top[0][1:])
+    if inner and [t for t, _, _ in inner] == [0x30, 4]:
+        scheme = der(data, *inner[0][1:])
+        return bool(scheme) and scheme[0][0] == 6 and data[scheme[0][1] : scheme[0][2]].startswith(PASSWORD_SCHEMES)
     if not inner or len(inner) < 2 or inner[0][0] != 2 or inner[0][2] - inner[0][1] != 1 or data[inner[0][1]] > 1:
         return False
     tags = [t for t, _, _ in inner]
-    if len(tags) >= 9 and all(t == 2 for t in tags[:9]):
+    if (len(tags) >= 9 or len(tags) == 6) and all(t == 2 for t in tags[:9]):
         return True
     if len(tags) >= 3 and tags[1] == 0x30 and tags[2] == 4:
         algorithm = der(data, *inner[1][1:])
