@@ -1,11 +1,14 @@
 """URL filters by a temporal list join. Native: DataFrame functions alone.
 
 A list is a log of dated entries (domain, list, action add or remove, day). Each entry is valid from its day to the next
-entry of the same (domain, list); open ends stay valid. A capture (url, day of fetch) is matched by an as-of equi-join of
-every suffix of its host with the listed domains, at the interval that holds its day; the longest listed suffix decides,
-and at equal length ``allow`` wins over ``block``.
-
-Edge cases: a null or hostless URL gives host null and verdict ``invalid``; an unlisted host or a day before the first
+entry of the same (domain, list); open ends stay valid. Every suffix of a capture's host asks for its day: an as-of join
+gives each (domain, day) that is asked for the last entry of either list that began no later, by one pass over both in the
+order of days, and the entry counts if it still holds. So a domain's history meets the days once each, whatever number of
+hosts and captures ask. The longest listed suffix decides, and at equal length ``allow`` wins over ``block``; lists of other
+names aren't read.
+
+Edge cases: a null or hostless URL gives host null and verdict ``invalid``; hosts are lower-cased and lose a dot at the end; a
+URL may begin with its two slashes; an address of numbers or in brackets has no parent domains; an unlisted host or a day before the first
 entry gives ``keep``; entries of one day count in the order remove, add; repeated captures keep their rows; empty lists or
 tables work; columns other than the named ones are not read.
 """
@@ -15,9 +18,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rgsketch.llm.common import maybe_broadcast
+from rgsketch.llm.common import materialize, maybe_broadcast
 
-HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:@]+)"
+HOST = r"^(?:[A-Za-z][A-Za-z0-9+.-]*:)?//(?:[^/?#@]*@)?(\[[0-9A-Fa-f:.]+\]|[^/?#:@]+)"
+ADDRESS = r"^(?:\[.*|[0-9]{1,3}(?:\.[0-9]{1,3}){3})$"
+LISTS = ("block", "allow")
 
 
 def intervals(entries: DataFrame) -> DataFrame:
@@ -28,7 +33,7 @@ def intervals(entries: DataFrame) -> DataFrame:
 
 
 def host_of(url: F.Column) -> F.Column:
-    host = F.lower(F.regexp_extract(url, HOST, 1))
+    host = F.regexp_replace(F.lower(F.regexp_extract(url, HOST, 1)), r"\.+$", "")
     return F.when(host != "", host)
 
 
@@ -36,22 +41,35 @@ def suffixes(host: F.Column) -> F.Column:
     """The host and each parent domain of two labels or more (a single label stands for itself)."""
     labels = F.split(host, r"\.")
     n = F.size(labels)
-    return F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), n - 1)), lambda i: F.array_join(F.slice(labels, i, n), "."))
+    last = F.when(host.rlike(ADDRESS), 1).otherwise(F.greatest(F.lit(1), n - 1))
+    return F.transform(F.sequence(F.lit(1), last), lambda i: F.array_join(F.slice(labels, i, n), "."))
+
+
+def in_force(asked: DataFrame, held: DataFrame) -> DataFrame:
+    """(domain, day, list, valid_from, valid_to) of the asked (domain, day) on which an interval holds, ``allow`` first. An
+    as-of join: entries and days in one order, the last entry of each list carried on to the days after it."""
+    known = asked.select("domain").distinct()
+    entry = F.struct("list", "valid_from", "valid_to")
+    both = held.where(F.col("list").isin(*LISTS)).join(known, "domain", "left_semi").select("domain", F.col("valid_from").alias("day"), F.lit(0).alias("asks"), entry.alias("e"))
+    both = both.unionByName(asked.select("domain", "day", F.lit(1).alias("asks")), allowMissingColumns=True)
+    run = Window.partitionBy("domain").orderBy("day", "asks").rowsBetween(Window.unboundedPreceding, 0)
+    last = {name: F.last(F.when(F.col("e.list") == name, F.col("e")), ignorenulls=True).over(run) for name in LISTS}
+    rows = both.withColumns(last).where("asks = 1 AND day IS NOT NULL")
+    holds = lambda e: F.when(F.col(e).isNotNull() & (F.col(f"{e}.valid_to").isNull() | (F.col("day") < F.col(f"{e}.valid_to"))), F.col(e))
+    return rows.select("domain", "day", F.coalesce(holds("allow"), holds("block")).alias("hit")).where("hit IS NOT NULL").select("domain", "day", "hit.*")
 
 
 def classify(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", day_col: str = "day") -> DataFrame:
     """page_id, host, day, verdict (block, keep, allow, invalid), domain, valid_from, valid_to; a row for every capture.
 
-    Captures meet the list in a left join on the suffix rows that exist in it only, then fold to a row each by ``max``.
-    The list is broadcast when its counted rows are few; past that the join shuffles on the domain.
+    What is in force on the days asked for is broadcast when its counted rows are few; past that the joins shuffle.
     """
-    held = intervals(entries)
-    n = held.count()
     caps = captures.select(F.col(id_col).alias("page_id"), host_of(F.col(url_col)).alias("host"), F.col(day_col).alias("day"))
     hosts = caps.where("host IS NOT NULL").select("host", "day").distinct()  # verdicts hang on host and day alone
     parts = hosts.withColumn("domain", F.explode(suffixes(F.col("host"))))
-    hits = parts.join(maybe_broadcast(held, n), "domain").where("valid_from <= day AND (valid_to IS NULL OR day < valid_to)")
-    best = F.max(F.struct(F.length("domain").alias("n"), (F.col("list") == "allow").alias("a"), "domain", "list", "valid_from", "valid_to"))
+    force = materialize(in_force(parts.select("domain", "day").distinct(), intervals(entries)))
+    hits = parts.join(maybe_broadcast(force, force.count()), ["domain", "day"])
+    best = F.max(F.struct(F.length("domain").alias("n"), "domain", "list", "valid_from", "valid_to"))
     found = hits.groupBy("host", "day").agg(best.alias("hit"))
     verdict = F.when(F.col("host").isNull(), "invalid").otherwise(F.coalesce("hit.list", F.lit("keep")))
     return caps.join(found, ["host", "day"], "left").select("page_id", "host", "day", verdict.alias("verdict"), "hit.domain", "hit.valid_from", "hit.valid_to")
@@ -84,9 +102,9 @@ def query(spark, sf_dir: str) -> DataFrame:
 
 ORACLE = r"""
 WITH caps AS (
-  SELECT page_id, nullif(lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:@]+)', 1)), '') AS host, (DATE '2024-01-01' + (page_id % 366)::INT)::DATE AS day FROM pages),
+  SELECT page_id, nullif(regexp_replace(lower(regexp_extract(url, '^(?:[A-Za-z][A-Za-z0-9+.-]*:)?//(?:[^/?#@]*@)?(\[[0-9A-Fa-f:.]+\]|[^/?#:@]+)', 1)), '\.+$', ''), '') AS host, (DATE '2024-01-01' + (page_id % 366)::INT)::DATE AS day FROM pages),
 parts AS (
-  SELECT host, unnest(list_transform(range(1, greatest(1, len(string_split(host, '.')) - 1) + 1), lambda i: array_to_string(string_split(host, '.')[i:], '.'))) AS domain
+  SELECT host, unnest(list_transform(range(1, CASE WHEN regexp_matches(host, '^(?:\[.*|[0-9]{1,3}(?:\.[0-9]{1,3}){3})$') THEN 2 ELSE greatest(1, len(string_split(host, '.')) - 1) + 1 END), lambda i: array_to_string(string_split(host, '.')[i:], '.'))) AS domain
   FROM (SELECT DISTINCT host FROM caps WHERE host IS NOT NULL)),
 names AS (SELECT DISTINCT domain FROM parts),
 drawn AS (
