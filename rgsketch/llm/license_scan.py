@@ -12,6 +12,7 @@ give repeated results; an empty table gives an empty result.
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right
 from functools import lru_cache
 from typing import NamedTuple
 
@@ -107,6 +108,7 @@ FORMS = [
 ]
 # Signatures of license texts.
 TEXTS = [
+    ("0bsd", "permission to use copy", r"permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted(?! provided)"),
     ("mit", "permission is hereby", r"permission is hereby granted free of charge to any person obtaining a copy of this software"),
     ("isc", "permission to use", r"permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted"),
     ("bsd-3", "redistribution and use", r"redistribution and use in source and binary forms .{0,900}neither the name"),
@@ -122,6 +124,88 @@ TEXTS = [
     ("unlicense", "public domain", r"this is free and unencumbered software released into the public domain"),
     ("cc0-1", "public domain", r"dedicated (?:this|the) (?:work|software|person).{0,80}to the public domain"),
     ("public-domain", "public domain", r"(?:released|placed|dedicated|donated) (?:in)?to the public domain"),
+    ("mit-0", "without restriction including", r"permission is hereby granted free of charge .{0,160}deal in the software without restriction including .{0,200}to permit persons to whom the software is furnished to do so(?! subject)"),
+    ("mit", "this permission notice shall be", r"(?:above|this) copyright notice and this permission notice shall be included in all copies"),
+    ("x11", "the x consortium", r"except as contained in this notice the name of the x consortium shall not be used .{0,120}without prior written (?:authorization|permission)"),
+    ("mit-advertising", "shall not be used in advertising", r"the names? of .{1,120}shall not be used in advertising or otherwise to promote .{0,120}without prior written (?:authorization|permission)"),
+    ("hpnd", "permission to use copy", r"permission to use copy modify and distribute this software and its documentation for any purpose (?:and )?without fee is hereby granted"),
+    ("ntp", "permission to use copy", r"permission to use copy modify and distribute this software and its documentation for any purpose with or without fee is hereby granted"),
+    ("isc", "permission to use copy", r"permission to use copy modify and distribute this software for any purpose with or without fee is hereby granted"),
+    ("bsd-2", "list of conditions", r"redistributions of source code must retain the above copyright notice this list of conditions and the following disclaimer"),
+    ("bsd-3", "endorse or promote", r"(?:names? of|contributors) .{0,120}may (?:not )?be used to endorse or promote products derived from this software without specific prior written permission"),
+    ("bsd-4", "all advertising materials", r"all advertising materials mentioning features or use of this software must display the following acknowledge?ment .{0,600}permission"),
+    ("bsd-clear", "no express or implied licenses", r"no express or implied licenses to any party s patent rights are granted by this license"),
+    ("apache-2", "apache license", r"licensed under the apache license version 2 0 (?:the license)? ?you may not use"),
+    ("apache-2", "on an as is basis", r"software distributed under the license is distributed on an as is basis without warranties or conditions of any kind"),
+    ("apache-1.1", "apache software foundation", r"this product includes software developed by the apache software foundation .{0,400}permission"),
+    ("apache-1", "apache group", r"this product includes software developed by the apache group .{0,400}permission"),
+    ("gpl-2-or-later", "either version 2", r"general public license as published by the free software foundation either version 2 of the license or at your option any later version"),
+    ("gpl-3-or-later", "either version 3", r"general public license as published by the free software foundation either version 3 of the license or at your option any later version"),
+    ("gpl-2-only", "general public license", r"under the terms of the gnu general public license (?:as published by the free software foundation )?version 2 (?:only|of the license only)"),
+    ("lgpl-2.1-or-later", "lesser general public", r"lesser general public license as published by the free software foundation either version 2 1 of the license or at your option any later version"),
+    ("lgpl-3-or-later", "lesser general public", r"lesser general public license as published by the free software foundation either version 3 of the license or at your option any later version"),
+    ("lgpl-2-or-later", "library general public", r"library general public license as published by the free software foundation either version 2 of the license or at your option any later version"),
+    ("agpl-3-or-later", "affero general public", r"affero general public license as published by the free software foundation either version 3 of the license or at your option any later version"),
+    ("gpl-warranty", "hope that it will be useful", r"distributed in the hope that it will be useful but without any warranty without even the implied warranty of merchantability or fitness for a particular purpose"),
+    ("gpl-received", "received a copy of the gnu", r"you should have received a copy of the gnu (?:lesser |library |affero )?general public license along with"),
+    ("gfdl", "free documentation license", r"permission is granted to copy distribute and or modify this document under the terms of the gnu free documentation license"),
+    ("classpath-exception", "linking this library statically", r"linking this library statically or dynamically with other modules is making a combined work .{0,200}permission"),
+    ("mpl-2", "a copy of the mpl was not distributed", r"if a copy of the mpl was not distributed with this file you can obtain one .{0,40}licen[cs]e"),
+    ("mpl-1.1", "mozilla public license", r"the contents of this file are subject to the mozilla public license version 1 1"),
+    ("mpl-1", "mozilla public license", r"the contents of this file are subject to the mozilla public license version 1 0"),
+    ("npl-1.1", "netscape public license", r"the contents of this file are subject to the netscape public license version 1 1"),
+    ("cddl-1", "common development and distribution", r"subject to the terms of the common development and distribution license"),
+    ("epl-2", "eclipse public license", r"this program and the accompanying materials are made available under the terms of the eclipse public license (?:v |version )?2 0"),
+    ("epl-1", "eclipse public license", r"this program and the accompanying materials are made available under the terms of the eclipse public license (?:v |version )?1 0"),
+    ("edl-1", "eclipse distribution license", r"this program and the accompanying materials are made available under the terms of the eclipse distribution license"),
+    ("cpl-1", "common public license", r"this program and the accompanying materials are made available under the terms of the common public license"),
+    ("osl-3", "open software license", r"licensed under the open software license version 3 0"),
+    ("afl-3", "academic free license", r"licensed under the academic free license version 3 0"),
+    ("artistic-2", "artistic license", r"(?:you may|you can) redistribute it and or modify it under the terms of the (?:the )?artistic license (?:version )?2 0"),
+    ("perl", "same terms as perl", r"(?:redistribute|modify|redistribut\w*) .{0,40}under the same terms as perl(?: itself)?"),
+    ("zlib", "including commercial applications", r"permission is granted to anyone to use this software for any purpose including commercial applications"),
+    ("bsl-1", "boost software license", r"distributed under the boost software license version 1 0"),
+    ("unlicense", "copyright interest in the software to the public domain", r"dedicate any and all copyright interest in the software to the public domain"),
+    ("cc0-1", "neighboring rights|public domain dedication", r"(?:waived|dedicated) .{0,160}all copyright and related (?:or|and) neighboring rights .{0,200}licen[cs]e|no copyright .{0,200}public domain dedication"),
+    ("cc-by-4", "attribution 4 0 international", r"creative commons attribution 4 0 international(?: public)? license"),
+    ("cc-by-sa-4", "sharealike 4 0 international", r"creative commons attribution sharealike 4 0 international(?: public)? license"),
+    ("cc-by-sa-3", "alike 3 0 unported", r"creative commons attribution share ?alike 3 0 unported license"),
+    ("cc-by-3", "attribution 3 0 unported", r"creative commons attribution 3 0 unported license"),
+    ("cc-by-nc-sa-4", "noncommercial sharealike 4 0 international", r"creative commons attribution noncommercial sharealike 4 0 international(?: public)? license"),
+    ("cc-by-nc-4", "noncommercial 4 0 international", r"creative commons attribution noncommercial 4 0 international(?: public)? license"),
+    ("cc-by-nc-nd-4", "noderivatives 4 0 international", r"creative commons attribution noncommercial noderivatives 4 0 international(?: public)? license"),
+    ("cc-by-nd-4", "attribution noderivatives 4 0 international", r"creative commons attribution noderivatives 4 0 international(?: public)? license"),
+    ("ofl-1.1", "sil open font license", r"this font software is licensed under the sil open font license version 1 1"),
+    ("odbl-1", "open database license", r"made available under the open database license"),
+    ("odc-by-1", "open data commons attribution license", r"made available under the open data commons attribution license"),
+    ("pddl-1", "public domain dedication and license", r"made available under the public domain dedication and license"),
+    ("busl-1.1", "change license", r"business source license .{0,400}change date .{0,200}change license"),
+    ("elastic-2", "hosted or managed service", r"you may not provide the software to third parties as a hosted or managed service .{0,400}licen[cs]e"),
+    ("sspl-1", "server side public license", r"under the terms of the server side public license version 1"),
+    ("commons-clause", "commons clause", r"commons clause license condition"),
+    ("polyform-noncommercial", "polyform noncommercial", r"polyform noncommercial license"),
+    ("polyform-small-business", "polyform small business", r"polyform small business license"),
+    ("hippocratic-2", "hippocratic license", r"hippocratic license(?: version)? 2"),
+    ("json", "good not evil", r"the software shall be used for good not evil .{0,400}warranty"),
+    ("beerware", "beer ware license", r"the beer ware license(?: revision \d+)?"),
+    ("wtfpl", "do what the fuck you want to", r"do what the fuck you want to public license"),
+    ("openssl", "openssl toolkit", r"this product includes software developed by the openssl project for use in the openssl toolkit .{0,600}permission"),
+    ("ssleay", "eric young", r"this product includes cryptographic software written by eric young .{0,900}(?:redistribut|licen[cs]e)"),
+    ("curl", "permission to use copy", r"permission to use copy modify and distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice .{0,200}appear in all copies"),
+    ("python-2", "python software foundation license", r"python software foundation license version 2"),
+    ("php-3", "php software|called php", r"this product includes php software freely available .{0,600}redistribut|redistribution and use in source and binary forms .{0,900}products derived from this software may not be called php"),
+    ("ruby", "make and give away verbatim copies", r"you may make and give away verbatim copies of the source form of the software without restriction .{0,400}(?:permission|warranty|domain|redistribut)"),
+    ("icu", "unicode data files", r"permission is hereby granted free of charge to any person obtaining a copy of the unicode data files"),
+    ("w3c", "w3c software notice", r"w3c software notice and license"),
+    ("eupl-1.2", "the eupl|european union public licence", r"licensed under the eupl(?: version)? 1 2|this work is licensed under the european union public licence v ?1 2"),
+    ("cecill", "french law", r"cecill licen[cs]e under french law|governed by the cecill[ a-z]{0,3} licen[cs]e under french law"),
+    ("mulan-psl-2", "mulan psl v2", r"licensed under mulan psl v2"),
+    ("nist-pd", "title 17 section 105", r"pursuant to title 17 section 105 .{0,200}public domain"),
+    ("us-government-work", "work of the united states government", r"work of the united states government .{0,200}public domain"),
+    ("proprietary-confidential", "confidential and proprietary", r"confidential and proprietary .{0,200}(?:permission|under|licen[cs]e|reserved)"),
+    ("proprietary-no-redistribution", "may not be reproduced", r"may not be reproduced (?:or )?(?:distributed |transmitted )?.{0,120}without (?:the )?(?:prior )?(?:express )?written permission"),
+    ("noncommercial-use", "non commercial use only", r"(?:licensed|permission|provided under) .{0,120}non commercial use only"),
+    ("educational-use", "educational and research purposes", r"permission to .{0,160}for educational and research purposes"),
     ("proprietary", "all rights reserved", r"all rights reserved"),
 ]
 #: Parts of single words, so that no line break or hyphen hides them. Every rule's regex and every base phrase needs one of
@@ -139,8 +223,8 @@ class Rule(NamedTuple):
 
 @lru_cache(1)
 def rules() -> list[Rule]:
-    """The ordered table: text signatures, then every name in every form."""
-    out = [Rule(label, (key,), re.compile(rf"\b{p}\b"), 0, 0.99) for label, key, p in TEXTS]
+    """The ordered table: signatures of texts, then every name in every form in which licenses are named."""
+    out = [Rule(label, tuple(key.split("|")), re.compile(rf"\b{p}\b"), 0, 0.99) for label, key, p in TEXTS]
     out += [Rule(label, tuple(key.split("|")) if priority > 1 else (f"spdx license identifier {tag}",), re.compile(rf"\b{form.format(name=name, tag=tag)}(?! [0-9] [0-9]\b)\b" if priority > 1 else rf"\b{form.format(name=name, tag=tag)}\b"), priority, conf) for priority, conf, form in FORMS for label, key, name, tag in NAMES]
     return sorted(out, key=lambda r: r.priority)
 
@@ -152,9 +236,15 @@ def detect(text: str) -> list[tuple[int, int, str, float]]:
         if any(k in text for k in r.keywords):
             found += [(r.priority, m.start() - m.end(), order, m.start(), m.end(), r) for m in r.pattern.finditer(text)]
     kept: list[tuple[int, int, str, float]] = []
+    starts, ends = [], []  # of taken detections that lie in no other: both ascend
     for _, _, _, s, e, r in sorted(found, key=lambda f: f[:5]):
-        if not any(a <= s and e <= b for a, b, _, _ in kept):
-            kept.append((s, e, r.label, r.confidence))
+        i = bisect_right(starts, s)
+        if i and ends[i - 1] >= e:  # of those that start no later, the last reaches furthest
+            continue
+        kept.append((s, e, r.label, r.confidence))
+        lo = bisect_left(starts, s)
+        hi = bisect_right(ends, e)
+        starts[lo : max(lo, hi)], ends[lo : max(lo, hi)] = [s], [e]  # those inside the new one say no more
     return sorted(kept)
 
 

@@ -389,6 +389,32 @@ def test_url_filter_takes_the_entry_in_force(spark):
     assert url_filter.classify(c.limit(0), e).count() == 0 and {r["verdict"] for r in url_filter.classify(c, e.limit(0)).collect()} == {"keep", "invalid"}
 
 
+def test_url_filter_hosts_and_long_histories(spark):
+    """Addresses, dots, slashes; a history of many entries against brute force over all of them."""
+    urls = ["http://10.0.0.1/x", "//Bad.com./x", "http://[::1]:80/", "http://[2001:db8::2]/a.b", "http://256.1.2.3.bad.com/"]
+    got = [r["h"] for r in spark.createDataFrame([(u,) for u in urls], "u string").select(url_filter.host_of(F.col("u")).alias("h")).collect()]
+    assert got == ["10.0.0.1", "bad.com", "[::1]", "[2001:db8::2]", "256.1.2.3.bad.com"]
+    parts = [r["s"] for r in spark.createDataFrame([(h,) for h in got], "h string").select(url_filter.suffixes(F.col("h")).alias("s")).collect()]
+    assert parts[0] == ["10.0.0.1"] and parts[2] == ["[::1]"] and parts[3] == ["[2001:db8::2]"] and parts[4][-1] == "bad.com"
+    rng = random.Random(9)
+    names = ["a.com", "x.a.com", "b.org"]
+    log = sorted({(rng.choice(names), rng.choice(["block", "allow", "other"]), rng.choice(["add", "remove"]), rng.randrange(1, 300)) for _ in range(150)})
+    entries = spark.createDataFrame([(d, l, a, n) for d, l, a, n in log], "domain string, list string, action string, n int").select("domain", "list", "action", F.date_add(F.lit("2024-01-01").cast("date"), F.col("n")).alias("day"))
+    caps = [(i, f"http://{rng.choice(['y.x.a.com', 'a.com', 'x.a.com', 'c.b.org'])}/", rng.randrange(0, 310)) for i in range(300)]
+    c = spark.createDataFrame(caps, "page_id int, url string, n int").select("page_id", "url", F.date_add(F.lit("2024-01-01").cast("date"), F.col("n")).alias("day"))
+
+    def brute(url, n):
+        host = url[7:-1].split(".")
+        for i in range(len(host) - 1):
+            for name in ("allow", "block"):
+                past = [(day, act == "add") for d, l, act, day in log if d == ".".join(host[i:]) and l == name and day <= n]
+                if past and max(past)[1]:
+                    return name
+        return "keep"
+
+    assert {r["page_id"]: r["verdict"] for r in url_filter.classify(c, entries).collect()} == {i: brute(u, n) for i, u, n in caps}
+
+
 # --- mixing ------------------------------------------------------------------------------------------------------
 
 
