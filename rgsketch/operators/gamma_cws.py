@@ -46,9 +46,8 @@ def variates(seed: int, comps: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarr
     return -np.log(u[0] * u[1]), np.log(-np.log(u[2] * u[3])), u[4]
 
 
-def sketch_batches(packed: DataFrame, k: int, seed: int) -> DataFrame:
-    """vec_id, comps ARRAY<INT>, levels ARRAY<BIGINT> in Arrow batches, the same hashes as ``sketch``. The variates of a
-    batch's components are one table where it stays below TABLE; otherwise they are made by blocks of a vector."""
+def sketcher(k: int, seed: int):
+    """The function over Arrow batches (vec_id, comps, weights) that ``sketch_batches`` runs in the workers."""
     block = max(1, TABLE // k // 4)
 
     def run(batches):
@@ -75,7 +74,13 @@ def sketch_batches(packed: DataFrame, k: int, seed: int) -> DataFrame:
             off = pa.array(np.arange(0, n * k + 1, k, dtype=np.int32))
             yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(off, pa.array(bc.ravel())), pa.ListArray.from_arrays(off, pa.array(bl.ravel()))], ["vec_id", "comps", "levels"])
 
-    return packed.select("vec_id", "comps", "weights").mapInArrow(run, "vec_id long, comps array<int>, levels array<long>")
+    return run
+
+
+def sketch_batches(packed: DataFrame, k: int, seed: int) -> DataFrame:
+    """vec_id, comps ARRAY<INT>, levels ARRAY<BIGINT> in Arrow batches, the same hashes as ``sketch``. The variates of a
+    batch's components are one table where it stays below TABLE; otherwise they are made by blocks of a vector."""
+    return packed.select("vec_id", "comps", "weights").mapInArrow(sketcher(k, seed), "vec_id long, comps array<int>, levels array<long>")
 
 
 def compact(hashes: DataFrame, bits: int | None = None, mode: str = "pair", seed: int = 0) -> DataFrame:

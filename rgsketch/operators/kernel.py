@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.ml.classification import LogisticRegression
 from pyspark.ml.evaluation import MulticlassClassificationEvaluator
@@ -56,6 +57,12 @@ def pandas_agreement():
 
     @F.pandas_udf("double")
     def sketch_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([sum(x == y and x != 0 for x, y in zip(p, q, strict=True)) / max(len(p), 1) for p, q in zip(a, b, strict=True)])
+        sizes = np.array([len(x) for x in a], np.int64)
+        if (sizes != np.array([len(x) for x in b], np.int64)).any():
+            raise ValueError("sketches differ in length")
+        x, y = (np.concatenate([np.asarray(v) for v in s]) if sizes.sum() else np.zeros(0) for s in (a, b))
+        same = np.concatenate(([0], np.cumsum((x == y) & (x != 0))))
+        end = np.cumsum(sizes)
+        return pd.Series((same[end] - same[end - sizes]) / np.maximum(sizes, 1))
 
     return sketch_similarity

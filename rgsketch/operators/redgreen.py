@@ -129,12 +129,8 @@ def first_green(w: np.ndarray, comp: np.ndarray, off: np.ndarray, block: int = 8
     return out
 
 
-def sketch_batches(packed: DataFrame, layout: Layout, k: int, steps: int, seed: int, rows: int = 256) -> DataFrame:
-    """vec_id, sketch ARRAY<INT> from packed vectors: Arrow batches, every pair stops at its first green draw; 0 if none.
-
-    A batch's weights are spread over the components that the darts name, ``rows`` vectors at a time, so that a worker's
-    memory is rows * (named components).
-    """
+def sketcher(layout: Layout, k: int, steps: int, seed: int, rows: int = 256):
+    """The function over Arrow batches (vec_id, comps, weights) that ``sketch_batches`` runs in the workers."""
     comp, off = dart_arrays(D.build(layout, k, steps, seed), k, steps)
     named = np.unique(comp)
     comp = np.searchsorted(named, comp).astype(np.int32)
@@ -159,7 +155,16 @@ def sketch_batches(packed: DataFrame, layout: Layout, k: int, steps: int, seed:
             offsets = pa.array(np.arange(0, h.size + 1, k, dtype=np.int32))
             yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(offsets, pa.array(h.ravel()))], ["vec_id", "sketch"])
 
-    return packed.select("vec_id", "comps", "weights").mapInArrow(run, "vec_id long, sketch array<int>")
+    return run
+
+
+def sketch_batches(packed: DataFrame, layout: Layout, k: int, steps: int, seed: int, rows: int = 256) -> DataFrame:
+    """vec_id, sketch ARRAY<INT> from packed vectors: Arrow batches, every pair stops at its first green draw; 0 if none.
+
+    A batch's weights are spread over the components that the darts name, ``rows`` vectors at a time, so that a worker's
+    memory is rows * (named components).
+    """
+    return packed.select("vec_id", "comps", "weights").mapInArrow(sketcher(layout, k, steps, seed, rows), "vec_id long, sketch array<int>")
 
 
 def sketch_one(comps: list[int], weights: list[float], layout: list[tuple[int, float, float]], k: int, seed: int, test: str = "search", stream: str = "counter", limit: int = 1_000_000) -> list[int]:

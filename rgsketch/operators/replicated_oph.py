@@ -52,9 +52,8 @@ def _bins(comps: np.ndarray, x: np.ndarray, k: int, seed: int, triple: tuple[int
     return bins
 
 
-def sketch_batches(packed: DataFrame, k: int, seed: int, scale: float = 1.0) -> DataFrame:
-    """vec_id, sketch ARRAY<BIGINT> in Arrow batches: shared coins, rotation, the same hashes as ``sketch``. Vectors without
-    a copy give no row."""
+def sketcher(k: int, seed: int, scale: float = 1.0):
+    """The function over Arrow batches (vec_id, comps, weights) that ``sketch_batches`` runs in the workers."""
     triple = universal_triple(seed)
 
     def run(batches):
@@ -68,7 +67,13 @@ def sketch_batches(packed: DataFrame, k: int, seed: int, scale: float = 1.0) ->
             flat = np.concatenate([out[i] for i in some]) if some else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([ids.take(pa.array(some, pa.int64())), pa.ListArray.from_arrays(off, pa.array(flat))], ["vec_id", "sketch"])
 
-    return packed.select("vec_id", "comps", "weights").mapInArrow(run, "vec_id long, sketch array<long>")
+    return run
+
+
+def sketch_batches(packed: DataFrame, k: int, seed: int, scale: float = 1.0) -> DataFrame:
+    """vec_id, sketch ARRAY<BIGINT> in Arrow batches: shared coins, rotation, the same hashes as ``sketch``. Vectors without
+    a copy give no row."""
+    return packed.select("vec_id", "comps", "weights").mapInArrow(sketcher(k, seed, scale), "vec_id long, sketch array<long>")
 
 
 def sketch_seeds(packed: DataFrame, k: int, seeds: range, scale: float = 1.0, coin: str = "shared") -> DataFrame:

@@ -97,12 +97,15 @@ def _l1_est(spark, d):
 
 
 def _emd_est(spark, d):
-    """Sketches with exact widths of the running shares (their relation to the truth is tested, not their digits)."""
-    c = similarity.cumulative(_months(spark, d))
-    s = redgreen.sketch_batches(V.pack(c), L.of(c, rounding="exact"), 256, 64, SEED)
+    """Sketches with exact widths of the running shares."""
+    c = materialize(similarity.cumulative(_months(spark, d)))
+    s = _packed(c, L.of(c, rounding="exact"), 256)
     ex = similarity.exact_pairs(c)
     e = similarity.estimate(s, ex.select("id_a", "id_b")).join(ex, ["id_a", "id_b"])
-    return e.select("id_a", "id_b", similarity.l1_estimate(F.col("est"), F.col("l1_a"), F.col("l1_b")).alias("est_emd"), similarity.l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")).alias("emd"))
+    return e.select("id_a", "id_b", F.round(similarity.l1_estimate(F.col("est"), F.col("l1_a"), F.col("l1_b")), 4).alias("est_emd"), F.round(similarity.l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")), 4).alias("emd"))
+
+
+_EMD_EST = _with(_MONTHS, _CUM, similarity.sql_exact("cu"), L.sql("cu", rounding="exact"), D.sql(256, 512, SEED, pruned=True), redgreen.sql("cu"), "es AS (SELECT id_a, id_b, coalesce(n, 0) / 256.0::DOUBLE AS est, j, l1_a, l1_b FROM ex LEFT JOIN (SELECT a.vec_id AS id_a, b.vec_id AS id_b, count(*) AS n FROM rg a JOIN rg b ON a.hash_id = b.hash_id AND a.h = b.h AND a.vec_id < b.vec_id GROUP BY ALL) USING (id_a, id_b))") + "SELECT id_a, id_b, round((l1_a + l1_b) * (1 - est) / (1 + est), 4) AS est_emd, round((l1_a + l1_b) * (1 - j) / (1 + j), 4) AS emd FROM es"
 
 
 def _errors(spark, d):
@@ -515,7 +518,7 @@ def _speedups(spark, d):
     each method takes. Made vectors: no given table has such; the larger ones run in bench.py."""
     n, nz, dim = V.WIDE["d1000"]
     v = materialize(V.synthetic(spark, n, nz, dim))
-    t = experiments.time_hashes(v, 500, runs=1, scale=experiments.copy_scale(v))
+    t = experiments.time_alone(v, 500, runs=1, scale=experiments.copy_scale(v))
     return spark.createDataFrame([(m, float(x), float(x / t["redgreen"])) for m, x in t.items()], "method string, ms double, times double")
 
 
@@ -605,7 +608,7 @@ def queries() -> dict:
         "est_errors_by_k": (_errors, _ERRORS), "est_zscores": (_zscores, _ZSCORES), "est_required_k": (_required, _REQUIRED), "est_cap_correction": (_cap_correction, _CAPCOR),
         "lowbits_estimate": _bits("low"), "rehash_estimate": _bits("rehash"), "position_corr": (_poscorr, _POSCORR),
         "l1_estimate": (_l1_est, _with(*_est_sql("supplier_month", 128)) + "SELECT id_a, id_b, round((l1_a + l1_b) * (1 - est) / (1 + est), 5) AS est_l1, round((l1_a + l1_b) * (1 - j) / (1 + j), 5) AS l1 FROM es"),
-        "emd_estimate": (_emd_est, None),
+        "emd_estimate": (_emd_est, _EMD_EST),
         "lsh_buckets": (_buckets, _with(*_LET, *_CAND) + "SELECT table_id, bucket, vec_id FROM ix"), "lsh_candidates": (_candidates, _with(*_LET, *_CAND) + "SELECT id_a, id_b FROM cand"),
         "lsh_query_topm": (_top, _TOP), "lsh_query_l1": (_l1_top, _L1TOP), "lsh_curve": (_curve, _CURVE), "lsh_quality": (_lsh_quality, _QUALITY),
         "all_pairs_join": (_all_pairs, _ALL + "SELECT id_a, id_b, round(j, 6) AS j FROM vp WHERE j >= 0.9"), "near_dup_clusters": (_clusters, _CLUST), "link_records": (_link, _LINK), "contamination": (_contamination, _CONT),

@@ -370,6 +370,9 @@ def _naive(spark, d):
     return unweighted.naive_sample(V.supplier_brand(spark, d), 16, SEED)
 
 
+_NAIVE = _with(V.sql("supplier_brand")) + f"SELECT vec_id, hash_id::INT AS hash_id, min_by(comp, up) AS h FROM (SELECT vec_id, comp, sum(weight) OVER (PARTITION BY vec_id ORDER BY comp) / sum(weight) OVER (PARTITION BY vec_id) AS up FROM v), range(16) x(hash_id) WHERE up >= {rng.sql_uniform(f"'{SEED}'", "'own'", 'vec_id', 'hash_id')} GROUP BY vec_id, hash_id"
+
+
 def _moments(name):
 
     def run(spark, d):
@@ -450,7 +453,7 @@ def queries() -> dict:
         "replicated_oph": (_replicated_oph, _with(*_REP, unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
         "replicated_oph_batches": (_replicated_batches, _with(*_REP, unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
         "replicated_oph_terms": (_wide, _with(V.sql("doc_terms"), replicate.sql(seed=SEED), unweighted.sql_oph(64, SEED), unweighted.sql_densify(64, "rotate", SEED)) + "SELECT vec_id, bin AS hash_id, h FROM den"),
-        "permutation_exact": (_permutation, _PERM), "naive_sampler": (_naive, None),
+        "permutation_exact": (_permutation, _PERM), "naive_sampler": (_naive, _NAIVE),
         "hash_moments": _moments("embeddings"), "hash_moments_letters": _moments("doc_letters"),
         "hash_tail": (_of_rg("embeddings", lambda h, f, k: measures.tail_check(h, f, [1, 5, 10, 20, 50, 100]), [("t", 0), ("observed", 1), ("expected", 1)]), _TAIL),
         "bits_range": (_of_rg("embeddings", lambda h, f, k: measures.range_bits(h), [("mean_h", 1), ("min_h", 0), ("max_h", 0), ("bits", 0)]), _RANGE),

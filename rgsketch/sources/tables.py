@@ -32,6 +32,13 @@ def materialize(df: DataFrame, fmt: str = "parquet") -> DataFrame:
     return spark.read.schema(df.schema).format(fmt).load(path)
 
 
+def drop_written(spark: SparkSession) -> None:
+    """Delete what ``materialize`` and the round trips have written in the shared folder. For the end of a job: results that
+    weren't stored elsewhere are read from it."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/rgsketch")
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def write_sketch(df: DataFrame, path: str, partition_by: str | None = "layout_id") -> None:
     """Sketches as Parquet; those of one layout lie together, as only they compare."""
     writer = df.write.mode("overwrite")

@@ -13,6 +13,7 @@ from rgsketch.operators import compact, experiments, gamma_cws, kernel, lsh, mea
 from rgsketch.plans import darts as D
 from rgsketch.plans import layout as L
 from rgsketch.sources import families as V
+from rgsketch.sources import tables
 from rgsketch.streaming import histograms
 
 X, Y = {0: 1.5, 2: 2.0, 3: 1.0}, {0: 0.5, 1: 1.0, 2: 3.0}
@@ -241,6 +242,15 @@ def test_letters_equal_a_plain_count(spark):
     assert got == want
 
 
+def test_written_tables_can_be_dropped(spark):
+    df = tables.materialize(spark.range(3))
+    assert df.count() == 3
+    path = df.inputFiles()[0]
+    tables.drop_written(spark)
+    with pytest.raises(Exception, match="(?i)not.exist|path"):
+        spark.read.parquet(path).count()
+
+
 def test_equal_vectors_are_one_class(spark):
     v = long(spark, *[{c: 1.0 + (c % 3) for c in range(12)} for _ in range(20)], {50: 1.0}, {c: 1.0 for c in range(60, 70)})
     s = redgreen.sketch_batches(V.pack(v), L.of(v, rounding="exact"), 16, 400, 3)
