@@ -41,14 +41,14 @@ def norm_filter(pairs: DataFrame, v: DataFrame, tau: float) -> DataFrame:
 
 def all_pairs(sketches: DataFrame, v: DataFrame, tau: float, rows: int, tables: int) -> DataFrame:
     """id_a, id_b, j of verified pairs of similarity tau or more among the candidates."""
-    pairs = norm_filter(candidates(index(sketches, rows, tables)), v, tau)
+    pairs = materialize(norm_filter(candidates(index(sketches, rows, tables)), v, tau))
     return similarity.exact_pairs(v, pairs).where(F.col("j") >= tau).select("id_a", "id_b", "j")
 
 
 def query(idx: DataFrame, queries: DataFrame, v: DataFrame, vq: DataFrame, top: int) -> DataFrame:
     """query_id, vec_id, j, place: the ``top`` most similar candidates of each query. ``queries`` is an index of the queries
     and vq their vectors."""
-    pairs = candidates(queries, idx)
+    pairs = materialize(candidates(queries, idx))
     both, a, b = _union(vq, v)
     got = similarity.exact_pairs(both, pairs.withColumn("id_b", -1 - F.col("id_b"))).select(a.alias("query_id"), b.alias("vec_id"), "j")
     w = Window.partitionBy("query_id").orderBy(F.round("j", 9).desc(), "vec_id")  # sums of one vector in another order tie
@@ -57,7 +57,7 @@ def query(idx: DataFrame, queries: DataFrame, v: DataFrame, vq: DataFrame, top:
 
 def query_l1(idx: DataFrame, queries: DataFrame, v: DataFrame, vq: DataFrame, top: int) -> DataFrame:
     """The same by least L1 distance."""
-    pairs = candidates(queries, idx)
+    pairs = materialize(candidates(queries, idx))
     both, a, b = _union(vq, v)
     ex = similarity.exact_pairs(both, pairs.withColumn("id_b", -1 - F.col("id_b")))
     got = ex.select(a.alias("query_id"), b.alias("vec_id"), similarity.l1_estimate(F.col("j"), F.col("l1_a"), F.col("l1_b")).alias("l1"))
@@ -67,7 +67,7 @@ def query_l1(idx: DataFrame, queries: DataFrame, v: DataFrame, vq: DataFrame, to
 
 def link(v1: DataFrame, v2: DataFrame, s1: DataFrame, s2: DataFrame, tau: float, rows: int, tables: int) -> DataFrame:
     """Records of two tables (one layout over both) of similarity tau or more: id_a, id_b, j."""
-    pairs = candidates(index(s1, rows, tables), index(s2, rows, tables))
+    pairs = materialize(candidates(index(s1, rows, tables), index(s2, rows, tables)))
     both, a, b = _union(v1, v2)
     return similarity.exact_pairs(both, pairs.withColumn("id_b", -1 - F.col("id_b"))).where(F.col("j") >= tau).select(a.alias("id_a"), b.alias("id_b"), "j")
 

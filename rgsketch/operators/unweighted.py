@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rgsketch.functions.rng import DIGIT_BITS, PRIME, scramble, sql_scramble, sql_universal, two_universal, uniform, universal_triple
+from rgsketch.sources.tables import materialize
 
 
 def minhash(sets: DataFrame, k: int, seed: int) -> DataFrame:
@@ -37,6 +38,7 @@ def densify(bins: DataFrame, k: int, mode: str = "rotate", seed: int = 0) -> Dat
     width = -(-PRIME // k)
     if mode == "probe":
         return _probe(bins, k, seed)
+    bins = materialize(bins)  # read twice; and no filter on a bin is inferred into the hashes' long expressions
     # two rounds of the ring by windows over full bins: the next full bin to the right and to the left of each
     grid = bins.select("vec_id").distinct().crossJoin(F.broadcast(bins.sparkSession.range(k).select(F.col("id").cast("int").alias("bin"))))
     rows = grid.join(bins, ["vec_id", "bin"], "left")
