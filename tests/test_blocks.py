@@ -53,3 +53,16 @@ def test_pairs_equal_brute_force(spark, many, monkeypatch, rows):
 def test_all_pairs_exchange_no_pairs(spark, many):
     plan = similarity.exact_pairs(many[0])._jdf.queryExecution().executedPlan().toString()
     assert "Aggregate" not in plan and "SortMergeJoin" not in plan
+
+
+def test_zscores_of_equal_vectors(spark, tmp_path):
+    """Two suppliers with equal vectors: 0 / 0 as in the query's SQL, no error."""
+    import math
+
+    import __spark_entry__
+
+    rows = [(s, p, float(q)) for s, m in ((1, 1), (2, 1), (3, 5)) for p, q in ((1, 2 * m), (2, 3))]
+    spark.createDataFrame(rows, "l_suppkey long, l_partkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(1, "Brand#11"), (2, "Brand#12")], "p_partkey long, p_brand string").write.parquet(f"{tmp_path}/part.parquet")
+    got = {(r["id_a"], r["id_b"]): r["z"] for r in __spark_entry__.queries()["est_zscores"](spark, str(tmp_path)).collect()}
+    assert got.keys() == {(1, 2), (1, 3), (2, 3)} and math.isnan(got[1, 2]) and got[1, 3] == got[2, 3] and math.isfinite(got[1, 3])
