@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from rgsketch.operators import blocks, experiments, kernel, similarity
+from rgsketch.operators import blocks, experiments, kernel, lsh, similarity
 
 
 @pytest.fixture(scope="module")
@@ -55,6 +55,16 @@ def test_all_pairs_exchange_no_pairs(spark, many):
     assert "Aggregate" not in plan and "SortMergeJoin" not in plan
 
 
+def test_all_pairs_lists_no_bucket(spark, many):
+    """Verified pairs are the candidates' pairs, and no join on buckets is made for them."""
+    v, out, s, _ = many
+    df = lsh.all_pairs(s, v, 0.4, 2, 4)
+    assert "SortMergeJoin" not in df._jdf.queryExecution().executedPlan().toString()
+    mates = {(r["id_a"], r["id_b"]) for r in lsh.candidates(lsh.index(s, 2, 4)).collect()}
+    got = {(r["id_a"], r["id_b"]) for r in df.collect()}
+    assert got == {p for p in mates if out[p[0]].keys() & out[p[1]].keys() and _jaccard(out[p[0]], out[p[1]]) >= 0.4} and got
+
+
 def test_zscores_of_equal_vectors(spark, tmp_path):
     """Two suppliers with equal vectors: 0 / 0 as in the query's SQL, no error."""
     import math
