@@ -42,6 +42,10 @@ GROUP = 600
 BLOCKS = ((32, 8), (4, 2), (1, 1))
 #: Bytes of fragments in one suffix array.
 ARRAY_BYTES = 3 << 17
+#: The most bits of the filter of fragments that are searched (32 MB).
+MOST_BITS = 1 << 28
+#: Fragments that a task remembers as sent.
+SENT = 500_000
 #: Low bits of a gram's rank that hold its place, so that equal ranks go by place whatever was read beside them.
 PLACE_BITS = 31
 _U = np.uint64
@@ -307,8 +311,9 @@ MARK = "key long, frag long, what int, starts array<int>, ends array<int>"
 
 
 def _search_groups(length: int, n_words: int):
-    """Over rows sorted by (key, frag): the mark row (multi set, part null) of a fragment and its bytes meet; groups of
-    fragments are gathered up to ARRAY_BYTES and searched."""
+    """Over rows sorted by (key, frag), the mark row (multi set, part null) of a fragment first: it and the first copy of the
+    bytes meet; bytes without a mark go at once, so an anchor that is not searched here holds no memory, however many
+    fragments of it the filter lets pass. Groups of fragments are gathered up to ARRAY_BYTES and searched."""
 
     def flush(items):
         names: dict[bytes, int] = {}
@@ -326,21 +331,20 @@ def _search_groups(length: int, n_words: int):
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["key", "frag", "what", "starts", "ends"])
 
     def run(batches):
-        items, held, size, now = [], {}, 0, None
+        items, size, now, mark = [], 0, None, (None,) * 4
         for batch in batches:
             for key, frag, part, txt, at, edge, multi, shared in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if key != now:
-                    items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[4] is not None]
-                    held, now = {}, key
+                    now = key
                     if size > ARRAY_BYTES:
                         yield from flush(items)
                         items, size = [], 0
-                old = held.get(frag, (None,) * 6)
-                if part is not None and old[0] is None:
+                if part is None:
+                    mark = key, frag, multi, shared
+                elif mark[:2] == (key, frag):
+                    items.append((key, frag, part, txt, at, edge, *mark[2:]))
                     size += len(part)
-                    old = (part, txt, at, edge, *old[4:])
-                held[frag] = (*old[:4], multi, shared) if multi is not None else old
-        items += [(now, f, *v) for f, v in held.items() if v[0] is not None and v[4] is not None]
+                    mark = (None,) * 4
         if items:
             yield from flush(items)
 
@@ -360,8 +364,8 @@ def _cut_fragments(table: np.ndarray, rows: np.ndarray, shape: tuple[int, int, i
             for base, corpus in _read(batch.column(1), *shape):
                 f = corpus.fragments(hot)
                 both = f["key"] ^ (f["frag"] * _ODD[0])
-                keep = np.flatnonzero(in_filter(table, (both & _U(FILTER_BITS - 1)).astype(np.int64)))
-                if len(sent) > 2_000_000:
+                keep = np.flatnonzero(in_filter(table, (both & _U(64 * len(table) - 1)).astype(np.int64)))
+                if len(sent) > SENT:
                     sent.clear()
                 new = []
                 for i, x in zip(keep.tolist(), both[keep].tolist(), strict=True):
@@ -379,11 +383,17 @@ def _cut_fragments(table: np.ndarray, rows: np.ndarray, shape: tuple[int, int, i
     return run
 
 
-def _bits(df: DataFrame, value: F.Column) -> np.ndarray:
+def _filter_bits(wanted: int) -> int:
+    """Bits of a filter of so many values: eight each at least, up to MOST_BITS. Every row that it lets pass in vain is
+    exchanged with its fragment's bytes, and in a filter of one size for all inputs these rows grow with their square."""
+    return min(max(FILTER_BITS, 1 << max(0, 8 * wanted - 1).bit_length()), MOST_BITS)
+
+
+def _bits(df: DataFrame, value: F.Column, bits: int = FILTER_BITS) -> np.ndarray:
     """A bit filter over the low bits of a 64-bit value."""
-    spot = value.bitwiseAND(F.lit(FILTER_BITS - 1))
+    spot = value.bitwiseAND(F.lit(bits - 1))
     rows = df.select(spot.alias("s")).select(F.shiftright("s", 6).cast("int").alias("cell"), F.expr("shiftleft(1L, cast(s & 63 as int))").alias("bit")).groupBy("cell").agg(F.bit_or("bit").alias("bits")).toArrow()
-    out = np.zeros(FILTER_BITS // 64, np.int64)
+    out = np.zeros(bits // 64, np.int64)
     out[rows.column("cell").to_numpy()] = rows.column("bits").to_numpy()
     return out
 
@@ -424,12 +434,13 @@ def _level(texts: DataFrame, shape: tuple[int, int, int], group: int, hot: list[
     both_lo = F.when(F.col("a1") == 0, F.col("b0")).when(F.col("b1") == 0, F.col("a0")).otherwise(F.least("a0", "b0"))
     marks = F.array(F.when(F.col("a1") > 0, one(GONE, F.col("a0"), F.col("a1"))), F.when(F.col("shared"), one(SHARED, both_lo, F.greatest("a1", "b1"))))
     whole = frags.where("multi").select("key", "frag", F.explode(F.array_compact(marks)).alias("m")).select("key", "frag", "m.*")
-    table = _bits(search.select(_mixed().alias("v")), F.col("v"))
+    bits = _filter_bits(search.count())
+    table = _bits(search.select(_mixed(bits).alias("v")), F.col("v"), bits)
     parts = spotted.mapInArrow(_cut_fragments(table, bit_filter(search.select("txt").distinct(), "txt"), shape, hot), "key long, frag long, part binary, txt binary, at long, edge int")
     none = F.lit(None)
     meet = parts.withColumn("multi", none.cast("boolean")).withColumn("shared", none.cast("boolean")).unionByName(search.drop("txt"), allowMissingColumns=True)
     n = max(int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-    meet = meet.repartition(n, "key").sortWithinPartitions("key", "frag").select("key", "frag", "part", "txt", "at", "edge", "multi", "shared")
+    meet = meet.repartition(n, "key").sortWithinPartitions("key", "frag", F.col("multi").isNull()).select("key", "frag", "part", "txt", "at", "edge", "multi", "shared")
     by_array = meet.mapInArrow(_search_groups(shape[0], shape[2]), MARK)
     marks = materialize(by_array.unionByName(whole))
     spans = live.join(marks, ["key", "frag"]).select("txt", "what", F.explode(F.arrays_zip("starts", "ends")).alias("s"), (F.col("pos") - F.col("left")).alias("at"))
@@ -459,9 +470,9 @@ def repeated_spans(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, gro
     return lists.select("txt", F.col("all.what").alias("what"), F.col("all.start").alias("starts"), F.col("all.end").alias("ends"))
 
 
-def _mixed() -> F.Column:
+def _mixed(bits: int) -> F.Column:
     """Low bits of key ^ frag * odd constant modulo 2**64, by halves, as whole-number overflow is an error in ANSI mode."""
-    low = FILTER_BITS - 1
+    low = bits - 1
     return F.col("key").bitwiseAND(F.lit(low)).bitwiseXOR((F.col("frag").bitwiseAND(F.lit(low)) * F.lit(0x9E3779B97F4A7C15 & low)).bitwiseAND(F.lit(low)))
 
 
