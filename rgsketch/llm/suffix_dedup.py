@@ -174,6 +174,62 @@ def _find_anchors(shape: tuple[int, int, int], hot: list[np.ndarray], rows: np.n
     return run
 
 
+def _split_ties(rank: np.ndarray, live: np.ndarray, key: np.ndarray, order: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Split live's groups of equal rank by key, in place; order sorts live by rank and key. A rank is the place of its
+    group's first member. Returns the members of groups of two and more, in order, and the first of each group."""
+    live, key = live[order], key[order]
+    old = rank[live]
+    fresh = np.concatenate(([True], old[1:] != old[:-1]))
+    head = np.flatnonzero(fresh | np.concatenate(([True], key[1:] != key[:-1])))
+    n = np.diff(np.append(head, len(live)))
+    outer = np.maximum.accumulate(np.where(fresh[head], head, 0))
+    rank[live] = old + np.repeat(head - outer, n)
+    tied = n > 1
+    return live[np.repeat(tied, n)], np.cumsum(n[tied]) - n[tied]
+
+
+def _sort_direct(text: np.ndarray, direct: np.ndarray, depth: int) -> np.ndarray:
+    """direct, the places of all suffixes that are smaller than their successors, in order, right to ``depth`` bytes.
+
+    A suffix is a row of pieces, each from one place of direct to the next. Pieces are ranked eight bytes at a time, then
+    rows of several ranks, each round as many as one number holds, until the rows that are alike span ``depth`` bytes.
+    Of two pieces of which one begins the other, the longer is smaller: where the shorter ends, its suffix is smaller than its
+    successor and the other's isn't. So a piece goes on with 255, which no piece holds but past a suffix of 255s, of which none
+    is in direct; the last one ends with the text and goes on with zeros.
+    """
+    m = len(direct)
+    size = np.append(direct[1:] + 1, len(text)) - direct
+    eight = words_of_eight(text, 0)
+    fill = np.array([(1 << 64) - 1 >> 8 * k for k in range(9)], _U)
+    rank, live = np.zeros(m, np.int64), np.arange(m)
+    for at in range(0, depth, 8):
+        word = eight[np.minimum(direct[live] + at, len(text) - 1)]
+        pad = fill[np.clip(size[live] - at, 0, 8)]
+        word = np.where(live < m - 1, word | pad, word & ~pad)
+        live, head = _split_ties(rank, live, word, np.lexsort((word, rank[live])) if at else np.argsort(word))
+        if not len(live):
+            break
+        goes_on = np.repeat(np.maximum.reduceat(size[live], head) > at + 8, np.diff(np.append(head, len(live))))
+        live = live[goes_on]
+        if not len(live):
+            break
+    bits = m.bit_length()
+    per, held = 64 // bits, 1
+    n = np.bincount(rank, minlength=m)
+    live = np.flatnonzero(n[rank] > 1)
+    place = np.append(direct, len(text))
+    while True:
+        live = live[place[np.minimum(live + held, m)] - place[live] < depth]
+        if not len(live):
+            return direct[np.argsort(rank)]
+        after = np.append(rank + 1, 0)
+        key = after[live].astype(_U)
+        for k in range(1, per):
+            key = key << _U(bits) | after[np.minimum(live + k * held, m)].astype(_U)
+        live, _ = _split_ties(rank, live, key, np.argsort(key))
+        held *= per
+
+
 def two_stage_suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     """Suffix array of uint8 text, right to ``depth`` bytes (ties beyond in any order).
 
@@ -183,27 +239,28 @@ def two_stage_suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     n = len(text)
     if n == 0:
         return np.zeros(0, np.int64)
-    change = np.flatnonzero(text[1:] != text[:-1])
-    nxt = np.searchsorted(change, np.arange(n))  # where the run of equal bytes ends decides the type
+    differs = text[1:] != text[:-1]
+    change = np.flatnonzero(differs)
+    nxt = np.concatenate(([0], np.cumsum(differs)))  # where the run of equal bytes ends decides the type
     small = np.zeros(n, bool)
     has = nxt < len(change)
-    small[has] = text[change[nxt[has]]] < text[change[nxt[has]] + 1]
+    small[has] = (text[change] < text[change + 1])[nxt[has]]
     direct = np.flatnonzero(small)
-    padded = np.concatenate([text, np.zeros(depth, np.uint8)])
-    cells = np.lib.stride_tricks.sliding_window_view(padded, depth)[direct]
-    direct = direct[np.argsort(cells.view(f"S{depth}").ravel(), kind="stable")] if len(direct) else direct
-    heads = np.searchsorted(text[direct], np.arange(257))
+    direct = _sort_direct(text, direct, depth) if len(direct) else direct
+    heads = np.concatenate(([0], np.cumsum(np.bincount(text[direct], minlength=256))))
     queue: list[list[np.ndarray]] = [[] for _ in range(256)]
     queue[text[n - 1]].append(np.array([n - 1]))
 
     def deal(entries: np.ndarray, least: int) -> None:
         before = entries[entries > 0] - 1
         symbol = text[before]
-        before, symbol = before[symbol >= least], symbol[symbol >= least]
-        order = np.argsort(symbol, kind="stable")
-        before, edges = before[order], np.searchsorted(symbol[order], np.arange(257))
-        for c in np.flatnonzero(np.diff(edges)):
-            queue[c].append(before[edges[c] : edges[c + 1]])
+        on = symbol >= least
+        before, symbol = before[on], symbol[on]
+        before = before[np.argsort(symbol, kind="stable")]
+        size = np.bincount(symbol, minlength=256)
+        edges = np.cumsum(size)
+        for c in np.flatnonzero(size).tolist():
+            queue[c].append(before[edges[c] - size[c] : edges[c]])
 
     out = []
     for c in range(256):
@@ -232,17 +289,21 @@ def words_of_eight(text: np.ndarray, beyond: int) -> np.ndarray:
 def common_prefixes(eight: np.ndarray, order: np.ndarray, depth: int) -> np.ndarray:
     """Bytes that each suffix of order shares with the one before it, to ``depth``; 0 for the first."""
     out = np.zeros(len(order), np.int64)
-    live = np.arange(1, len(order))
+    live, here, before = np.arange(1, len(order)), order[1:], order[:-1]
     for at in range(0, depth, 8):
-        x = eight[order[live] + at] ^ eight[order[live - 1] + at]
-        off = np.flatnonzero(x)
-        top = x[off] >> _U(32)
-        high = top > 0
-        bits = np.frexp(np.where(high, top, x[off] & _U(0xFFFFFFFF)).astype(np.float64))[1] + 32 * high  # place of the first bit that differs
-        out[live[off]] = at + (64 - bits) // 8
-        live = live[x == 0]
-        if not len(live):
-            break
+        x = eight[here] ^ eight[before]
+        alike = x == 0
+        off = np.flatnonzero(~alike)
+        if len(off):
+            x = x[off]
+            top = x >> _U(32)
+            high = top > 0
+            bits = np.frexp(np.where(high, top, x & _U(0xFFFFFFFF)).astype(np.float64))[1] + 32 * high  # place of the first bit that differs
+            out[live[off]] = at + (64 - bits) // 8
+            live, here, before = live[alike], here[alike], before[alike]
+            if not len(live):
+                break
+        here, before = here + 8, before + 8
     out[live] = depth
     return np.minimum(out, depth)
 
@@ -261,48 +322,55 @@ def short_strings(text: np.ndarray, first: np.ndarray, sizes: np.ndarray, edge:
     return out
 
 
+def merge(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Union of half-open intervals as maximal runs."""
+    if not len(starts):
+        return starts, ends
+    order = np.argsort(starts, kind="stable")
+    starts, ends = starts[order], np.maximum.accumulate(ends[order])
+    new = np.concatenate(([True], starts[1:] > ends[:-1]))
+    return starts[new], ends[np.append(np.flatnonzero(new)[1:] - 1, len(ends) - 1)]
+
+
 def repeated_strings(parts: list[bytes], edge: np.ndarray, origin: np.ndarray, multi: np.ndarray, shared: np.ndarray, length: int, n_words: int = WORDS):
-    """Per fragment: starts of long strings that also start at another origin; starts and ends of strings of both kinds that
-    also stand in another text. origin has text (high bits) and place of each fragment's first byte, multi and shared say
-    that the fragment itself stands at several places, in several texts; edge that it begins (1) or ends (2) its text."""
+    """Maximal runs of long strings that also start at another origin, and of strings of both kinds that also stand in another
+    text, as fragment, first byte in it and end. origin has text (high bits) and place of each fragment's first byte, multi
+    and shared say that the fragment itself stands at several places, in several texts; edge that it begins (1) or ends (2)
+    its text."""
     sizes = np.array([len(p) for p in parts])
     text = np.frombuffer(b"\0".join(parts) + b"\0", np.uint8)
     first = np.cumsum(sizes + 1) - sizes - 1
-    of = np.repeat(np.arange(len(parts)), sizes + 1)
+    each = lambda x: np.repeat(x, sizes + 1)
+    room, base, flag = each(first + sizes) - np.arange(len(text)), each(origin - first), each(multi + 2 * shared.astype(np.int8))
     order = two_stage_suffix_array(text, length)
     eight = words_of_eight(text, length)
-    found = []
-    for size in (np.full(len(text), length), short_strings(text, first, sizes, edge, length, n_words)):
-        own = order[(size[order] > 0) & (order + size[order] <= (first + sizes)[of[order]])]
+    long, across = [], []
+    for size in (length, short_strings(text, first, sizes, edge, length, n_words)):
+        fits = (size <= room) & (np.asarray(size) > 0)
+        own = order[fits[order]]
         if not len(own):
-            found.append((own, own, own.astype(bool), own.astype(bool)))
             continue
-        n = size[own]
+        n = np.broadcast_to(size, len(text))[own]
         same = (common_prefixes(eight, own, length) >= n) & (n == np.roll(n, 1))
-        head = np.flatnonzero(~same | (np.arange(len(own)) == 0))
-        place = origin[of[own]] + own - first[of[own]]
-        doc = origin[of[own]] >> 40
-        spread = lambda on, n=np.diff(np.append(head, len(own))): np.repeat(on, n)
-        differ = lambda x, flag, own=own, head=head: (np.minimum.reduceat(x, head) != np.maximum.reduceat(x, head)) | np.maximum.reduceat(flag[of[own]], head)
-        found.append((own, own + n, spread(differ(place, multi)), spread(differ(doc, shared))))
-    (own, end, again, _), (own_b, end_b, _, _) = found
-    across = np.concatenate([x[3] for x in found])
-    start_x, end_x = np.concatenate([own, own_b])[across], np.concatenate([end, end_b])[across]
-    hit = np.sort(own[again])
-    by = np.argsort(start_x, kind="stable")
-    start_x, end_x = start_x[by], end_x[by]
-    cut, cut_x = np.searchsorted(hit, np.append(first, len(text))), np.searchsorted(start_x, np.append(first, len(text)))
-    return [(hit[a:b] - f, start_x[c:d] - f, end_x[c:d] - f) for a, b, c, d, f in zip(cut[:-1], cut[1:], cut_x[:-1], cut_x[1:], first, strict=True)]
-
-
-def merge(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Union of half-open intervals as maximal runs."""
-    if not len(starts):
-        return starts, ends
-    order = np.argsort(starts, kind="stable")
-    starts, ends = starts[order], np.maximum.accumulate(ends[order])
-    new = np.concatenate(([True], starts[1:] > ends[:-1]))
-    return starts[new], ends[np.append(np.flatnonzero(new)[1:] - 1, len(ends) - 1)]
+        same[0] = False
+        head = np.flatnonzero(~same)
+        place = base[own] + own
+        doc = place >> 40
+        flags = np.bitwise_or.reduceat(flag[own], head)
+        differ = lambda x, bit, head=head, flags=flags: (np.minimum.reduceat(x, head) != np.maximum.reduceat(x, head)) | (flags & bit > 0)
+        spread = lambda on, own=own, k=np.diff(np.append(head, len(own))): own[np.repeat(on, k)]
+        if size is length:
+            long.append(np.sort(spread(differ(place, 1))))
+        start = np.sort(spread(differ(doc, 2)))
+        across.append((start, start + np.broadcast_to(size, len(text))[start]))
+    none = np.zeros(0, np.int64)
+    hit = long[0] if long else none
+    runs = [merge(hit, hit + length), merge(*(np.concatenate(x) for x in zip(*across, strict=True))) if across else (none, none)]
+    out = []
+    for start, end in runs:  # a zero byte lies between fragments, so no run goes over two
+        of = np.searchsorted(first, start, side="right") - 1
+        out.append((of, start - first[of], end - first[of]))
+    return out
 
 
 #: What a span says: its bytes go, its bytes stand in another text, or both.
@@ -318,17 +386,19 @@ def _search_groups(length: int, n_words: int):
     def flush(items):
         names: dict[bytes, int] = {}
         col = [np.array(x) for x in zip(*((names.setdefault(t, len(names)), at, edge, m, x) for _, _, _, t, at, edge, m, x in items), strict=True)]
-        found = repeated_strings([x[2] for x in items], col[2], (col[0].astype(np.int64) << 40) + col[1], col[3].astype(bool), col[4].astype(bool), length, n_words)
-        rows = []
-        for x, (hit, start, end) in zip(items, found, strict=True):
-            gone, both = merge(hit, hit + length), merge(start, end)
-            if len(gone[0]) and len(gone[0]) == len(both[0]) and (gone[0] == both[0]).all() and (gone[1] == both[1]).all():
-                rows.append((x[0], x[1], BOTH, *(v.tolist() for v in gone)))
-            else:
-                rows += [(x[0], x[1], what, *(v.tolist() for v in se)) for what, se in ((GONE, gone), (SHARED, both)) if len(se[0])]
-        if rows:
-            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.list_(pa.int32())]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["key", "frag", "what", "starts", "ends"])
+        gone, both = repeated_strings([x[2] for x in items], col[2], (col[0].astype(np.int64) << 40) + col[1], col[3].astype(bool), col[4].astype(bool), length, n_words)
+        n = len(items)
+        many, many_x = np.bincount(gone[0], minlength=n), np.bincount(both[0], minlength=n)
+        alike = (many > 0) & (many == many_x)
+        g, x = alike[gone[0]], alike[both[0]]
+        alike[gone[0][g][(gone[1][g] != both[1][x]) | (gone[2][g] != both[2][x])]] = False
+        key, frag = (np.array([i[k] for i in items], np.int64) for k in (0, 1))
+        for what, (of, start, end), on in ((BOTH, gone, alike), (GONE, gone, ~alike & (many > 0)), (SHARED, both, ~alike & (many_x > 0))):
+            if on.any():
+                mine = on[of]
+                cut = pa.array(np.append(0, np.cumsum(np.bincount(of[mine], minlength=n)[on])), pa.int32())
+                lists = [pa.ListArray.from_arrays(cut, pa.array(v[mine], pa.int32())) for v in (start, end)]
+                yield pa.RecordBatch.from_arrays([pa.array(key[on]), pa.array(frag[on]), pa.array(np.full(on.sum(), what, np.int32)), *lists], ["key", "frag", "what", "starts", "ends"])
 
     def run(batches):
         items, size, now, mark = [], 0, None, (None,) * 4
