@@ -162,7 +162,7 @@ TEXTS = [
     ("osl-3", "open software license", r"licensed under the open software license version 3 0"),
     ("afl-3", "academic free license", r"licensed under the academic free license version 3 0"),
     ("artistic-2", "artistic license", r"(?:you may|you can) redistribute it and or modify it under the terms of the (?:the )?artistic license (?:version )?2 0"),
-    ("perl", "same terms as perl", r"(?:redistribute|modify|redistribut\w*) .{0,40}under the same terms as perl(?: itself)?"),
+    ("perl", "same terms as perl", r"(?:redistribute|modify|redistribut[^ ]*) .{0,40}under the same terms as perl(?: itself)?"),
     ("zlib", "including commercial applications", r"permission is granted to anyone to use this software for any purpose including commercial applications"),
     ("bsl-1", "boost software license", r"distributed under the boost software license version 1 0"),
     ("unlicense", "copyright interest in the software to the public domain", r"dedicate any and all copyright interest in the software to the public domain"),
@@ -187,7 +187,7 @@ TEXTS = [
     ("polyform-small-business", "polyform small business", r"polyform small business license"),
     ("hippocratic-2", "hippocratic license", r"hippocratic license(?: version)? 2"),
     ("json", "good not evil", r"the software shall be used for good not evil .{0,400}warranty"),
-    ("beerware", "beer ware license", r"the beer ware license(?: revision \d+)?"),
+    ("beerware", "beer ware license", r"the beer ware license(?: revision [0-9]+)?"),
     ("wtfpl", "do what the fuck you want to", r"do what the fuck you want to public license"),
     ("openssl", "openssl toolkit", r"this product includes software developed by the openssl project for use in the openssl toolkit .{0,600}permission"),
     ("ssleay", "eric young", r"this product includes cryptographic software written by eric young .{0,900}(?:redistribut|licen[cs]e)"),
@@ -210,7 +210,7 @@ TEXTS = [
 ]
 #: Parts of single words, so that no line break or hyphen hides them. Every rule's regex and every base phrase needs one of
 #: them, so a text without any holds no detection; each rule's own keyword is tested next, on the joined words.
-TRIGGERS = ("licen", "under", "domain", "permission", "redistribut", "reserved", "warranty", "cc")
+TRIGGERS = ("licen", "under", "domain", "permission", "redistribut", "reserved", "warranty", "authorization", "cc")
 
 
 class Rule(NamedTuple):
